@@ -37,6 +37,16 @@ def materialize(df: DataFrame) -> DataFrame:
     return df.checkpoint()
 
 
+def settled(df: DataFrame, *keys: str) -> DataFrame:
+    """The materialised df as one side of a join on keys that may be skewed on the other side.
+
+    The keys are rebuilt by an expression, so Spark deals both sides out anew for the join; adaptive execution
+    splits large partitions only in that case, not where an aggregation's own exchange feeds the join.
+    """
+    rebuilt = {k: F.when(F.col(k).isNotNull(), F.col(k)) for k in keys}
+    return materialize(df).select(*(rebuilt[c].alias(c) if c in rebuilt else c for c in df.columns))
+
+
 def slots(spark: SparkSession) -> int:
     """Partitions that a wide step of this session is cut into."""
     return max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
