@@ -13,6 +13,15 @@ from graphweave.llm.common import table
 RANKS = "byte_bpe_multi_50k.tiktoken"
 
 
+def op3_hash_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from graphweave.llm.sharding import even_tree, grown, shard_documents
+
+    tree = even_tree(3, 2, 4)
+    return shard_documents(table(spark, sf_dir, "documents"), tree, grown(tree, 24)).select(
+        "doc_id", "size", "text_crc32", F.lit("key").alias("law"), "shard", "slot", "grown_shard"
+    )
+
+
 def op4_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
@@ -35,9 +44,45 @@ def op5_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", F.lower(F.lpad(F.hex("fingerprint"), 16, "0")).alias("fingerprint"), "component_id")
 
 
+def op9_curriculum_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from graphweave.llm.common import materialize
+    from graphweave.llm.mixing import mix, position, word_count
+
+    docs = table(spark, sf_dir, "documents")
+    sized = materialize(docs.select("doc_id", "source", word_count(F.col("text")).alias("size")))
+    place = F.col("__before") + F.col("size") / 2
+    return mix(sized, size_col="size").select(
+        "doc_id",
+        "source",
+        "size",
+        "source_size",
+        "target",
+        F.col("taken").cast("long").alias("taken"),
+        F.when(F.col("taken") > 0, position(place, F.col("__wanted"), F.col("__knots"))).alias("first_position"),
+    )
+
+
+def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from graphweave.llm.line_dedup import dropped_lines
+
+    docs = table(spark, sf_dir, "documents")
+    text = F.coalesce("text", F.lit(""))
+    lines = docs.select("doc_id", F.xxhash64(text).alias("t"), F.size(F.split(text, "\n")).cast("long").alias("n_lines"))
+    gone = dropped_lines(docs)
+    return lines.join(gone, lines["doc_id"].eqNullSafe(gone["d"]) & (lines["t"] == gone["t"]), "left").select(
+        "doc_id",
+        "n_lines",
+        F.coalesce(F.size("dropped"), F.lit(0)).cast("long").alias("n_dropped"),
+        F.coalesce(F.concat_ws(",", F.col("dropped").cast("array<string>")), F.lit("")).alias("dropped_lines"),
+    )
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op3_hash_tree": op3_hash_tree,
     "op4_byte_bpe": op4_byte_bpe,
     "op5_simhash": op5_simhash,
+    "op9_curriculum_mix": op9_curriculum_mix,
+    "op10_line_dedup": op10_line_dedup,
 }
 
 ORACLE_SQL: dict[str, str] = {}
