@@ -11,6 +11,29 @@ from graphweave.llm.common import table
 
 #: The rank file of op4 and of the pipeline's last stage.
 RANKS = "byte_bpe_multi_50k.tiktoken"
+#: A document of this score or more counts as toxic.
+TOXIC_FROM = 0.7
+
+
+def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from graphweave.llm.toxicity import score_documents
+
+    remainder = F.crc32(F.col("doc_id").cast("string")) % 3
+    labels = table(spark, sf_dir, "labels")
+    scored = score_documents(table(spark, sf_dir, "documents"), labels, learnable=remainder != 1)
+    return scored.select(
+        "doc_id",
+        F.coalesce(remainder == 1, F.lit(False)).alias("held_out"),
+        "score",
+        (F.col("score") >= TOXIC_FROM).cast("int").alias("predicted"),
+    )
+
+
+def op2_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from graphweave.llm.topk import top_k
+
+    vectors = table(spark, sf_dir, "embeddings")
+    return top_k(vectors, F.col("vec_id") % 20 == 0, 20)
 
 
 def op3_hash_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -78,6 +101,8 @@ def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_toxicity": op1_toxicity,
+    "op2_topk": op2_topk,
     "op3_hash_tree": op3_hash_tree,
     "op4_byte_bpe": op4_byte_bpe,
     "op5_simhash": op5_simhash,
@@ -85,4 +110,19 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op10_line_dedup": op10_line_dedup,
 }
 
-ORACLE_SQL: dict[str, str] = {}
+ORACLE_SQL: dict[str, str] = {
+    "op2_topk": """
+        WITH v AS (
+            SELECT vec_id, list_transform(embedding, lambda x: CAST(floor(64 * CAST(x AS DOUBLE)) AS BIGINT)) AS q
+            FROM embeddings
+            WHERE embedding IS NOT NULL AND len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0
+        ), s AS (
+            SELECT a.vec_id AS query_id, b.vec_id AS vec_id,
+                   CAST(list_sum(list_transform(list_zip(a.q, b.q), lambda p: p[1] * p[2])) AS BIGINT) AS score
+            FROM v a JOIN v b ON a.vec_id <> b.vec_id WHERE a.vec_id % 20 = 0
+        ), r AS (
+            SELECT query_id, CAST(row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id) AS INTEGER) AS rank, vec_id, score FROM s
+        )
+        SELECT * FROM r WHERE rank <= 20
+    """,
+}
