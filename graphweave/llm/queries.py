@@ -72,7 +72,8 @@ def op6_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
 
     found = find_personal_data(table(spark, sf_dir, "documents"))
     text = lambda spans: F.array_join(F.transform(spans, lambda s: F.concat_ws(":", s.kind, s.start, s.end)), ",")
-    counts = [F.size(F.filter("base_spans", lambda s, k=k: s.kind == k)).cast("long").alias(f"n_{k}") for k in KINDS]
+    of_kind = lambda kind: F.filter("base_spans", lambda s: s.kind == kind)
+    counts = [F.size(of_kind(kind)).cast("long").alias(f"n_{kind}") for kind in KINDS]
     return found.select("doc_id", *counts, F.sha2(text("base_spans"), 256).alias("base_sha256"), text("all_spans").alias("spans"))
 
 
