@@ -24,7 +24,7 @@ KINDS = ("email", "ip", "card", "phone")
 
 _LOCAL = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
 _DOMAIN = re.compile(r"@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+")
-_DOTTED = re.compile(r"[0-9]+(?:\.[0-9]+)+")
+_DOTTED = re.compile(r"[0-9]+(?:\.[0-9]+)*")
 _FIGURES = re.compile(r"[0-9](?:[ -]?[0-9])+")
 _PLUS = re.compile(r"\+[0-9][ ().0-9-]+[0-9]")
 
@@ -51,6 +51,8 @@ def addresses(text: str) -> list[Span]:
     """Chains of dotted numbers are read four at a time, as a scan from the left does."""
     out = []
     for chain in _DOTTED.finditer(text):
+        if chain.end() - chain.start() < 7:
+            continue
         parts, at = chain.group().split("."), chain.start()
         for i in range(0, len(parts) - 3, 4):
             four = parts[i : i + 4]
