@@ -154,7 +154,7 @@ def repeated_spans(docs: DataFrame, span: int = 400, lead: int = 64, text_col: s
         return [list(column) for column in zip(*found)]
 
     integers, longs = T.ArrayType(T.IntegerType()), T.ArrayType(T.LongType())
-    found = map_texts(texts, lambda: kernel, [("low", integers), ("size", integers), ("k", longs), ("c", longs)], ("t1", "t2"))
+    found = map_texts(texts, lambda: kernel, [("low", integers), ("size", integers), ("k", longs), ("c", longs)], ("t1", "t2"), chars_per_call=1_000_000)
     found = found.groupBy("t1", "t2").agg(F.count("*").alias("copies"), F.any_value(F.struct("low", "size", "k", "c")).alias("x"))
     distinct = stored(found.select("t1", "t2", "copies", "x.*"))
     rows = distinct.select("t1", "t2", "copies", F.inline(F.arrays_zip("low", "size", "k", "c")))
@@ -222,7 +222,7 @@ def repeated_spans(docs: DataFrame, span: int = 400, lead: int = 64, text_col: s
     return materialize(partly.union(wholly))
 
 
-def _groups(batches: Iterator[pa.RecordBatch], most_bytes: int = 4_000_000):
+def _groups(batches: Iterator[pa.RecordBatch], most_bytes: int = 1_000_000):
     """Rows sorted by lead, in pieces that never part the rows of one lead."""
     held: list[tuple[int, int, bool, bytes]] = []
     size = 0
