@@ -20,11 +20,14 @@ from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window as W
 
-from graphweave.llm.common import materialize, settled
+from graphweave.llm.common import materialize, settled, stored
 
 #: Longs of the broadcast filter below, 64 bits each: its size is fixed, more keys only let more rows through.
 _FILTER_WORDS = 1 << 18
+#: Words of the longest line whose neighbourhood is made inside its row, where the cost is quadratic.
+_IN_ROW = 64
 
 
 def _maybe_in(rows: DataFrame, hashed: str, keys: DataFrame) -> DataFrame:
@@ -46,7 +49,8 @@ def lines_of(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
 
 
 def _words(line: Column) -> Column:
-    return F.filter(F.split(line, "[ \t\r]+"), lambda w: w != "")
+    """Pieces between blanks; two blanks in a row have an empty word between them."""
+    return F.split(line, " ")
 
 
 def _halves(words: Column) -> Column:
@@ -64,26 +68,37 @@ def _neighbourhood(words: Column) -> Column:
 
     A key is the xor of hashes of (index, word); leaving a word out lowers the index of those after it.
     """
-    places = F.transform(
-        words,
-        lambda w, i: F.struct(
-            F.xxhash64(i, w).alias("own"), F.xxhash64(i - 1, w).alias("moved"),
-        ),
-    )
+    places = F.transform(words, lambda w, i: F.struct(F.xxhash64(i, w).alias("own"), F.xxhash64(i - 1, w).alias("moved")))
     zero = F.lit(0).cast("long")
-    whole = F.aggregate(places, zero, lambda s, p: s.bitwiseXOR(p.own))
-    moved = F.aggregate(places, zero, lambda s, p: s.bitwiseXOR(p.moved))
-    start = F.struct(zero.alias("x"), F.array().cast("array<bigint>").alias("out"))
-    run = F.aggregate(
+    start = F.struct(zero.alias("x"), zero.alias("whole"), zero.alias("moved"), F.array().cast("array<bigint>").alias("out"))
+    return F.aggregate(
         places,
         start,
         lambda s, p: F.struct(
             s.x.bitwiseXOR(p.own).bitwiseXOR(p.moved).alias("x"),
+            s.whole.bitwiseXOR(p.own).alias("whole"),
+            s.moved.bitwiseXOR(p.moved).alias("moved"),
             F.concat(s.out, F.array(s.x.bitwiseXOR(p.moved))).alias("out"),
         ),
+        lambda s: F.concat(
+            F.array(F.struct(F.lit(0).alias("place"), s.whole.alias("key"))),
+            F.transform(s.out, lambda x, i: F.struct((i + 1).alias("place"), x.bitwiseXOR(s.moved).alias("key"))),
+        ),
     )
-    without = F.transform(run.out, lambda x, i: F.struct((i + 1).alias("place"), x.bitwiseXOR(moved).alias("key")))
-    return F.concat(F.array(F.struct(F.lit(0).alias("place"), whole.alias("key"))), without)
+
+
+def _neighbourhoods(found: DataFrame) -> DataFrame:
+    """(h, g, first, size, place, key) of all lines: in the row for short ones, by windows over words for long ones."""
+    sized = found.withColumn("size", F.size("words"))
+    short = sized.where(F.col("size") <= _IN_ROW).select("h", "g", "first", "size", F.inline(_neighbourhood(F.col("words"))))
+    long = sized.where(F.col("size") > _IN_ROW).select("h", "g", "first", "size", F.posexplode("words").alias("i", "w"))
+    long = long.select("h", "g", "first", "size", "i", F.xxhash64("i", "w").alias("own"), F.xxhash64(F.col("i") - 1, "w").alias("moved"))
+    line = W.partitionBy("h", "g")
+    before = F.bit_xor(F.col("own").bitwiseXOR(F.col("moved"))).over(line.orderBy("i").rowsBetween(W.unboundedPreceding, -1))
+    key = F.coalesce(before, F.lit(0)).bitwiseXOR(F.col("moved")).bitwiseXOR(F.bit_xor("moved").over(line))
+    without = long.select("h", "g", "first", "size", (F.col("i") + 1).alias("place"), key.alias("key"))
+    whole = long.groupBy("h", "g", "first", "size").agg(F.bit_xor("own").alias("key"))
+    return short.union(without).union(whole.select("h", "g", "first", "size", F.lit(0).alias("place"), "key"))
 
 
 def _within_one_edit(a: Column, b: Column) -> Column:
@@ -106,19 +121,20 @@ def dropped_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
     """(d, t, dropped): for documents that lose lines, by id and text hash, the sorted numbers of those lines."""
     lines = lines_of(docs, id_col, text_col).where(F.trim(F.translate("line", "\t\r", "  ")) != "")
     place = F.struct("d", "t", "no")
-    distinct = materialize(lines.groupBy("h", "g").agg(F.min(place).alias("first"), F.count("*").alias("n")))
+    worded = lines.select("h", "g", place.alias("place"), _words(F.col("line")).alias("words"))
+    halves = F.when(F.size("words") >= near_words, _halves(F.col("words")))
+    distinct = worded.groupBy("h", "g").agg(F.min("place").alias("first"), F.count("*").alias("n"), F.any_value(halves).alias("halves"))
+    distinct = stored(distinct)
     # Lines that share a half with a different line.
-    words = lines.select("h", "g", "d", "t", "no", _words(F.col("line")).alias("words")).where(F.size("words") >= near_words)
-    halves = words.select("h", F.explode(_halves(F.col("words"))).alias("half"))
+    halves = distinct.select("h", F.explode("halves").alias("half"))
     shared = halves.groupBy("half").agg(F.min("h").alias("a"), F.max("h").alias("b")).where("a <> b")
     shared = settled(shared.select("half"), "half")
-    flagged = materialize(_maybe_in(halves, "half", shared).distinct().join(shared, "half").select("h").distinct())
+    flagged = materialize(_maybe_in(halves, "half", shared).join(shared, "half").select("h").distinct())
     # Their deletion neighbourhoods.
-    found = _maybe_in(words, "h", flagged).join(flagged, "h")
-    found = found.groupBy("h", "g").agg(F.min(place).alias("first"), F.any_value("words").alias("words"))
-    found = materialize(found)
-    variants = found.select("h", "g", "first", F.size("words").alias("size"), F.inline(_neighbourhood(F.col("words"))))
-    variants = materialize(variants)
+    found = _maybe_in(lines, "h", flagged).join(settled(flagged, "h"), "h")
+    found = found.groupBy("h", "g").agg(F.min(place).alias("first"), F.any_value("line").alias("line"))
+    found = stored(found.select("h", "g", "first", _words(F.col("line")).alias("words")))
+    variants = stored(_neighbourhoods(found))
     replaced = variants.where("place > 0").groupBy("key", "place", "size").agg(F.min("first").alias("other"), F.count("*").alias("n"))
     replaced = settled(replaced.where("n > 1").drop("n"), "key", "place", "size")
     inserted = variants.groupBy("key").agg(
