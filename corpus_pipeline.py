@@ -11,11 +11,11 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from graphweave.llm.byte_bpe import encode_documents
-from graphweave.llm.common import fresh, stored, table
+from graphweave.llm.common import fresh, settled, stored, table
 from graphweave.llm.line_dedup import deduplicate_lines
 from graphweave.llm.mixing import mix, positions
 from graphweave.llm.queries import RANKS, TOXIC_FROM
-from graphweave.llm.simhash import fingerprints, near_duplicates
+from graphweave.llm.simhash import near_copies
 from graphweave.llm.toxicity import score_documents
 
 
@@ -34,9 +34,12 @@ def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of near copies the document of least id stays; of rows that repeat an id, one."""
-    found = near_duplicates(fingerprints(docs))
-    first = found.where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("__id")).distinct()
+    """Of each group of near copies, by five-word shingles, the document of least id stays; of rows that repeat an id, one."""
+    node = fresh(docs, "__node")
+    rows = docs.select("doc_id", "text", F.xxhash64(F.coalesce("text", F.lit(""))).alias(node))
+    found = settled(near_copies(rows, node), "node")
+    grouped = rows.join(found, F.col(node) == F.col("node"), "left").select("doc_id", F.coalesce("root", node).alias("root"))
+    first = grouped.groupBy("root").agg(F.min("doc_id").alias("__id")).select("__id").distinct()
     return docs.join(first, F.col("doc_id").eqNullSafe(F.col("__id")), "left_semi").dropDuplicates(["doc_id"])
 
 

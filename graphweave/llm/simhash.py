@@ -30,17 +30,18 @@ _SEED = 42
 _BLOCKS = ((0, 1), (2, 3), (4, 5), (6, 7))
 
 
-def fingerprint(text: str, shingle: int = 3) -> int:
-    """The 64 majority bits over the hashes of all shingles, as a signed long."""
+def shingle_hashes(text: str, shingle: int) -> np.ndarray:
+    """Hashes of all runs of ``shingle`` words; of a shorter text, one of its words."""
     words = text.encode("utf-8", "surrogatepass").lower().split()
-    if not words:
-        return 0
     if len(words) < shingle:
         grams = [b" ".join(words)]
     else:
         grams = map(b" ".join, zip(*(words[i:] for i in range(shingle))))
     digest = xxhash.xxh64_intdigest
-    hashes = np.array([digest(g, _SEED) for g in grams], np.uint64)
+    return np.array([digest(g, _SEED) for g in grams], np.uint64)
+
+
+def majority(hashes: np.ndarray) -> int:
     counts = np.zeros(64, np.int64)
     for a in range(0, len(hashes), 65536):
         part = hashes[a : a + 65536].astype(">u8")
@@ -48,6 +49,11 @@ def fingerprint(text: str, shingle: int = 3) -> int:
     return int(np.packbits(counts * 2 > len(hashes)).view(">i8")[0])
 
 
+def fingerprint(text: str, shingle: int = 3) -> int:
+    """The 64 majority bits over the hashes of all shingles, as a signed long."""
+    return majority(shingle_hashes(text, shingle)) if text.strip(" \t\n\x0b\x0c\r") else 0
+
+
 def fingerprints(docs: DataFrame, keep: tuple[str, ...] = ("doc_id",), text_col: str = "text", shingle: int = 3) -> DataFrame:
     """Columns ``keep`` with fingerprint (long)."""
 
@@ -102,3 +108,74 @@ def near_duplicates(prints: DataFrame, id_col: str = "doc_id", list_bound: int =
     every = first.join(moved, "f", "left").select("f", F.coalesce("least_id", "first_id").alias("component_id"))
     every = settled(every, "f")
     return prints.join(every, F.col("fingerprint") == F.col("f"), "left").drop("f")
+
+
+def _shingle_sets(docs: DataFrame, node_col: str, text_col: str, shingle: int) -> DataFrame:
+    make = lambda: lambda texts: [[np.unique(shingle_hashes(t, shingle).view(np.int64)) for t in texts]]
+    return map_texts(docs, make, [("shingles", T.ArrayType(T.LongType()))], (node_col,), text_col)
+
+
+def _verified(docs: DataFrame, pairs: DataFrame, node_col: str, text_col: str, shingle: int) -> DataFrame:
+    """The pairs (a, b) whose exact shingle sets have a similarity of 0.8 or more."""
+    pairs = materialize(pairs)
+    needed = pairs.select(F.col("a").alias(node_col)).union(pairs.select("b")).distinct()
+    sets = _shingle_sets(docs.select(node_col, text_col).join(needed, node_col, "left_semi"), node_col, text_col, shingle)
+    sets = settled(sets.dropDuplicates([node_col]), node_col)
+    for end in ("a", "b"):
+        pairs = pairs.join(sets.select(F.col(node_col).alias(end), F.col("shingles").alias(f"of_{end}")), end)
+    return materialize(pairs.where(9 * F.size(F.array_intersect("of_a", "of_b")) >= 4 * (F.size("of_a") + F.size("of_b"))).select("a", "b"))
+
+
+def near_copies(docs: DataFrame, node_col: str, text_col: str = "text", shingle: int = 5, list_bound: int = 8) -> DataFrame:
+    """(node, root) of texts that chains of shingle similarity 0.8 or more connect; node_col is a hash of the text.
+
+    No bit bound of a 64-bit fingerprint is both sure to hold at similarity 0.8 and selective, so fingerprints and
+    first entries of posting lists only join most groups early. The search that decides is complete: of n
+    shingles in hash order, two such texts share one of the first n // 5 + 1 at least, and the shared count has a
+    guaranteed minimum (count filtering). It makes pairs of texts that are not yet connected, so groups of copies
+    do not cost the square of their size; texts that share much without being similar may. All links are verified.
+    """
+
+    def make():
+        def kernel(texts: list[str]) -> list:
+            out: list[list] = [[], [], [], [], []]
+            for text in texts:
+                hashes = shingle_hashes(text, shingle)
+                found = np.unique(hashes.view(np.int64))
+                first = found[: len(found) // 5 + 1]
+                for column, value in zip(out, (majority(hashes), len(found), len(first), int(first[-1]), first)):
+                    column.append(value)
+            return out
+
+        return kernel
+
+    fields = [*((c, T.LongType()) for c in ("f", "n", "p", "last")), ("keys", T.ArrayType(T.LongType()))]
+    prints = map_texts(docs, make, fields, (node_col,), text_col).withColumnRenamed(node_col, "node")
+    prints = materialize(prints.dropDuplicates(["node"]))
+    posted = prints.select("node", "n", "p", "last", F.explode("keys").alias("key"))
+    lists = posted.groupBy("key").agg(F.count("*").alias("size"), F.min(F.struct("node", "n")).alias("head"))
+    posted = materialize(posted.join(settled(lists.where("size > 1"), "key"), "key"))
+    alike = lambda n, m: (5 * n >= 4 * m) & (5 * m >= 4 * n)
+    # Early links: fingerprints within two bits, and the head of every posting list.
+    groups = materialize(prints.groupBy("f").agg(F.min("node").alias("head")))
+    close = links(groups.select("f"), list_bound)
+    for end in ("a", "b"):
+        close = close.join(groups.select(F.col("f").alias(end), F.col("head").alias(f"head_{end}")), end)
+    early = close.select(F.col("head_a").alias("a"), F.col("head_b").alias("b"))
+    early = early.union(prints.join(settled(groups, "f"), "f").select("head", "node"))
+    early = early.union(posted.where(alike(F.col("n"), F.col("head.n"))).select("head.node", "node")).where("a <> b")
+    early = early.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    early = _verified(docs, early, node_col, text_col, shingle)
+    # The complete search, over pairs that early links leave apart.
+    root = settled(components(early), "node")
+    posted = posted.drop("head", "size").join(root, "node", "left").withColumn("root", F.coalesce("root", "node"))
+    mixed = settled(posted.groupBy("key").agg(F.min("root").alias("x"), F.max("root").alias("y")).where("x <> y").select("key"), "key")
+    posted = materialize(posted.join(mixed, "key"))
+    x, y = posted.alias("x"), settled(posted, "key").alias("y")
+    apart = (F.col("x.node") < F.col("y.node")) & (F.col("x.root") != F.col("y.root")) & alike(F.col("x.n"), F.col("y.n"))
+    pairs = x.join(y, (F.col("x.key") == F.col("y.key")) & apart)
+    # Beyond the shared keys, only the shingles after the prefix that ends first can be shared.
+    rest = F.when(F.col("x.last") <= F.col("y.last"), F.col("x.n") - F.col("x.p")).otherwise(F.col("y.n") - F.col("y.p"))
+    pairs = pairs.groupBy(F.col("x.node").alias("a"), F.col("y.node").alias("b"), rest.alias("rest"), (F.col("x.n") + F.col("y.n")).alias("both"))
+    pairs = pairs.count().where(9 * (F.col("count") + F.col("rest")) >= 4 * F.col("both")).select("a", "b")
+    return components(early.union(_verified(docs, pairs, node_col, text_col, shingle)))

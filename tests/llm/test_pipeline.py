@@ -26,3 +26,17 @@ def test_stages_filter_and_keep_the_columns(spark, tmp_path):
     assert ids[2] == set(range(60)) | {102}
     assert ids[3] <= set(range(60)) and len(ids[3]) > 30 and ids[4] == ids[3]
     assert {r.doc_id for r in corpus_pipeline.run(spark, d).select("doc_id").collect()} == ids[4]
+
+
+def test_near_dedup_removes_near_copies_of_many_lines(spark):
+    wrap = lambda words, n: "\n".join(" ".join(words[i : i + n]) for i in range(0, len(words), n))
+    rows = []
+    for i in range(6):
+        words = [f"w{i}x{k}" for k in range(96)]
+        copy = [w if k not in (20, 60) else f"new{i}y{k}" for k, w in enumerate(words)]  # 82 of 102 shingles are shared
+        far = [w if k % 12 != 5 else f"far{i}y{k}" for k, w in enumerate(words)]
+        rows += [(i, wrap(words, 12)), (100 + i, wrap(copy, 19)), (200 + i, wrap(far, 23))]
+    docs = spark.createDataFrame([(i, text, "en", "src0", len(text)) for i, text in rows], "doc_id long, text string, lang string, source string, n_chars long")
+    lines = corpus_pipeline.line_dedup(spark, docs, "").localCheckpoint()
+    assert lines.count() == len(rows)
+    assert sorted(r.doc_id for r in corpus_pipeline.near_dedup(spark, lines, "").collect()) == [*range(6), *range(200, 206)]

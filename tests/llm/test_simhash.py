@@ -3,7 +3,7 @@ import re
 
 import xxhash
 
-from graphweave.llm.simhash import fingerprint, fingerprints, links, near_duplicates
+from graphweave.llm.simhash import fingerprint, fingerprints, links, near_copies, near_duplicates
 
 
 def brute_print(text):
@@ -64,3 +64,35 @@ def test_edge_cases(spark):
     assert sorted((r.doc_id, r.component_id) for r in got) == [(1, 1), (2, 1), (3, 3), (3, 3), (4, 4)]
     assert near_duplicates(fingerprints(docs.limit(0))).count() == 0
     assert links(docs.limit(0).selectExpr("doc_id as f")).count() == 0
+
+
+def test_near_copies_are_all_pairs_of_similarity_four_fifths(spark):
+    rng = random.Random(5)
+    texts = ["", " ", "one", "one two", "One  two"]
+    for base in range(12):
+        words = [f"w{rng.randint(0, 400)}" for _ in range(rng.choice((12, 60, 150, 300)))]
+        for k in range(6):
+            copy = list(words)
+            for _ in range(rng.choice((0, 1, 1, 2, 3, 5, 8))):
+                copy[rng.randrange(len(copy))] = f"n{rng.randint(0, 10**6)}"
+            texts.append(" ".join(copy[: len(copy) - rng.choice((0, 0, 1, 7))]))
+    shared = " ".join(f"p{i}" for i in range(80))  # a passage in texts that are not similar
+    texts += [f"{shared} {' '.join(f'q{k}x{i}' for i in range(100))}" for k in range(20)]
+    texts = sorted(set(texts))
+
+    def shingles(text):
+        words = text.lower().split()
+        return {" ".join(words[i : i + 5]) for i in range(len(words) - 4)} or {" ".join(words)}
+
+    sets, root = [shingles(t) for t in texts], list(range(len(texts)))
+    far = 0
+    for i in range(len(texts)):
+        for j in range(i):
+            if 5 * len(sets[i] & sets[j]) >= 4 * len(sets[i] | sets[j]):
+                far += (fingerprint(texts[i], 5) ^ fingerprint(texts[j], 5)).bit_count() > 2
+                a, b = root[i], root[j]
+                root = [min(a, b) if r in (a, b) else r for r in root]
+    assert far > 10 and len(set(root)) > 20
+    docs = spark.createDataFrame(list(enumerate(texts)), "node long, text string")
+    found = {r.node: r.root for r in near_copies(docs, "node").collect()}
+    assert [found.get(i, i) for i in range(len(texts))] == root
