@@ -34,13 +34,20 @@ def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of near copies, by five-word shingles, the document of least id stays; of rows that repeat an id, one."""
+    """Of each group of near copies, by five-word shingles, one document stays: that of least id, then of least text hash.
+
+    A row is one of its text, not of its id: different texts under one id, or under none, are different documents.
+    """
     node = fresh(docs, "__node")
-    rows = docs.select("doc_id", "text", F.xxhash64(F.coalesce("text", F.lit(""))).alias(node))
+    rows = docs.withColumn(node, F.xxhash64(F.coalesce("text", F.lit(""))))
     found = settled(near_copies(rows, node), "node")
-    grouped = rows.join(found, F.col(node) == F.col("node"), "left").select("doc_id", F.coalesce("root", node).alias("root"))
-    first = grouped.groupBy("root").agg(F.min("doc_id").alias("__id")).select("__id").distinct()
-    return docs.join(first, F.col("doc_id").eqNullSafe(F.col("__id")), "left_semi").dropDuplicates(["doc_id"])
+    grouped = rows.join(found, F.col(node) == F.col("node"), "left").select("doc_id", node, F.coalesce("root", node).alias("root"))
+    keeper = F.min(F.struct(F.col("doc_id").isNull().alias("null"), F.col("doc_id").alias("id"), F.col(node).alias("text")))
+    keeper = grouped.groupBy("root").agg(keeper.alias("keeper")).select(F.col("keeper.id").alias("__id"), F.col("keeper.text").alias("__kept"))
+    kept = rows.join(keeper, F.col("doc_id").eqNullSafe(F.col("__id")) & (F.col(node) == F.col("__kept")), "left_semi")
+    # Rows of one id and text differ in other columns only: the least of them stays.
+    least = kept.groupBy("doc_id", node).agg(F.min(F.struct(*docs.columns)).alias("row"))
+    return least.select("row.*")
 
 
 def source_mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -40,3 +40,12 @@ def test_near_dedup_removes_near_copies_of_many_lines(spark):
     lines = corpus_pipeline.line_dedup(spark, docs, "").localCheckpoint()
     assert lines.count() == len(rows)
     assert sorted(r.doc_id for r in corpus_pipeline.near_dedup(spark, lines, "").collect()) == [*range(6), *range(200, 206)]
+
+
+def test_near_dedup_keeps_different_texts_that_share_an_id(spark):
+    text = lambda name: " ".join(f"{name}{k}" for k in range(30))
+    rows = [(3, text("a"), "s1"), (5, text("a"), "s1"), (5, text("b"), "s2"), (5, text("b"), "s1"), (5, text("c"), "s1")]
+    rows += [(None, text("d"), "s1"), (None, text("e"), "s1"), (None, text("a"), "s1"), (None, None, "s1"), (9, text("e"), "s1")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    got = {(r.doc_id, r.text, r.source) for r in corpus_pipeline.near_dedup(spark, docs, "").collect()}
+    assert got == {(3, text("a"), "s1"), (5, text("b"), "s1"), (5, text("c"), "s1"), (None, text("d"), "s1"), (9, text("e"), "s1"), (None, None, "s1")}
