@@ -97,6 +97,7 @@ def plain_spans(text: str) -> dict[str, list[Span]]:
 # Cyrillic and Greek letters that look like ASCII ones.
 _LOOKALIKES = dict(zip("асеорхуіјѕԁһӏԛԝАВЕКМНОРСТХУІЈЅαορνκιεΑΒΕΖΗΙΚΜΝΟΡΤΥΧ", "aceopxyijsdhlqwABEKMHOPCTXYIJSaopvkieABEZHIKMNOPTYX"))
 _DIGITS = ("zero", "one", "two", "three", "four", "five", "six", "seven", "eight", "nine")
+_SPOKEN = (*_DIGITS, "oh", "plus")
 _VALUE = {w: str(i) for i, w in enumerate(_DIGITS)} | {"oh": "0", "plus": "+"}
 
 _ODD = re.compile("[­Ͱ-֏٠-٩۰-۹०-९​-‏‐-―․⁠−。﹒﹫﻿！-～\U0001d400-\U0001d7ff]")
@@ -105,6 +106,7 @@ _TOKEN = re.compile(r"(?i)[a-z]+|[0-9]+")
 _AT = re.compile(r"(?i)[ ]*[\[({<][ ]*(?:at|@)[ ]*[\])}>][ ]*")
 _SPACED_AT = re.compile(r"(?i)(?<=[a-z0-9])[ ]+at[ ]+(?=[a-z0-9-]+(?:\.|[ ]+dot[ ]+|[ ]*[\[({<][ ]*(?:dot|\.)[ ]*[\])}>])[ ]*[a-z0-9])")
 _DOT = re.compile(r"(?i)[ ]*[\[({<][ ]*(?:dot|\.)[ ]*[\])}>][ ]*|(?<=[a-z0-9])[ ]+dot[ ]+(?=[a-z0-9])")
+_MARKED_DOT = re.compile(r"\.[ ]*[\])}>]")
 
 
 @lru_cache(maxsize=100_000)
@@ -169,23 +171,19 @@ def _spell_out(found: str):
 
 def disguised_spans(text: str, plain: dict[str, list[Span]]) -> dict[str, list[Span]]:
     """Spans that only the rewritten text shows."""
-    low = text.lower()
-    odd = not text.isascii() and _ODD.search(text)
-    spelled = sum(map(low.count, _DIGITS)) >= 4
-    marked = "dot" in low or "at]" in low or "at)" in low or "@" in text or ".]" in low or ".)" in low or "at " in low and "." in low
     none: dict[str, list[Span]] = {kind: [] for kind in KINDS}
-    if not odd and not spelled and not marked:
-        return none
     seen = _Lazy(text)
-    if odd:
+    if not text.isascii():
         seen.apply(_ODD, lambda s: [(_plain_letter(s), 0, 1)])
-    if marked:
-        if "at" in low or "@" in text or odd:
-            seen.apply(_AT, lambda s: [("@", 0, len(s))])
-        if "dot" in seen.text.lower() or ".]" in low or ".)" in low or ".}" in low:
-            seen.apply(_SPACED_AT, lambda s: [("@", 0, len(s))] )
-            seen.apply(_DOT, lambda s: [(".", 0, len(s))])
-    if spelled:
+    # What the other transducers need is looked for in what this one made; each test holds wherever its pattern matches.
+    low = seen.text.lower()
+    if "at" in low or "@" in low:
+        seen.apply(_AT, lambda s: [("@", 0, len(s))])
+        if "at" in low:
+            seen.apply(_SPACED_AT, lambda s: [("@", 0, len(s))])
+    if "dot" in low or _MARKED_DOT.search(low):
+        seen.apply(_DOT, lambda s: [(".", 0, len(s))])
+    if sum(map(low.count, _SPOKEN)):
         seen.apply(_SPELLED, _spell_out)
     if not seen.changed:
         return none

@@ -48,3 +48,34 @@ def test_documents(spark):
     assert got == [(1, [], []), (2, [], []), three, three]
     assert pii.find_personal_data(docs.limit(0)).count() == 0
     assert pii.redact("call a@b.co now", [(5, 11)]) == "call [removed] now"
+
+
+def test_disguises_need_no_other_sign_in_the_text():
+    for text, kind, span in (
+        ("mail john at example.com", "email", "john at example.com"),
+        ("john [аt] example [dоt] com", "email", "john [аt] example [dоt] com"),
+        ("john [at] example [d​ot] com", "email", "john [at] example [d​ot] com"),
+        ("john {at} example.com", "email", "john {at} example.com"),
+        ("john <at> example.com", "email", "john <at> example.com"),
+        ("john@example{ . }com", "email", "john@example{ . }com"),
+        ("plus оne two thrеe fоur five five five six sevеn", "phone", "plus оne two thrеe fоur five five five six sevеn"),
+        ("ring plus 4 4 oh 2 0 7 9 4 6", "phone", "plus 4 4 oh 2 0 7 9 4 6"),
+    ):
+        found = pii.disguised_spans(text, pii.plain_spans(text))
+        assert [text[a:b] for a, b in found[kind]] == [span], text
+
+
+def test_every_test_before_a_transducer_holds_where_its_pattern_matches():
+    rng = random.Random(4)
+    parts = ("at", "AT", "аt", "dot", "d​ot", "dоt", " ", "  ", "[", "]", "(", ")", "{", "}", "<", ">", ".", "@", "john", "x", "com", "oh", "one", "plus", "five", "7", "-")
+    plain = (pii._ODD, lambda s: [(pii._plain_letter(s), 0, 1)])
+    at, dot = (lambda s: [("@", 0, len(s))]), (lambda s: [(".", 0, len(s))])
+    for _ in range(8000):
+        text = "".join(rng.choice(parts) for _ in range(rng.randint(1, 14)))
+        seen = pii.Rewritten(text)
+        for pattern, rewrite in (plain, (pii._AT, at), (pii._SPACED_AT, at), (pii._DOT, dot), (pii._SPELLED, pii._spell_out)):
+            seen.apply(pattern, rewrite)
+        spans = {k: [seen.source(s) for s in v if k != "email" or seen.text[s[0] : s[1]].rpartition(".")[2].isalpha()] for k, v in pii.plain_spans(seen.text).items()}
+        known = pii.plain_spans(text)
+        want = {k: [s for s in v if not any(s[0] < e and b < s[1] for b, e in known[k])] for k, v in spans.items()}
+        assert pii.disguised_spans(text, known) == want, text
