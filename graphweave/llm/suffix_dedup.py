@@ -1,23 +1,27 @@
 """Removal of repeated passages by a suffix array over synchronised positions.
 
 Every window of ``span`` bytes names one anchor in it: the place of the least hash among its ``lead``-byte
-strings, the leftmost of equals. Equal windows name anchors at the same place, so only suffixes at anchors
-(about one in 170 bytes) need to be compared: the suffix array is sparse but loses no pair of equal windows.
-An anchor stands for the run of window starts that name it; its context is the text that these windows cover.
-
-1. Anchors are counted by their leading string. A lead that occurs once has no equal windows; a lead whose
-   occurrences all have one context repeats as a whole. Copies are counted with map-side combine, and equal
-   texts stand for each other from the start, so groups of copies of any size stay one row a task.
-2. Contexts of the other leads, each different one once, are range-partitioned by lead with sampled splitters
-   and sorted. A bucket sorts the window suffixes of each lead by multikey quicksort over leading tokens (block
-   fingerprints of an eighth of a window): a round splits only suffixes still tied, neighbours tied to the end
-   are equal windows. Equal keys of a range partitioning never straddle a boundary.
-3. A lead with more than ``group_bound`` different contexts would overfill one bucket; its windows are dealt out
-   by fingerprint instead and counted, which compares across all buckets. Both ways are exact (up to collisions
-   of fingerprints of 128 bits and more).
-
-Defined results: null and empty texts have nothing to remove; repeated rows are copies of each other; windows
-never cross texts; texts of any length are compared whole; an empty table gives no rows.
+strings, the leftmost of equals. Equal windows name anchors at the same offset, so the suffix array is sparse
+(suffixes are taken relative to anchors, about one in 170 bytes) and still loses no pair of equal windows.
+
+A row of the array stands for the windows of one anchor whose offsets fall into one block of ``size`` offsets.
+Its suffix begins where the block's windows all are (their common part, the core) and goes on to all that they
+cover (the hull). Rows are ordered by the suffix's leading tokens: its first sixteen bytes, the rest of the core,
+then the hull, the last two as fingerprints. Sampled splitters range-partition the rows by these tokens; a group
+of equal suffixes, however large, is cut at splitters of its own by text and place. Buckets sort by multikey
+quicksort and compare neighbours; the first and last rows of buckets are compared across the boundaries.
+
+* A neighbour with the same core and hull: all windows of the row are repeated.
+* A neighbour with the same core and another hull: some may be; the row goes on, cut into smaller blocks. Of a
+  run of equal hulls only the first and the last row go on, as witnesses for the others of the core.
+* No neighbour with the same core: none of its windows is repeated.
+
+At blocks of one offset core and hull are the window itself and nothing is left open, so the result is exact up
+to collisions of two independent 64-bit fingerprints and sixteen plain bytes.
+
+Defined results: null and empty texts have nothing to remove; repeated rows are copies of each other and lose
+all windows; windows never cross texts; texts of any length are compared whole; an empty table gives no rows; of
+the input's columns only the id and the text take part.
 """
 
 from __future__ import annotations
@@ -27,16 +31,19 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark import TaskContext
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
+from pyspark.sql.window import Window as W
 
 from graphweave.llm.common import map_texts, materialize, settled, slots, stored
-from graphweave.llm.line_dedup import _maybe_in
 
-_MIX = np.random.Generator(np.random.PCG64(7)).integers(1, 2**63, 256, dtype=np.uint64) | np.uint64(1)
-_BASE = 0x9E3779B97F4A7C15
-_INVERSE = pow(_BASE, -1, 1 << 64)
+_LETTERS = np.random.Generator(np.random.PCG64(7)).integers(1, 2**63, (2, 256), dtype=np.uint64) | np.uint64(1)
+_BASES = (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F)
+_HEAD = 16
+#: Rows that a bucket of the suffix array holds on average.
+ROWS_PER_BUCKET = 200_000
 _powers: dict[int, np.ndarray] = {}
 
 
@@ -56,12 +63,13 @@ def _finish(x: np.ndarray) -> np.ndarray:
 
 
 class Fingerprints:
-    """Fingerprints of any substrings of a byte array, by prefix sums of a polynomial."""
+    """Fingerprints of any substrings of a byte array, by prefix sums of a polynomial; two kinds are independent."""
 
-    def __init__(self, data: np.ndarray):
+    def __init__(self, data: np.ndarray, kind: int = 0):
+        base = _BASES[kind]
         self.up = np.zeros(len(data) + 1, np.uint64)
-        np.cumsum(_MIX[data] * _power(_BASE, len(data))[: len(data)], out=self.up[1:])
-        self.down = _power(_INVERSE, len(data))
+        np.cumsum(_LETTERS[kind][data] * _power(base, len(data))[: len(data)], out=self.up[1:])
+        self.down = _power(pow(base, -1, 1 << 64), len(data))
 
     def of(self, begin: np.ndarray, end: np.ndarray) -> np.ndarray:
         return _finish((self.up[end] - self.up[begin]) * self.down[begin] + (end - begin).astype(np.uint64))
@@ -71,17 +79,13 @@ class Fingerprints:
         return _finish((self.up[length:] - self.up[:n]) * self.down[:n]) if n > 0 else np.zeros(0, np.uint64)
 
 
-def anchors(raws: list[bytes], span: int, lead: int) -> list[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
-    """For each text: first window start, context length, lead and context fingerprint of every anchor."""
-    empty = np.zeros(0, np.int64)
-    none = (empty, empty, empty, empty)
-    data = np.frombuffer(b"".join(raws), np.uint8)
+def anchors(data: np.ndarray, ends: np.ndarray, prints: Fingerprints, span: int, lead: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Of texts that lie end to end in data: places of anchors, and the first and last window start that names each."""
+    none = np.zeros(0, np.int64)
     if len(data) < span:
-        return [none] * len(raws)
-    ends = np.cumsum([len(r) for r in raws])
-    prints = Fingerprints(data)
-    leads = prints.fixed(lead)
+        return none, none, none
     reach = span - lead + 1
+    leads = prints.fixed(lead)
     keys = (leads & np.uint64(0xFFFFFFFF00000000)) | np.arange(len(leads), dtype=np.uint64)
     width = -(-len(keys) // reach)
     grid = np.full(width * reach, np.iinfo(np.uint64).max, np.uint64)
@@ -90,201 +94,223 @@ def anchors(raws: list[bytes], span: int, lead: int) -> list[tuple[np.ndarray, n
     ahead = np.minimum.accumulate(grid, axis=1).reshape(-1)
     behind = np.minimum.accumulate(grid[:, ::-1], axis=1)[:, ::-1].reshape(-1)
     n = len(data) - span + 1
-    anchor = (np.minimum(behind[:n], ahead[reach - 1 : reach - 1 + n]) & np.uint64(0xFFFFFFFF)).astype(np.int64)
-    owner = np.searchsorted(ends, np.arange(n), side="right")
-    starts = np.flatnonzero(np.arange(n) + span <= ends[owner])
+    named = (np.minimum(behind[:n], ahead[reach - 1 : reach - 1 + n]) & np.uint64(0xFFFFFFFF)).astype(np.int64)
+    inside = np.ones(n, bool)  # windows that do not cross the end of a text
+    for end in ends.tolist():
+        inside[max(0, end - span + 1) : end] = False
+    starts = np.flatnonzero(inside)
     if not len(starts):
-        return [none] * len(raws)
-    named = anchor[starts]
-    first = np.flatnonzero(np.concatenate([[True], (named[1:] != named[:-1])]))
+        return none, none, none
+    named = named[starts]
+    first = np.flatnonzero(np.concatenate([[True], (named[1:] != named[:-1]) | (starts[1:] != starts[:-1] + 1)]))
     last = np.concatenate([first[1:] - 1, [len(starts) - 1]])
-    low, high = starts[first], starts[last]
-    k, c = leads[named[first]].view(np.int64), prints.of(low, high + span).view(np.int64)
-    whose = owner[low]
-    begin = np.concatenate([[0], ends[:-1]])
-    low, size = low - begin[whose], high + span - low
-    cut = np.searchsorted(whose, np.arange(len(raws) + 1))
-    return [(low[a:b], size[a:b], k[a:b], c[a:b]) for a, b in zip(cut, cut[1:])]
-
-
-def tied_suffixes(tokens: np.ndarray) -> np.ndarray:
-    """Which rows of tokens (suffix, token) equal another row: multikey quicksort, tied groups only go on."""
-    at, group = np.arange(len(tokens)), np.zeros(len(tokens), np.int64)
-    for column in tokens.T:
-        key = column[at]
-        order = np.lexsort((key, group))
-        at, group, key = at[order], group[order], key[order]
-        new = np.concatenate([[True], (group[1:] != group[:-1]) | (key[1:] != key[:-1])]) if len(at) else np.zeros(0, bool)
-        group = np.cumsum(new)
-        alone = new & np.concatenate([new[1:], [True]]) if len(at) else new
-        at, group = at[~alone], group[~alone]
-    out = np.zeros(len(tokens), bool)
-    out[at] = True
-    return out
-
-
-def _windows(contexts: list[bytes], span: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Of all windows of contexts: context number, start in it, and the tokens."""
-    data = np.frombuffer(b"".join(contexts), np.uint8)
-    sizes = np.fromiter(map(len, contexts), np.int64, len(contexts))
-    counts = sizes - span + 1
-    whose = np.repeat(np.arange(len(contexts)), counts)
-    start = np.arange(counts.sum()) - np.repeat(np.cumsum(counts) - counts, counts)
-    place = start + (np.cumsum(sizes) - sizes)[whose]
-    step = span // 8
-    blocks = Fingerprints(data).fixed(step)
-    return whose, start, np.stack([blocks[place + j] for j in (*range(0, span - step + 1, step), span - step)], 1)
-
-
-def _covered(starts: np.ndarray, span: int) -> tuple[list[int], list[int]]:
-    """Maximal runs of bytes under windows that begin at the (sorted) starts."""
-    if not len(starts):
-        return [], []
-    cut = np.flatnonzero(np.diff(starts) > span)
-    return starts[np.concatenate([[0], cut + 1])].tolist(), (starts[np.concatenate([cut, [len(starts) - 1]])] + span).tolist()
-
-
-def repeated_spans(docs: DataFrame, span: int = 400, lead: int = 64, text_col: str = "text", group_bound: int = 2048) -> DataFrame:
-    """(t1, t2, begins, ends): for texts (by two hashes) with repeated windows, the merged runs of their bytes."""
+    return named[first], starts[first], starts[last]
+
+
+def suffix_rows(data: np.ndarray, prints: Fingerprints, at: np.ndarray, low: np.ndarray, high: np.ndarray, size: int, span: int, lead: int):
+    """Rows of blocks of ``size`` offsets, for anchors at places ``at`` with windows at offsets low to high before them.
+
+    Returns the number of the anchor, the row's offsets, and the tokens of its suffix.
+    """
+    first = low // size
+    count = high // size - first + 1
+    who = np.repeat(np.arange(len(at)), count)
+    block = (first[who] + np.arange(len(who)) - np.repeat(np.cumsum(count) - count, count)) * size
+    place, lo, hi = at[who], np.maximum(low[who], block), np.minimum(high[who], block + size - 1)
+    begin = place - block
+    core = _finish(prints.of(begin, begin - (size - 1) + span) + _finish(prints.of(place, place + lead) + block.astype(np.uint64)))
+    hull = _finish(Fingerprints(data, 1).of(place - hi, place - lo + span) + (lo * span + hi).astype(np.uint64))
+    head = np.ascontiguousarray(data[begin[:, None] + np.arange(_HEAD)]).view(">u8").astype(np.uint64) ^ np.uint64(1 << 63)
+    return who, lo, hi, *(x.view(np.int64) for x in (np.ascontiguousarray(head[:, 0]), np.ascontiguousarray(head[:, 1]), core, hull))
+
+
+def multikey_order(columns: list[np.ndarray]) -> np.ndarray:
+    """The order of rows by their columns: each round sorts only runs that are tied so far."""
+    order = np.argsort(columns[0], kind="stable")
+    tied = columns[0][order][1:] == columns[0][order][:-1]
+    for column in columns[1:]:
+        if not tied.any():
+            break
+        open_at = np.flatnonzero(np.concatenate([[False], tied]) | np.concatenate([tied, [False]]))
+        run = np.cumsum(np.concatenate([[True], ~tied]))[open_at]
+        order[open_at] = order[open_at][np.lexsort((column[order[open_at]], run))]
+        tied &= column[order][1:] == column[order][:-1]
+    return order
+
+
+_KEYS = ("h1", "h2", "core", "hull")
+_ROW = ("t1", "t2", "at", "lo", "hi")
+
+
+def _sorted_bucket(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """One bucket in suffix order, its neighbours compared: rows that a neighbour resembles, and both ends."""
+    table = pa.Table.from_batches(held) if (held := list(batches)) else None
+    if table is None or not len(table):
+        return
+    keys = [table[k].to_numpy() for k in _KEYS]
+    order = multikey_order(keys)
+    keys = [k[order] for k in keys]
+    core = np.logical_and.reduce([k[1:] == k[:-1] for k in keys[:3]])
+    hull = core & (keys[3][1:] == keys[3][:-1])
+    shared, mixed = np.zeros(len(order), bool), np.zeros(len(order), bool)
+    for flag, pair in ((shared, hull), (mixed, core & ~hull)):
+        flag[1:] |= pair
+        flag[:-1] |= pair
+    edge = np.zeros(len(order), np.int32)
+    edge[-1] = 2
+    edge[0] = 1
+    out = np.flatnonzero(shared | mixed | (edge > 0))
+    rows = table.select(list(_ROW)).take(pa.array(order[out]))
+    made = {"shared": pa.array(shared[out]), "mixed": pa.array(mixed[out]), "edge": pa.array(edge[out])}
+    made["bucket"] = pa.array(np.full(len(out), TaskContext.get().partitionId(), np.int32))
+    for name, column in [*made.items(), *((k, pa.array(x[out])) for k, x in zip(_KEYS, keys))]:
+        rows = rows.append_column(name, column)
+    yield from rows.combine_chunks().to_batches(max_chunksize=50_000)
+
+
+def compared(rows: DataFrame) -> DataFrame:
+    """(t1, t2, at, lo, hi, shared, mixed): rows of the suffix array that a neighbour resembles."""
+    buckets = max(slots(rows.sparkSession), -(-rows.count() // ROWS_PER_BUCKET))
+    dealt = rows.repartitionByRange(buckets, *_KEYS, "t1", "at")
+    schema = "t1 long, t2 long, at int, lo int, hi int, shared boolean, mixed boolean, edge int, bucket int, h1 long, h2 long, core long, hull long"
+    judged = materialize(dealt.mapInArrow(_sorted_bucket, schema))
+    # Across boundaries: two rows a bucket.
+    order, key = W.orderBy("bucket", "edge"), F.struct(*_KEYS)
+    ends = judged.where("edge > 0").select("*", F.lag(key).over(order).alias("before"), F.lead(key).over(order).alias("after"))
+
+    def same(other: str, keys: tuple[str, ...]) -> Column:
+        equal = F.lit(True)
+        for k in keys:
+            equal = equal & (F.col(f"{other}.{k}") == F.col(k))
+        return F.coalesce(equal, F.lit(False))
+
+    core = {o: same(o, _KEYS[:3]) for o in ("before", "after")}
+    hull = {o: same(o, _KEYS) for o in core}
+    shared = F.col("shared") | hull["before"] | hull["after"]
+    mixed = F.col("mixed") | (core["before"] & ~hull["before"]) | (core["after"] & ~hull["after"])
+    ends = ends.select(*_ROW, shared.alias("shared"), mixed.alias("mixed"))
+    return judged.where("edge = 0").select(*_ROW, "shared", "mixed").union(ends).where("shared or mixed")
+
+
+def _block_sizes(span: int) -> list[int]:
+    """Offsets in a block, from the widest whose windows have more than a head in common down to one."""
+    sizes = [1 << (span - _HEAD).bit_length() - 1]
+    while sizes[-1] > 1:
+        sizes.append(max(1, sizes[-1] // 16))
+    return sizes
+
+
+def repeated_spans(docs: DataFrame, span: int = 400, lead: int = 64, text_col: str = "text") -> DataFrame:
+    """(t1, t2, whole, spans): texts (by two hashes) with repeated windows, and bytes (b, e) that these cover.
+
+    whole: the text occurs more than once, so all of it goes. Spans may overlap and come in no order.
+    """
+    if not 0 < lead <= span - _HEAD:
+        raise ValueError("the lead must leave room for a head in the span")
     text = F.coalesce(F.col(text_col), F.lit(""))
     texts = docs.select(text.alias("text"), F.xxhash64(text).alias("t1"), F.xxhash64(F.lit(1), text).alias("t2")).where(F.octet_length("text") >= span)
-
-    def kernel(batch: list[str]) -> list:
-        found = anchors([t.encode("utf-8", "surrogatepass") for t in batch], span, lead)
-        return [list(column) for column in zip(*found)]
-
-    integers, longs = T.ArrayType(T.IntegerType()), T.ArrayType(T.LongType())
-    found = map_texts(texts, lambda: kernel, [("low", integers), ("size", integers), ("k", longs), ("c", longs)], ("t1", "t2"), chars_per_call=1_000_000)
-    found = found.groupBy("t1", "t2").agg(F.count("*").alias("copies"), F.any_value(F.struct("low", "size", "k", "c")).alias("x"))
-    distinct = stored(found.select("t1", "t2", "copies", "x.*"))
-    rows = distinct.select("t1", "t2", "copies", F.inline(F.arrays_zip("low", "size", "k", "c")))
-    # Leads that occur more than once.
-    leads = rows.groupBy("k").agg(F.count("*").alias("n"), F.max("copies").alias("most"), F.min("c").alias("a"), F.max("c").alias("b"))
-    leads = materialize(leads.where("n > 1").select("k", (F.col("a") != F.col("b")).alias("mixed")))
-    members = _maybe_in(rows, "k", leads.select("k")).join(settled(leads, "k"), "k")
-    members = stored(members)
-    # One context of each kind, and the leads with too many kinds for one bucket.
-    kinds = members.groupBy("k", "c").agg(F.count("*").alias("n"), F.sum("copies").alias("copies"), F.any_value(F.struct("t1", "t2", "low", "size")).alias("at"), F.any_value("mixed").alias("mixed"))
-    kinds = stored(kinds.select("k", "c", "n", "copies", "at.*", "mixed"))
-    whole = kinds.where("not mixed").select("k", "c", F.array(F.lit(0)).alias("begins"), F.array("size").alias("ends"))
-    mixed = kinds.where("mixed")
-    many = materialize(mixed.groupBy("k").agg(F.count("*").alias("kinds")).where(F.col("kinds") > group_bound).select("k", F.lit(True).alias("many")))
-    mixed = mixed.join(settled(many, "k"), "k", "left").withColumn("many", F.coalesce("many", F.lit(False)))
-    # The contexts' bytes, from one scan of the texts that hold them.
-    wanted = mixed.groupBy("t1", "t2").agg(F.collect_list(F.struct("low", "size", "k", "c", F.expr("copies > 1").alias("again"), "many")).alias("xs"))
-    wanted = materialize(wanted)
-    holders = _maybe_in(texts, "t1", wanted.select("t1")).join(settled(wanted, "t1", "t2"), ["t1", "t2"]).select("text", "t1", "t2", "xs")
-    holders = holders.select(F.encode("text", "UTF-8").alias("raw"), "t1", "t2", F.explode("xs").alias("x"))
-    contexts = holders.select("x.k", "x.c", "x.again", "x.many", F.expr("substring(raw, x.low + 1, x.size)").alias("context"))
-    contexts = stored(contexts.dropDuplicates(["k", "c"]))
-    schema = "k long, c long, begins array<int>, ends array<int>"
-
-    def sort_buckets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for names, contexts, again, groups in _groups(batches):
-            whose, start, tokens = _windows(contexts, span)
-            tied = tied_suffixes(np.concatenate([groups[whose][:, None].astype(np.uint64), tokens], 1)) | again[whose]
-            yield from _answers(names, contexts, whose, start, tied, span)
-
-    buckets = contexts.where("not many").repartitionByRange(slots(docs.sparkSession), "k").sortWithinPartitions("k")
-    sorted_spans = buckets.select("k", "c", "again", "context").mapInArrow(sort_buckets, schema)
-
-    def deal_windows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    sizes = _block_sizes(span)
+
+    def first_rows(batch: list[str]) -> list:
+        raws = [t.encode("utf-8", "surrogatepass") for t in batch]
+        data = np.frombuffer(b"".join(raws), np.uint8)
+        ends = np.cumsum([len(r) for r in raws])
+        prints = Fingerprints(data)
+        at, first, last = anchors(data, ends, prints, span, lead)
+        who, lo, hi, *tokens = suffix_rows(data, prints, at, at - last, at - first, sizes[0], span, lead)
+        owner = np.searchsorted(ends, at, side="right")[who]
+        cut = np.searchsorted(owner, np.arange(len(raws) + 1))
+        columns = [at[who] - np.concatenate([[0], ends])[owner], lo, hi, *tokens]
+        return [[c[a:b] for a, b in zip(cut, cut[1:])] for c in columns]
+
+    names, integers, longs = (*_ROW[2:], *_KEYS), T.ArrayType(T.IntegerType()), T.ArrayType(T.LongType())
+    fields = [(n, longs if n in _KEYS else integers) for n in names]
+    found = map_texts(texts, lambda: first_rows, fields, ("t1", "t2"), chars_per_call=1_000_000)
+    found = found.groupBy("t1", "t2").agg((F.count("*") > 1).alias("whole"), F.any_value(F.struct(*names)).alias("x"))
+    distinct = stored(found.select("t1", "t2", "whole", "x.*"))
+    rows = distinct.select("t1", "t2", F.inline(F.arrays_zip(*names)))
+
+    # The widest blocks, then ever narrower ones of what is left open.
+    covered = lambda df: df.where("shared").select("t1", "t2", (F.col("at") - F.col("hi")).alias("b"), (F.col("at") - F.col("lo") + span).alias("e"))
+    judged = materialize(compared(rows))
+    spans = covered(judged)
+    contexts = None
+    for size in sizes[1:]:
+        left = judged.where("mixed").select(*_ROW)
+        if contexts is None:
+            wanted = left.groupBy("t1", "t2").agg(F.collect_list(F.struct("at", "lo", "hi")).alias("xs"))
+            whole = texts.groupBy("t1", "t2").agg(F.any_value("text").alias("text"))
+            found = whole.join(settled(wanted, "t1", "t2"), ["t1", "t2"]).select("t1", "t2", F.encode("text", "UTF-8").alias("raw"), F.explode("xs").alias("x"))
+            piece = F.expr(f"substring(raw, x.at - x.hi + 1, x.hi - x.lo + {span})")
+            left = contexts = stored(found.select("t1", "t2", "x.*", piece.alias("piece"), F.col("x.hi").alias("before")))
+        else:
+            outer = contexts.select("t1", "t2", "at", (F.col("lo") / sizes[0]).cast("int").alias("o"), "piece", "before")
+            left = left.withColumn("o", (F.col("lo") / sizes[0]).cast("int")).join(outer, ["t1", "t2", "at", "o"])
+        judged = materialize(compared(stored(_narrower(left, size, span, lead))))
+        spans = spans.union(covered(judged))
+    copied = distinct.where("whole").select("t1", "t2", F.lit(True).alias("whole"), F.array().cast("array<struct<b:int,e:int>>").alias("spans"))
+    spans = spans.join(settled(copied.select("t1", "t2"), "t1", "t2"), ["t1", "t2"], "left_anti")
+    return spans.groupBy("t1", "t2").agg(F.lit(False).alias("whole"), F.collect_list(F.struct("b", "e")).alias("spans")).union(copied)
+
+
+def _narrower(left: DataFrame, size: int, span: int, lead: int) -> DataFrame:
+    """Suffix rows of narrower blocks, from pieces of text that hold the windows; the anchor is ``before`` bytes into a piece."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for a in range(0, len(batch), 512):
-                part = batch.slice(a, 512)
-                whose, start, tokens = _windows(part.column("context").to_pylist(), span)
-                mix = tokens * (np.arange(1, tokens.shape[1] + 1, dtype=np.uint64) * np.uint64(_BASE) | np.uint64(1))
-                keys = [_finish(mix.sum(axis=1)), _finish((mix ^ (mix >> np.uint64(29))).sum(axis=1))]
-                name = [part.column(i).to_numpy(zero_copy_only=False)[whose] for i in (0, 1, 2)]
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(keys[0].view(np.int64)), pa.array(keys[1].view(np.int64)), *map(pa.array, name), pa.array(start.astype(np.int32))],
-                    names=["w1", "w2", "k", "c", "again", "start"],
-                )
-
-    dealt = contexts.where("many").select("k", "c", "again", "context").mapInArrow(deal_windows, "w1 long, w2 long, k long, c long, again boolean, start int")
-    dealt = stored(dealt)
-    twice = dealt.groupBy("w1", "w2").agg(F.count("*").alias("n")).where("n > 1")
-    hit = dealt.join(settled(twice, "w1", "w2"), ["w1", "w2"], "left").where("again or n > 1")
-    hit = hit.groupBy("k", "c").agg(F.sort_array(F.collect_list("start")).alias("begins"))
-    dealt_spans = hit.select("k", "c", "begins", F.transform("begins", lambda s: s + span).alias("ends"))
-    spans = materialize(whole.union(sorted_spans).union(dealt_spans))
-    # Back to all members, merged in each text; copied texts go as a whole.
-    spans = members.join(settled(spans, "k", "c"), ["k", "c"])
-    spans = spans.where("copies = 1").select("t1", "t2", F.transform(F.arrays_zip("begins", "ends"), lambda s: F.struct((s.begins + F.col("low")).alias("b"), (s.ends + F.col("low")).alias("e"))).alias("s"))
-    merged = spans.groupBy("t1", "t2").agg(F.sort_array(F.flatten(F.collect_list("s"))).alias("s"))
-    step = lambda acc, x: F.when(
-        (F.size(acc) > 0) & (F.element_at(acc, -1).e >= x.b),
-        F.concat(F.slice(acc, 1, F.size(acc) - 1), F.array(F.struct(F.element_at(acc, -1).b.alias("b"), F.greatest(F.element_at(acc, -1).e, x.e).alias("e")))),
-    ).otherwise(F.concat(acc, F.array(x)))
-    merged = merged.select("t1", "t2", F.aggregate("s", F.array().cast("array<struct<b:int,e:int>>"), step).alias("s"))
-    partly = merged.select("t1", "t2", F.col("s.b").alias("begins"), F.col("s.e").alias("ends")).where("size(begins) > 0")
-    wholly = distinct.where("copies > 1").select("t1", "t2", F.lit(None).cast("array<int>").alias("begins"), F.lit(None).cast("array<int>").alias("ends"))
-    return materialize(partly.union(wholly))
-
-
-def _groups(batches: Iterator[pa.RecordBatch], most_bytes: int = 1_000_000):
-    """Rows sorted by lead, in pieces that never part the rows of one lead."""
-    held: list[tuple[int, int, bool, bytes]] = []
-    size = 0
-
-    def packed(rows):
-        groups = np.unique(np.array([r[0] for r in rows], np.int64), return_inverse=True)[1]
-        return [r[:2] for r in rows], [r[3] for r in rows], np.array([r[2] for r in rows], bool), groups
-
-    for batch in batches:
-        for row in zip(*(batch.column(i).to_pylist() for i in range(4))):
-            if size > most_bytes and row[0] != held[-1][0]:
-                yield packed(held)
-                held, size = [], 0
-            held.append(row)
-            size += len(row[3])
-    if held:
-        yield packed(held)
-
-
-def _answers(names, contexts, whose, start, tied, span) -> Iterator[pa.RecordBatch]:
-    cut = np.searchsorted(whose[tied], np.arange(len(contexts) + 1))
-    places = start[tied]
-    found = [(k, c, *_covered(places[a:b], span)) for (k, c), a, b in zip(names, cut, cut[1:]) if b > a]
-    if found:
-        k, c, begins, ends = zip(*found)
-        kind = pa.list_(pa.int32())
-        yield pa.RecordBatch.from_arrays([pa.array(k, pa.int64()), pa.array(c, pa.int64()), pa.array(begins, kind), pa.array(ends, kind)], names=["k", "c", "begins", "ends"])
-
-
-def remove_repeats(docs: DataFrame, span: int = 400, lead: int = 64, id_col: str = "doc_id", text_col: str = "text", group_bound: int = 2048) -> DataFrame:
+            for a in range(0, len(batch), 1024):
+                part = batch.slice(a, 1024)
+                pieces = part.column(6).to_pylist()
+                data = np.frombuffer(b"".join(pieces), np.uint8)
+                begin = np.cumsum([0, *map(len, pieces)])[:-1]
+                at, low, high, before = (part.column(i).to_numpy(zero_copy_only=False).astype(np.int64) for i in (2, 3, 4, 5))
+                who, lo, hi, *tokens = suffix_rows(data, Fingerprints(data), begin + before, low, high, size, span, lead)
+                rows = [part.column(i).take(pa.array(who)) for i in (0, 1, 2)]
+                made = [pa.array(x.astype(np.int32)) for x in (lo, hi)]
+                yield pa.RecordBatch.from_arrays([*rows, *made, *map(pa.array, tokens)], names=[*_ROW, *_KEYS])
+
+    schema = "t1 long, t2 long, at int, lo int, hi int, h1 long, h2 long, core long, hull long"
+    return left.select(*_ROW, "before", "piece").mapInArrow(run, schema)
+
+
+def merged(spans: list[dict]) -> tuple[list[int], list[int]]:
+    """Begins and ends of maximal runs of bytes under the spans."""
+    begins: list[int] = []
+    ends: list[int] = []
+    for b, e in sorted((s["b"], s["e"]) for s in spans):
+        if ends and b <= ends[-1]:
+            ends[-1] = max(ends[-1], e)
+        else:
+            begins.append(b)
+            ends.append(e)
+    return begins, ends
+
+
+def remove_repeats(docs: DataFrame, span: int = 400, lead: int = 64, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(id_col, n_bytes, n_removed, n_spans, kept_sha256), and begins and ends of the removed runs of bytes."""
-    found = repeated_spans(docs, span, lead, text_col, group_bound)
+    found = repeated_spans(docs, span, lead, text_col)
     text = F.coalesce(F.col(text_col), F.lit(""))
-    every = docs.select(F.col(id_col), F.octet_length(text).cast("long").alias("n_bytes"), F.sha2(text, 256).alias("whole"), F.xxhash64(text).alias("t1"), F.xxhash64(F.lit(1), text).alias("t2"))
-    partly = found.where("begins is not null")
-    texts = docs.select(text.alias("text"), F.xxhash64(text).alias("t1"), F.xxhash64(F.lit(1), text).alias("t2"))
-    texts = _maybe_in(texts, "t1", partly.select("t1")).join(settled(partly, "t1", "t2"), ["t1", "t2"])
-    schema = T.StructType([T.StructField("t1", T.LongType()), T.StructField("t2", T.LongType()), T.StructField("kept", T.StringType())])
-
-    def digest(batches):
+    every = docs.select(F.col(id_col).alias("id"), text.alias("text"), F.xxhash64(text).alias("t1"), F.xxhash64(F.lit(1), text).alias("t2"))
+    rows = every.join(settled(found, "t1", "t2"), ["t1", "t2"], "left")
+    fields = [(n, T.LongType()) for n in ("n_bytes", "n_removed", "n_spans")] + [("kept_sha256", T.StringType())]
+    fields += [(n, T.ArrayType(T.IntegerType())) for n in ("begins", "ends")]
+    kind = docs.schema[id_col].dataType
+    schema = T.StructType([T.StructField(id_col, kind), *(T.StructField(n, t) for n, t in fields)])
+
+    def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            kept = []
-            for raw, begins, ends in zip(*(batch.column(i).to_pylist() for i in (2, 3, 4))):
-                sha, at = hashlib.sha256(), 0
-                for b, e in zip(begins, ends):
-                    sha.update(raw[at:b])
-                    at = e
-                sha.update(raw[at:])
-                kept.append(sha.hexdigest())
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(kept, pa.string())], names=["t1", "t2", "kept"])
-
-    digests = texts.select("t1", "t2", F.encode("text", "UTF-8").alias("raw"), "begins", "ends").mapInArrow(digest, schema)
-    decided = found.join(settled(digests, "t1", "t2"), ["t1", "t2"], "left").withColumn("found", F.lit(True))
-    rows = every.join(settled(decided, "t1", "t2"), ["t1", "t2"], "left")
-    gone = F.col("found").isNotNull()
-    all_gone = gone & F.col("begins").isNull()
-    return rows.select(
-        id_col,
-        "n_bytes",
-        F.when(all_gone, F.col("n_bytes")).when(gone, F.aggregate(F.zip_with("begins", "ends", lambda b, e: (e - b).cast("long")), F.lit(0).cast("long"), lambda s, x: s + x)).otherwise(0).alias("n_removed"),
-        F.when(all_gone, 1).when(gone, F.size("begins")).otherwise(0).cast("long").alias("n_spans"),
-        F.when(all_gone, F.sha2(F.lit(""), 256)).when(gone, F.col("kept")).otherwise(F.col("whole")).alias("kept_sha256"),
-        F.when(all_gone, F.array(F.lit(0))).otherwise(F.col("begins")).alias("begins"),
-        F.when(all_gone, F.array(F.col("n_bytes").cast("int"))).otherwise(F.col("ends")).alias("ends"),
-    )
+            for a in range(0, len(batch), 256):
+                part = batch.slice(a, 256)
+                out: list[list] = [[] for _ in fields]
+                for raw, whole, spans in zip(*(part.column(i).to_pylist() for i in (1, 2, 3))):
+                    begins, ends = ([0], [len(raw)]) if whole else merged(spans or [])
+                    sha, kept = hashlib.sha256(), 0
+                    for b, e in zip([0, *ends], [*begins, len(raw)]):
+                        sha.update(raw[b:e])
+                        kept += e - b
+                    for column, value in zip(out, (len(raw), len(raw) - kept, len(begins), sha.hexdigest(), begins, ends)):
+                        column.append(value)
+                arrays = [pa.array(x, type=pa.string() if n == "kept_sha256" else pa.int64() if isinstance(t, T.LongType) else pa.list_(pa.int32())) for x, (n, t) in zip(out, fields)]
+                yield pa.RecordBatch.from_arrays([part.column(0), *arrays], names=schema.names)
+
+    return rows.select("id", F.encode("text", "UTF-8").alias("raw"), F.coalesce("whole", F.lit(False)).alias("whole"), "spans").mapInArrow(cut, schema)

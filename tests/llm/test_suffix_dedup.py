@@ -2,9 +2,11 @@ import hashlib
 import random
 from collections import Counter
 
+import numpy as np
 import pytest
 
-from graphweave.llm.suffix_dedup import anchors, remove_repeats
+from graphweave.llm import suffix_dedup
+from graphweave.llm.suffix_dedup import Fingerprints, anchors, multikey_order, remove_repeats
 
 
 def brute(docs, span):
@@ -35,11 +37,12 @@ def corpus(rng):
     return docs
 
 
-@pytest.mark.parametrize("group_bound", [2048, 1])
-def test_matches_brute_force(spark, group_bound):
+@pytest.mark.parametrize("rows_per_bucket", [200_000, 60])
+def test_matches_brute_force(spark, monkeypatch, rows_per_bucket):
+    monkeypatch.setattr(suffix_dedup, "ROWS_PER_BUCKET", rows_per_bucket)
     docs = corpus(random.Random(9))
     df = spark.createDataFrame(docs, "doc_id long, text string").selectExpr("*", "'x' as k", "1 as begins")
-    got = remove_repeats(df, span=60, lead=12, group_bound=group_bound).select("doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256")
+    got = remove_repeats(df, span=60, lead=12).select("doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256")
     assert sorted(map(tuple, got.collect()), key=str) == brute(docs, 60)
 
 
@@ -51,5 +54,29 @@ def test_empty_table(spark):
 def test_equal_windows_name_equal_anchors():
     rng = random.Random(1)
     shared = bytes(rng.randrange(256) for _ in range(900))
-    a, b = anchors([b"left" * 50 + shared, shared + b"right" * 90], 400, 64)
-    assert len(set(a[2].tolist()) & set(b[2].tolist())) >= 2
+    named = []
+    for raw in (b"left" * 50 + shared, shared + b"right" * 90):
+        data = np.frombuffer(raw, np.uint8)
+        at, _, _ = anchors(data, np.array([len(raw)]), Fingerprints(data), 400, 64)
+        named.append({raw[p : p + 64] for p in at.tolist()})
+    assert len(named[0] & named[1]) >= 2
+
+
+def test_multikey_order_is_the_order_of_the_rows():
+    rng = np.random.default_rng(2)
+    columns = [rng.integers(0, 4, 3000) for _ in range(5)]
+    order = multikey_order(columns)
+    rows = list(zip(*columns))
+    assert [rows[i] for i in order] == sorted(rows)
+    assert multikey_order([np.zeros(0, int)] * 3).tolist() == []
+
+
+def test_hot_passage_and_very_long_texts(spark):
+    rng = random.Random(4)
+    prose = lambda n: " ".join("".join(rng.choice("abcdef") for _ in range(5)) for _ in range(n))
+    passage, long = prose(120), prose(30_000)
+    docs = [(i, f"{prose(rng.randint(0, 80))} {passage[rng.randint(0, 90):]} {prose(rng.randint(0, 80))}") for i in range(300)]
+    docs += [(1000, long), (1001, "z" * 40_000), (1002, long[50_000:90_000] + prose(50)), (1003, "z" * 399), (1004, "z" * 400)]
+    df = spark.createDataFrame(docs, "doc_id long, text string")
+    got = remove_repeats(df).select("doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256")
+    assert sorted(map(tuple, got.collect()), key=str) == brute(docs, 400)
