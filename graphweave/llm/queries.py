@@ -87,7 +87,7 @@ def op8_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     from graphweave.llm.suffix_dedup import remove_repeats
 
     found = remove_repeats(table(spark, sf_dir, "documents"))
-    return found.select("doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256")
+    return found.select("doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "n_passage_words")
 
 
 def op9_curriculum_mix(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -19,6 +19,9 @@ quicksort and compare neighbours; the first and last rows of buckets are compare
 At blocks of one offset core and hull are the window itself and nothing is left open, so the result is exact up
 to collisions of two independent 64-bit fingerprints and sixteen plain bytes.
 
+The same works on words in place of bytes (``words``): passages of that many words that occur elsewhere are found
+whatever their length in bytes.
+
 Defined results: null and empty texts have nothing to remove; repeated rows are copies of each other and lose
 all windows; windows never cross texts; texts of any length are compared whole; an empty table gives no rows; of
 the input's columns only the id and the text take part.
@@ -35,13 +38,15 @@ from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
+from pyspark.sql.pandas.types import to_arrow_schema
 from pyspark.sql.window import Window as W
+from xxhash import xxh64_intdigest
 
 from graphweave.llm.common import map_texts, materialize, settled, slots, stored
 
 _LETTERS = np.random.Generator(np.random.PCG64(7)).integers(1, 2**63, (2, 256), dtype=np.uint64) | np.uint64(1)
 _BASES = (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F)
-_HEAD = 16
+_HEAD = 16  # bytes; two words
 #: Rows that a bucket of the suffix array holds on average.
 ROWS_PER_BUCKET = 200_000
 _powers: dict[int, np.ndarray] = {}
@@ -57,18 +62,30 @@ def _power(base: int, n: int) -> np.ndarray:
     return known
 
 
+def tokens_of(raws: list[bytes], words: bool) -> list[np.ndarray]:
+    """The bytes of every text, or a number for each of its words."""
+    if not words:
+        return [np.frombuffer(r, np.uint8) for r in raws]
+    numbers: dict[bytes, int] = {}
+    split = [r.split() for r in raws]
+    for w in {w for ws in split for w in ws}:
+        numbers[w] = xxh64_intdigest(w)
+    return [np.array([numbers[w] for w in ws], np.uint64) for ws in split]
+
+
 def _finish(x: np.ndarray) -> np.ndarray:
     x = (x ^ (x >> np.uint64(31))) * np.uint64(0xD6E8FEB86659FD93)
     return x ^ (x >> np.uint64(32))
 
 
 class Fingerprints:
-    """Fingerprints of any substrings of a byte array, by prefix sums of a polynomial; two kinds are independent."""
+    """Fingerprints of any runs of tokens, by prefix sums of a polynomial; two kinds are independent."""
 
     def __init__(self, data: np.ndarray, kind: int = 0):
         base = _BASES[kind]
         self.up = np.zeros(len(data) + 1, np.uint64)
-        np.cumsum(_LETTERS[kind][data] * _power(base, len(data))[: len(data)], out=self.up[1:])
+        letters = _LETTERS[kind][data] if data.dtype == np.uint8 else _finish(data + _LETTERS[kind][0])
+        np.cumsum(letters * _power(base, len(data))[: len(data)], out=self.up[1:])
         self.down = _power(pow(base, -1, 1 << 64), len(data))
 
     def of(self, begin: np.ndarray, end: np.ndarray) -> np.ndarray:
@@ -120,7 +137,8 @@ def suffix_rows(data: np.ndarray, prints: Fingerprints, at: np.ndarray, low: np.
     begin = place - block
     core = _finish(prints.of(begin, begin - (size - 1) + span) + _finish(prints.of(place, place + lead) + block.astype(np.uint64)))
     hull = _finish(Fingerprints(data, 1).of(place - hi, place - lo + span) + (lo * span + hi).astype(np.uint64))
-    head = np.ascontiguousarray(data[begin[:, None] + np.arange(_HEAD)]).view(">u8").astype(np.uint64) ^ np.uint64(1 << 63)
+    head = np.ascontiguousarray(data[begin[:, None] + np.arange(_HEAD // data.itemsize)])
+    head = (head.view(">u8").astype(np.uint64) if data.itemsize == 1 else head) ^ np.uint64(1 << 63)
     return who, lo, hi, *(x.view(np.int64) for x in (np.ascontiguousarray(head[:, 0]), np.ascontiguousarray(head[:, 1]), core, hull))
 
 
@@ -192,28 +210,29 @@ def compared(rows: DataFrame) -> DataFrame:
     return judged.where("edge = 0").select(*_ROW, "shared", "mixed").union(ends).where("shared or mixed")
 
 
-def _block_sizes(span: int) -> list[int]:
-    """Offsets in a block, from the widest whose windows have more than a head in common down to one."""
-    sizes = [1 << (span - _HEAD).bit_length() - 1]
+def _block_sizes(span: int, head: int) -> list[int]:
+    """Offsets in a block, from the widest whose windows have a head in common down to one."""
+    sizes = [1 << (span - head).bit_length() - 1]
     while sizes[-1] > 1:
         sizes.append(max(1, sizes[-1] // 16))
     return sizes
 
 
-def repeated_spans(docs: DataFrame, span: int = 400, lead: int = 64, text_col: str = "text") -> DataFrame:
-    """(t1, t2, whole, spans): texts (by two hashes) with repeated windows, and bytes (b, e) that these cover.
+def repeated_spans(docs: DataFrame, span: int = 400, lead: int = 64, text_col: str = "text", words: bool = False) -> DataFrame:
+    """(t1, t2, whole, spans): texts (by two hashes) with repeated windows, and the bytes or words (b, e) these cover.
 
     whole: the text occurs more than once, so all of it goes. Spans may overlap and come in no order.
     """
-    if not 0 < lead <= span - _HEAD:
+    head = _HEAD // (8 if words else 1)
+    if not 0 < lead <= span - head:
         raise ValueError("the lead must leave room for a head in the span")
     text = F.coalesce(F.col(text_col), F.lit(""))
-    texts = docs.select(text.alias("text"), F.xxhash64(text).alias("t1"), F.xxhash64(F.lit(1), text).alias("t2")).where(F.octet_length("text") >= span)
-    sizes = _block_sizes(span)
+    texts = docs.select(text.alias("text"), F.xxhash64(text).alias("t1"), F.xxhash64(F.lit(1), text).alias("t2")).where(F.octet_length("text") >= (2 * span - 1 if words else span))
+    sizes = _block_sizes(span, head)
 
     def first_rows(batch: list[str]) -> list:
-        raws = [t.encode("utf-8", "surrogatepass") for t in batch]
-        data = np.frombuffer(b"".join(raws), np.uint8)
+        raws = tokens_of([t.encode("utf-8", "surrogatepass") for t in batch], words)
+        data = np.concatenate(raws)
         ends = np.cumsum([len(r) for r in raws])
         prints = Fingerprints(data)
         at, first, last = anchors(data, ends, prints, span, lead)
@@ -240,29 +259,42 @@ def repeated_spans(docs: DataFrame, span: int = 400, lead: int = 64, text_col: s
         if contexts is None:
             wanted = left.groupBy("t1", "t2").agg(F.collect_list(F.struct("at", "lo", "hi")).alias("xs"))
             whole = texts.groupBy("t1", "t2").agg(F.any_value("text").alias("text"))
-            found = whole.join(settled(wanted, "t1", "t2"), ["t1", "t2"]).select("t1", "t2", F.encode("text", "UTF-8").alias("raw"), F.explode("xs").alias("x"))
-            piece = F.expr(f"substring(raw, x.at - x.hi + 1, x.hi - x.lo + {span})")
-            left = contexts = stored(found.select("t1", "t2", "x.*", piece.alias("piece"), F.col("x.hi").alias("before")))
+            found = whole.join(settled(wanted, "t1", "t2"), ["t1", "t2"]).select("t1", "t2", F.encode("text", "UTF-8").alias("raw"), "xs")
+            left = contexts = stored(_pieces(found, span, words))
         else:
             outer = contexts.select("t1", "t2", "at", (F.col("lo") / sizes[0]).cast("int").alias("o"), "piece", "before")
             left = left.withColumn("o", (F.col("lo") / sizes[0]).cast("int")).join(outer, ["t1", "t2", "at", "o"])
-        judged = materialize(compared(stored(_narrower(left, size, span, lead))))
+        judged = materialize(compared(stored(_narrower(left, size, span, lead, words))))
         spans = spans.union(covered(judged))
     copied = distinct.where("whole").select("t1", "t2", F.lit(True).alias("whole"), F.array().cast("array<struct<b:int,e:int>>").alias("spans"))
     spans = spans.join(settled(copied.select("t1", "t2"), "t1", "t2"), ["t1", "t2"], "left_anti")
     return spans.groupBy("t1", "t2").agg(F.lit(False).alias("whole"), F.collect_list(F.struct("b", "e")).alias("spans")).union(copied)
 
 
-def _narrower(left: DataFrame, size: int, span: int, lead: int) -> DataFrame:
-    """Suffix rows of narrower blocks, from pieces of text that hold the windows; the anchor is ``before`` bytes into a piece."""
+def _pieces(found: DataFrame, span: int, words: bool) -> DataFrame:
+    """Rows of the array with the tokens of their windows; the anchor is ``before`` tokens into a piece."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for a in range(0, len(batch), 64):
+                t1, t2, raws, lists = (batch.column(i).slice(a, 64).to_pylist() for i in range(4))
+                rows = [(k, l, x["at"], x["lo"], x["hi"], x["hi"], t[x["at"] - x["hi"] : x["at"] - x["lo"] + span].tobytes()) for k, l, t, xs in zip(t1, t2, tokens_of(raws, words), lists) for x in xs]
+                kinds = (pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.int32(), pa.binary())
+                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows), kinds)], names=[*_ROW, "before", "piece"])
+
+    return found.mapInArrow(run, "t1 long, t2 long, at int, lo int, hi int, before int, piece binary")
+
+
+def _narrower(left: DataFrame, size: int, span: int, lead: int, words: bool) -> DataFrame:
+    """Suffix rows of narrower blocks, from the pieces that hold their windows."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for a in range(0, len(batch), 1024):
                 part = batch.slice(a, 1024)
                 pieces = part.column(6).to_pylist()
-                data = np.frombuffer(b"".join(pieces), np.uint8)
-                begin = np.cumsum([0, *map(len, pieces)])[:-1]
+                data = np.frombuffer(b"".join(pieces), np.uint64 if words else np.uint8)
+                begin = np.cumsum([0, *map(len, pieces)])[:-1] // data.itemsize
                 at, low, high, before = (part.column(i).to_numpy(zero_copy_only=False).astype(np.int64) for i in (2, 3, 4, 5))
                 who, lo, hi, *tokens = suffix_rows(data, Fingerprints(data), begin + before, low, high, size, span, lead)
                 rows = [part.column(i).take(pa.array(who)) for i in (0, 1, 2)]
@@ -286,31 +318,39 @@ def merged(spans: list[dict]) -> tuple[list[int], list[int]]:
     return begins, ends
 
 
-def remove_repeats(docs: DataFrame, span: int = 400, lead: int = 64, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(id_col, n_bytes, n_removed, n_spans, kept_sha256), and begins and ends of the removed runs of bytes."""
+def remove_repeats(docs: DataFrame, span: int = 400, lead: int = 64, id_col: str = "doc_id", text_col: str = "text", passage_words: int = 50) -> DataFrame:
+    """(id_col, n_bytes, n_removed, n_spans, kept_sha256, n_passage_words), and begins and ends of the removed runs of bytes.
+
+    n_passage_words counts words in passages of at least ``passage_words`` words that start elsewhere too; they stay
+    in the text unless the byte windows cover them.
+    """
     found = repeated_spans(docs, span, lead, text_col)
+    passages = repeated_spans(docs, passage_words, max(1, passage_words // 6), text_col, words=True)
+    found = found.join(passages.select("t1", "t2", F.col("whole").alias("all_words"), F.col("spans").alias("passages")), ["t1", "t2"], "full")
     text = F.coalesce(F.col(text_col), F.lit(""))
     every = docs.select(F.col(id_col).alias("id"), text.alias("text"), F.xxhash64(text).alias("t1"), F.xxhash64(F.lit(1), text).alias("t2"))
     rows = every.join(settled(found, "t1", "t2"), ["t1", "t2"], "left")
-    fields = [(n, T.LongType()) for n in ("n_bytes", "n_removed", "n_spans")] + [("kept_sha256", T.StringType())]
-    fields += [(n, T.ArrayType(T.IntegerType())) for n in ("begins", "ends")]
-    kind = docs.schema[id_col].dataType
-    schema = T.StructType([T.StructField(id_col, kind), *(T.StructField(n, t) for n, t in fields)])
+    long, ints = T.LongType(), T.ArrayType(T.IntegerType())
+    fields = [("n_bytes", long), ("n_removed", long), ("n_spans", long), ("kept_sha256", T.StringType()), ("n_passage_words", long), ("begins", ints), ("ends", ints)]
+    schema = T.StructType([T.StructField(id_col, docs.schema[id_col].dataType), *(T.StructField(n, t) for n, t in fields)])
+    arrow = to_arrow_schema(schema)
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for a in range(0, len(batch), 256):
                 part = batch.slice(a, 256)
                 out: list[list] = [[] for _ in fields]
-                for raw, whole, spans in zip(*(part.column(i).to_pylist() for i in (1, 2, 3))):
+                for raw, whole, spans, all_words, shared in zip(*(part.column(i).to_pylist() for i in range(1, 6))):
                     begins, ends = ([0], [len(raw)]) if whole else merged(spans or [])
                     sha, kept = hashlib.sha256(), 0
                     for b, e in zip([0, *ends], [*begins, len(raw)]):
                         sha.update(raw[b:e])
                         kept += e - b
-                    for column, value in zip(out, (len(raw), len(raw) - kept, len(begins), sha.hexdigest(), begins, ends)):
+                    n_shared = len(raw.split()) if all_words else sum(e - b for b, e in zip(*merged(shared or [])))
+                    for column, value in zip(out, (len(raw), len(raw) - kept, len(begins), sha.hexdigest(), n_shared, begins, ends)):
                         column.append(value)
-                arrays = [pa.array(x, type=pa.string() if n == "kept_sha256" else pa.int64() if isinstance(t, T.LongType) else pa.list_(pa.int32())) for x, (n, t) in zip(out, fields)]
-                yield pa.RecordBatch.from_arrays([part.column(0), *arrays], names=schema.names)
+                arrays = [pa.array(x, type=f.type) for x, f in zip(out, list(arrow)[1:])]
+                yield pa.RecordBatch.from_arrays([part.column(0).cast(arrow.field(0).type), *arrays], schema=arrow)
 
-    return rows.select("id", F.encode("text", "UTF-8").alias("raw"), F.coalesce("whole", F.lit(False)).alias("whole"), "spans").mapInArrow(cut, schema)
+    flag = lambda c: F.coalesce(c, F.lit(False)).alias(c)
+    return rows.select("id", F.encode("text", "UTF-8").alias("raw"), flag("whole"), "spans", flag("all_words"), "passages").mapInArrow(cut, schema)

@@ -1,5 +1,6 @@
 import hashlib
 import random
+import re
 from collections import Counter
 
 import numpy as np
@@ -80,3 +81,13 @@ def test_hot_passage_and_very_long_texts(spark):
     df = spark.createDataFrame(docs, "doc_id long, text string")
     got = remove_repeats(df).select("doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256")
     assert sorted(map(tuple, got.collect()), key=str) == brute(docs, 400)
+
+
+def test_passages_are_counted_in_words(spark):
+    docs = corpus(random.Random(3))
+    df = spark.createDataFrame(docs, "doc_id long, text string")
+    got = remove_repeats(df, passage_words=9).select("doc_id", "n_passage_words").collect()
+    split = [(i, re.findall(rb"[^\x20\x09-\x0D]+", (t or "").encode())) for i, t in docs]
+    seen = Counter(tuple(w[p : p + 9]) for _, w in split for p in range(len(w) - 8))
+    want = [(i, len({k for p in range(len(w) - 8) if seen[tuple(w[p : p + 9])] > 1 for k in range(p, p + 9)})) for i, w in split]
+    assert sorted(map(tuple, got)) == sorted(want) and sum(n for _, n in want) > 500
