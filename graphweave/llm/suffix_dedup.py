@@ -30,7 +30,9 @@ the input's columns only the id and the text take part.
 from __future__ import annotations
 
 import hashlib
-from collections.abc import Iterator
+from collections.abc import Iterator, Sequence
+from dataclasses import dataclass
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -42,7 +44,7 @@ from pyspark.sql.pandas.types import to_arrow_schema
 from pyspark.sql.window import Window as W
 from xxhash import xxh64_intdigest
 
-from graphweave.llm.common import map_texts, materialize, settled, slots, stored
+from graphweave.llm.common import map_texts, materialize, released, settled, slots, stored
 
 _LETTERS = np.random.Generator(np.random.PCG64(7)).integers(1, 2**63, (2, 256), dtype=np.uint64) | np.uint64(1)
 _BASES = (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F)
@@ -207,7 +209,7 @@ def compared(rows: DataFrame) -> DataFrame:
     shared = F.col("shared") | hull["before"] | hull["after"]
     mixed = F.col("mixed") | (core["before"] & ~hull["before"]) | (core["after"] & ~hull["after"])
     ends = ends.select(*_ROW, shared.alias("shared"), mixed.alias("mixed"))
-    return judged.where("edge = 0").select(*_ROW, "shared", "mixed").union(ends).where("shared or mixed")
+    return materialize(judged.where("edge = 0").select(*_ROW, "shared", "mixed").union(ends).where("shared or mixed"))
 
 
 def _block_sizes(span: int, head: int) -> list[int]:
@@ -218,74 +220,115 @@ def _block_sizes(span: int, head: int) -> list[int]:
     return sizes
 
 
-def repeated_spans(docs: DataFrame, span: int = 400, lead: int = 64, text_col: str = "text", words: bool = False) -> DataFrame:
-    """(t1, t2, whole, spans): texts (by two hashes) with repeated windows, and the bytes or words (b, e) these cover.
+@dataclass(frozen=True)
+class Windows:
+    """What counts as a repeat: runs of ``span`` bytes or words; ``lead`` of them choose the anchors."""
 
-    whole: the text occurs more than once, so all of it goes. Spans may overlap and come in no order.
+    span: int = 400
+    lead: int = 64
+    words: bool = False
+
+    def __post_init__(self) -> None:
+        if not 0 < self.lead <= self.span - self.head:
+            raise ValueError("the lead must leave room for a head in the span")
+
+    @property
+    def head(self) -> int:
+        return _HEAD // (8 if self.words else 1)
+
+    @property
+    def block_sizes(self) -> list[int]:
+        """Offsets in a block, from the widest whose windows have a head in common down to one."""
+        sizes = [1 << (self.span - self.head).bit_length() - 1]
+        while sizes[-1] > 1:
+            sizes.append(max(1, sizes[-1] // 16))
+        return sizes
+
+
+def repeated_spans(docs: DataFrame, kinds: Sequence[Windows] = (Windows(),), text_col: str = "text") -> list[DataFrame]:
+    """For each kind (t1, t2, whole, spans): texts (by two hashes) with repeated windows, and the tokens (b, e) these cover.
+
+    whole: the text occurs more than once, so all of it goes. Spans may overlap and come in no order. All kinds
+    share the scan of the texts and the one that fetches the windows left open.
     """
-    head = _HEAD // (8 if words else 1)
-    if not 0 < lead <= span - head:
-        raise ValueError("the lead must leave room for a head in the span")
+    spark = docs.sparkSession
     text = F.coalesce(F.col(text_col), F.lit(""))
-    texts = docs.select(text.alias("text"), F.xxhash64(text).alias("t1"), F.xxhash64(F.lit(1), text).alias("t2")).where(F.octet_length("text") >= (2 * span - 1 if words else span))
-    sizes = _block_sizes(span, head)
+    least = min(2 * k.span - 1 if k.words else k.span for k in kinds)
+    texts = docs.select(text.alias("text"), F.xxhash64(text).alias("t1"), F.xxhash64(F.lit(1), text).alias("t2")).where(F.octet_length("text") >= least)
 
     def first_rows(batch: list[str]) -> list:
-        raws = tokens_of([t.encode("utf-8", "surrogatepass") for t in batch], words)
-        data = np.concatenate(raws)
-        ends = np.cumsum([len(r) for r in raws])
-        prints = Fingerprints(data)
-        at, first, last = anchors(data, ends, prints, span, lead)
-        who, lo, hi, *tokens = suffix_rows(data, prints, at, at - last, at - first, sizes[0], span, lead)
-        owner = np.searchsorted(ends, at, side="right")[who]
-        cut = np.searchsorted(owner, np.arange(len(raws) + 1))
-        columns = [at[who] - np.concatenate([[0], ends])[owner], lo, hi, *tokens]
-        return [[c[a:b] for a, b in zip(cut, cut[1:])] for c in columns]
-
-    names, integers, longs = (*_ROW[2:], *_KEYS), T.ArrayType(T.IntegerType()), T.ArrayType(T.LongType())
-    fields = [(n, longs if n in _KEYS else integers) for n in names]
-    found = map_texts(texts, lambda: first_rows, fields, ("t1", "t2"), chars_per_call=1_000_000)
-    found = found.groupBy("t1", "t2").agg((F.count("*") > 1).alias("whole"), F.any_value(F.struct(*names)).alias("x"))
-    distinct = stored(found.select("t1", "t2", "whole", "x.*"))
-    rows = distinct.select("t1", "t2", F.inline(F.arrays_zip(*names)))
-
-    # The widest blocks, then ever narrower ones of what is left open.
-    covered = lambda df: df.where("shared").select("t1", "t2", (F.col("at") - F.col("hi")).alias("b"), (F.col("at") - F.col("lo") + span).alias("e"))
-    judged = materialize(compared(rows))
-    spans = covered(judged)
-    contexts = None
-    for size in sizes[1:]:
-        left = judged.where("mixed").select(*_ROW)
-        if contexts is None:
-            wanted = left.groupBy("t1", "t2").agg(F.collect_list(F.struct("at", "lo", "hi")).alias("xs"))
-            whole = texts.groupBy("t1", "t2").agg(F.any_value("text").alias("text"))
-            found = whole.join(settled(wanted, "t1", "t2"), ["t1", "t2"]).select("t1", "t2", F.encode("text", "UTF-8").alias("raw"), "xs")
-            left = contexts = stored(_pieces(found, span, words))
-        else:
-            outer = contexts.select("t1", "t2", "at", (F.col("lo") / sizes[0]).cast("int").alias("o"), "piece", "before")
-            left = left.withColumn("o", (F.col("lo") / sizes[0]).cast("int")).join(outer, ["t1", "t2", "at", "o"])
-        judged = materialize(compared(stored(_narrower(left, size, span, lead, words))))
-        spans = spans.union(covered(judged))
-    copied = distinct.where("whole").select("t1", "t2", F.lit(True).alias("whole"), F.array().cast("array<struct<b:int,e:int>>").alias("spans"))
-    spans = spans.join(settled(copied.select("t1", "t2"), "t1", "t2"), ["t1", "t2"], "left_anti")
-    return spans.groupBy("t1", "t2").agg(F.lit(False).alias("whole"), F.collect_list(F.struct("b", "e")).alias("spans")).union(copied)
+        raws = [t.encode("utf-8", "surrogatepass") for t in batch]
+        return [column for kind in kinds for column in _first_rows(tokens_of(raws, kind.words), kind)]
 
-
-def _pieces(found: DataFrame, span: int, words: bool) -> DataFrame:
+    columns, integers, longs = (*_ROW[2:], *_KEYS), T.ArrayType(T.IntegerType()), T.ArrayType(T.LongType())
+    fields = [(f"{n}_{i}", longs if n in _KEYS else integers) for i in range(len(kinds)) for n in columns]
+    found = map_texts(texts, lambda: first_rows, fields, ("t1", "t2"), chars_per_call=1_000_000)
+    found = found.groupBy("t1", "t2").agg((F.count("*") > 1).alias("copied"), F.any_value(F.struct(*(n for n, _ in fields))).alias("x"))
+    distinct = stored(found.select("t1", "t2", "copied", "x.*"))
+    # The widest blocks of every kind, then the texts of what is left open, then ever narrower blocks.
+    judged = []
+    for i in range(len(kinds)):
+        rows = distinct.select("t1", "t2", F.inline(F.arrays_zip(*(f"{n}_{i}" for n in columns)))).toDF("t1", "t2", *columns)
+        judged.append(compared(rows))
+    left = [j.where("mixed").select(*_ROW, F.lit(i).alias("kind")) for i, j in enumerate(judged)]
+    wanted = reduce(DataFrame.union, left).groupBy("t1", "t2").agg(F.collect_list(F.struct("at", "lo", "hi", "kind")).alias("xs"))
+    whole = texts.groupBy("t1", "t2").agg(F.any_value("text").alias("text"))
+    whole = whole.join(settled(wanted, "t1", "t2"), ["t1", "t2"]).select("t1", "t2", F.encode("text", "UTF-8").alias("raw"), "xs")
+    pieces = stored(_pieces(whole, kinds))
+    released(spark)
+    out = []
+    for i, kind in enumerate(kinds):
+        spans = [_covered(judged[i], kind.span)]
+        block = lambda: F.floor(F.col("lo") / kind.block_sizes[0]).cast("int").alias("block")  # noqa: B023, E731
+        outer = pieces.where(F.col("kind") == i).select("t1", "t2", "at", block(), "piece", "before")
+        for size in kind.block_sizes[1:]:
+            left = judged[i].where("mixed").select(*_ROW, block()).join(outer, ["t1", "t2", "at", "block"])
+            judged[i] = compared(stored(_narrower(left, size, kind)))
+            released(spark)
+            spans.append(_covered(judged[i], kind.span))
+        copied = distinct.where(F.col("copied") & (F.size(f"at_{i}") > 0)).select("t1", "t2")
+        spans = reduce(DataFrame.union, spans).join(settled(copied, "t1", "t2"), ["t1", "t2"], "left_anti")
+        spans = spans.groupBy("t1", "t2").agg(F.lit(False).alias("whole"), F.collect_list(F.struct("b", "e")).alias("spans"))
+        out.append(spans.union(copied.select("t1", "t2", F.lit(True), F.array().cast("array<struct<b:int,e:int>>"))))
+    return out
+
+
+def _first_rows(raws: list[np.ndarray], kind: Windows) -> list[list[np.ndarray]]:
+    """Rows of the widest blocks: one array a text for each column."""
+    data = np.concatenate(raws)
+    ends = np.cumsum([len(r) for r in raws])
+    prints = Fingerprints(data)
+    at, first, last = anchors(data, ends, prints, kind.span, kind.lead)
+    who, lo, hi, *tokens = suffix_rows(data, prints, at, at - last, at - first, kind.block_sizes[0], kind.span, kind.lead)
+    owner = np.searchsorted(ends, at, side="right")[who]
+    cut = np.searchsorted(owner, np.arange(len(raws) + 1))
+    columns = [at[who] - np.concatenate([[0], ends])[owner], lo, hi, *tokens]
+    return [[c[a:b] for a, b in zip(cut, cut[1:])] for c in columns]
+
+
+def _covered(judged: DataFrame, span: int) -> DataFrame:
+    """(t1, t2, b, e): what the windows of repeated rows cover."""
+    return judged.where("shared").select("t1", "t2", (F.col("at") - F.col("hi")).alias("b"), (F.col("at") - F.col("lo") + span).alias("e"))
+
+
+def _pieces(found: DataFrame, kinds: Sequence[Windows]) -> DataFrame:
     """Rows of the array with the tokens of their windows; the anchor is ``before`` tokens into a piece."""
+    types = (*(pa.int64(),) * 2, *(pa.int32(),) * 5, pa.binary())
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for a in range(0, len(batch), 64):
                 t1, t2, raws, lists = (batch.column(i).slice(a, 64).to_pylist() for i in range(4))
-                rows = [(k, l, x["at"], x["lo"], x["hi"], x["hi"], t[x["at"] - x["hi"] : x["at"] - x["lo"] + span].tobytes()) for k, l, t, xs in zip(t1, t2, tokens_of(raws, words), lists) for x in xs]
-                kinds = (pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.int32(), pa.binary())
-                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows), kinds)], names=[*_ROW, "before", "piece"])
+                rows = []
+                for i, kind in enumerate(kinds):
+                    for k, l, data, xs in zip(t1, t2, tokens_of(raws, kind.words), lists):
+                        rows += [(k, l, x["at"], x["lo"], x["hi"], i, x["hi"], data[x["at"] - x["hi"] : x["at"] - x["lo"] + kind.span].tobytes()) for x in xs if x["kind"] == i]
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), types)], names=[*_ROW, "kind", "before", "piece"])
 
-    return found.mapInArrow(run, "t1 long, t2 long, at int, lo int, hi int, before int, piece binary")
+    return found.mapInArrow(run, "t1 long, t2 long, at int, lo int, hi int, kind int, before int, piece binary")
 
 
-def _narrower(left: DataFrame, size: int, span: int, lead: int, words: bool) -> DataFrame:
+def _narrower(left: DataFrame, size: int, kind: Windows) -> DataFrame:
     """Suffix rows of narrower blocks, from the pieces that hold their windows."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -293,10 +336,10 @@ def _narrower(left: DataFrame, size: int, span: int, lead: int, words: bool) ->
             for a in range(0, len(batch), 1024):
                 part = batch.slice(a, 1024)
                 pieces = part.column(6).to_pylist()
-                data = np.frombuffer(b"".join(pieces), np.uint64 if words else np.uint8)
+                data = np.frombuffer(b"".join(pieces), np.uint64 if kind.words else np.uint8)
                 begin = np.cumsum([0, *map(len, pieces)])[:-1] // data.itemsize
                 at, low, high, before = (part.column(i).to_numpy(zero_copy_only=False).astype(np.int64) for i in (2, 3, 4, 5))
-                who, lo, hi, *tokens = suffix_rows(data, Fingerprints(data), begin + before, low, high, size, span, lead)
+                who, lo, hi, *tokens = suffix_rows(data, Fingerprints(data), begin + before, low, high, size, kind.span, kind.lead)
                 rows = [part.column(i).take(pa.array(who)) for i in (0, 1, 2)]
                 made = [pa.array(x.astype(np.int32)) for x in (lo, hi)]
                 yield pa.RecordBatch.from_arrays([*rows, *made, *map(pa.array, tokens)], names=[*_ROW, *_KEYS])
@@ -324,8 +367,8 @@ def remove_repeats(docs: DataFrame, span: int = 400, lead: int = 64, id_col: str
     n_passage_words counts words in passages of at least ``passage_words`` words that start elsewhere too; they stay
     in the text unless the byte windows cover them.
     """
-    found = repeated_spans(docs, span, lead, text_col)
-    passages = repeated_spans(docs, passage_words, max(1, passage_words // 6), text_col, words=True)
+    kinds = (Windows(span, lead), Windows(passage_words, max(1, passage_words // 6), True))
+    found, passages = repeated_spans(docs, kinds, text_col)
     found = found.join(passages.select("t1", "t2", F.col("whole").alias("all_words"), F.col("spans").alias("passages")), ["t1", "t2"], "full")
     text = F.coalesce(F.col(text_col), F.lit(""))
     every = docs.select(F.col(id_col).alias("id"), text.alias("text"), F.xxhash64(text).alias("t1"), F.xxhash64(F.lit(1), text).alias("t2"))
