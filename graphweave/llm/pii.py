@@ -13,6 +13,7 @@ from __future__ import annotations
 
 import re
 import unicodedata
+from bisect import bisect_left
 from functools import lru_cache
 
 from pyspark.sql import DataFrame
@@ -57,7 +58,7 @@ def addresses(text: str) -> list[Span]:
         for i in range(0, len(parts) - 3, 4):
             four = parts[i : i + 4]
             length = sum(map(len, four)) + 3
-            if all(len(p.lstrip("0")) <= 3 and int(p) <= 255 for p in four):
+            if all(len(n := p.lstrip("0")) <= 3 and int(n or "0") <= 255 for p in four):
                 out.append((at, at + length))
             at += length + 1
     return out
@@ -103,9 +104,10 @@ _VALUE = {w: str(i) for i, w in enumerate(_DIGITS)} | {"oh": "0", "plus": "+"}
 _ODD = re.compile("[­Ͱ-֏٠-٩۰-۹०-९​-‏‐-―․⁠−。﹒﹫﻿！-～\U0001d400-\U0001d7ff]")
 _SPELLED = re.compile(r"(?i)(?<![a-z0-9])(?:plus[ -]+)?(?:(?:zero|oh|one|two|three|four|five|six|seven|eight|nine|[0-9]+)(?:[ .-]+(?=[a-z0-9+])|(?![a-z]))){4,}")
 _TOKEN = re.compile(r"(?i)[a-z]+|[0-9]+")
-_AT = re.compile(r"(?i)[ ]*[\[({<][ ]*(?:at|@)[ ]*[\])}>][ ]*")
+# A run of blanks is entered at its first blank alone, so that runs that lead nowhere are read once.
+_AT = re.compile(r"(?i)(?:(?<![ ])[ ]+)?[\[({<][ ]*(?:at|@)[ ]*[\])}>][ ]*")
 _SPACED_AT = re.compile(r"(?i)(?<=[a-z0-9])[ ]+at[ ]+(?=[a-z0-9-]+(?:\.|[ ]+dot[ ]+|[ ]*[\[({<][ ]*(?:dot|\.)[ ]*[\])}>])[ ]*[a-z0-9])")
-_DOT = re.compile(r"(?i)[ ]*[\[({<][ ]*(?:dot|\.)[ ]*[\])}>][ ]*|(?<=[a-z0-9])[ ]+dot[ ]+(?=[a-z0-9])")
+_DOT = re.compile(r"(?i)(?:(?<![ ])[ ]+)?[\[({<][ ]*(?:dot|\.)[ ]*[\])}>][ ]*|(?<=[a-z0-9])[ ]+dot[ ]+(?=[a-z0-9])")
 _MARKED_DOT = re.compile(r"\.[ ]*[\])}>]")
 
 
@@ -190,11 +192,21 @@ def disguised_spans(text: str, plain: dict[str, list[Span]]) -> dict[str, list[S
     out = {}
     for kind, spans in plain_spans(seen.text).items():
         mapped = [seen.source(s) for s in spans if kind != "email" or seen.text[s[0] : s[1]].rpartition(".")[2].isalpha()]
-        known = plain[kind]
-        out[kind] = [s for s in mapped if not any(s[0] < e and b < s[1] for b, e in known)]
+        out[kind] = without_overlaps(mapped, plain[kind])
     return out
 
 
+def without_overlaps(spans: list[Span], known: list[Span]) -> list[Span]:
+    """The spans that touch none of the known ones, which are sorted and apart."""
+    starts = [b for b, _ in known]
+
+    def free(span: Span) -> bool:
+        at = bisect_left(starts, span[1])
+        return at == 0 or known[at - 1][1] <= span[0]
+
+    return [s for s in spans if free(s)]
+
+
 class _Lazy(Rewritten):
     """Builds the ranges only when a rewrite comes."""
 

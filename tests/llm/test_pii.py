@@ -1,5 +1,6 @@
 import random
 import re
+import time
 
 from graphweave.llm import pii
 
@@ -79,3 +80,24 @@ def test_every_test_before_a_transducer_holds_where_its_pattern_matches():
         known = pii.plain_spans(text)
         want = {k: [s for s in v if not any(s[0] < e and b < s[1] for b, e in known[k])] for k, v in spans.items()}
         assert pii.disguised_spans(text, known) == want, text
+
+
+def test_very_long_disguised_texts_are_read_in_linear_time():
+    n = 100_000
+    blanks = "x at y.org" + " " * n + "dot"
+    texts = [blanks, "[" + " " * n + "at ] x", "( " * (n // 2) + "at", "john [at] " + "a." * (n // 2), "0" * n + "1.1.1.1", "1." * (n // 2), "plus " * (n // 5), "plus" + " " * n + "one", "one " * (n // 4), "1 " * (n // 2) + "x", "at" * (n // 2) + " dot", "a at b dot c " * (n // 13), "ａ@b.co " * (n // 7), "1.2.3.4 " * (n // 8) + "five", "5" * n + "a", "one-" * (n // 4), ". " * (n // 2) + "]", "@" * n, "+1 " * (n // 3), "а" * n]
+    for text in texts:
+        began = time.process_time()
+        pii.disguised_spans(text, pii.plain_spans(text))
+        assert time.process_time() - began < 2, text[:20]
+    found = pii.plain_spans("0" * 5000 + "1.1.1.1 " + "9" * 5000 + ".1.1.1")["ip"]
+    assert found == [(0, 5007)]
+
+
+def test_added_spans_touch_no_plain_ones():
+    rng = random.Random(8)
+    for _ in range(2000):
+        cuts = sorted(rng.sample(range(60), 8))
+        known = list(zip(cuts[::2], cuts[1::2]))
+        spans = [(a, a + rng.randint(1, 12)) for a in rng.sample(range(60), 6)]
+        assert pii.without_overlaps(spans, known) == [s for s in spans if not any(s[0] < e and b < s[1] for b, e in known)]
