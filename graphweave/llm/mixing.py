@@ -7,11 +7,13 @@ integral of its schedule, scaled to its target, is its cumulative token demand;
 place in the stream gives the training position of that copy, and a range sort by position gives the mixture.
 
 Places in a stream are prefix sums in two levels, so a source with a third of all rows costs no task more than a
-bucket of it. Sources are a dimension of the mixture's configuration; only their totals reach the driver.
+bucket of it. Sources are a dimension of the mixture's configuration (a schedule is given for each); one total a
+source reaches the driver, and Spark broadcasts the plan of sources only while it is under its threshold.
 
 Defined results: a null text has size 0 and is never taken; null is a source of its own, the last one; ties of
-the hash order break by id and size; repeated rows are documents of their own; an empty table gives no rows;
-columns of the input that clash with a result column are replaced by it.
+the hash order break by id; repeated rows are documents of their own, next to each other in the stream; a very
+long text is one document, cut only where its source's demand ends in it; an empty table gives no rows; columns
+of the input that clash with a result column are replaced by it.
 """
 
 from __future__ import annotations
@@ -24,7 +26,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.window import Window as W
 
-from graphweave.llm.common import materialize, slots
+from graphweave.llm.common import fresh, materialize, slots
 
 Knots = Sequence[tuple[float, float]]
 
@@ -106,8 +108,6 @@ def mix(
             ]
         ),
     )
-    if len(rows) <= 100_000:
-        plan = F.broadcast(plan)
     docs = docs.drop("source_size", "target", "taken")
     docs = docs.join(plan, docs[source_col].eqNullSafe(plan["__source"])).drop("__source")
     # Place in the source's hash order: prefix sums over buckets of the hash, then inside each bucket.
@@ -150,6 +150,21 @@ def position(place: Column, wanted: Column, knots: Column) -> Column:
     return F.coalesce(found.t, F.element_at(knots, -1)[0])
 
 
+def first_positions(mixed: DataFrame) -> DataFrame:
+    """mixed with first_position, where the first copy of each document goes, range-sorted by it; null without a copy, at the front."""
+    place = position(F.col("__before") + F.col("size") / 2, F.col("__wanted"), F.col("__knots"))
+    rows = mixed.withColumn("first_position", F.when(F.col("taken") > 0, place)).drop("__knots", "__wanted", "__before")
+    return _range_sorted(rows, "first_position")
+
+
+def _range_sorted(rows: DataFrame, by: str) -> DataFrame:
+    """rows in order of a column; ties, and rows without a value, are dealt over partitions by what else they hold."""
+    others = [c for c in rows.columns if c != by]
+    tie = fresh(rows, "__tie")
+    rows = rows.withColumn(tie, F.xxhash64(*(F.col(f"`{c}`") for c in others)))
+    return rows.repartitionByRange(slots(rows.sparkSession), by, tie).sortWithinPartitions(by, tie).drop(tie)
+
+
 def positions(mixed: DataFrame) -> DataFrame:
     """A row for every copy that the mix takes, whole, with copy (from 0) and its training position, range-sorted."""
     copies = F.expr("cast(ceil(taken / size) as int)")
@@ -157,4 +172,4 @@ def positions(mixed: DataFrame) -> DataFrame:
     place = F.col("copy") * F.col("source_size") + F.col("__before") + F.col("size") / 2
     rows = rows.withColumn("position", position(place, F.col("__wanted"), F.col("__knots")))
     rows = rows.drop("__knots", "__wanted", "__before")
-    return rows.repartitionByRange("position").sortWithinPartitions("position")
+    return _range_sorted(rows, "position")

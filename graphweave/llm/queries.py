@@ -92,20 +92,12 @@ def op8_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op9_curriculum_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     from graphweave.llm.common import materialize
-    from graphweave.llm.mixing import mix, position, word_count
+    from graphweave.llm.mixing import first_positions, mix, word_count
 
     docs = table(spark, sf_dir, "documents")
     sized = materialize(docs.select("doc_id", "source", word_count(F.col("text")).alias("size")))
-    place = F.col("__before") + F.col("size") / 2
-    return mix(sized, size_col="size").select(
-        "doc_id",
-        "source",
-        "size",
-        "source_size",
-        "target",
-        F.col("taken").cast("long").alias("taken"),
-        F.when(F.col("taken") > 0, position(place, F.col("__wanted"), F.col("__knots"))).alias("first_position"),
-    )
+    mixed = materialize(mix(sized, size_col="size"))
+    return first_positions(mixed).select("doc_id", "source", "size", "source_size", "target", F.col("taken").cast("long").alias("taken"), "first_position")
 
 
 def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

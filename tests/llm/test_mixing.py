@@ -3,7 +3,7 @@ from fractions import Fraction
 
 from pyspark.sql import functions as F
 
-from graphweave.llm.mixing import integral, mix, positions, share, word_count
+from graphweave.llm.mixing import cycle_weights, first_positions, integral, mix, positions, share, word_count
 
 SIZES = {"a": 40, "b": 3, "c": 500, "d": 7, None: 60}
 
@@ -60,3 +60,44 @@ def test_empty_and_counts(spark):
     assert [r[0] for r in df.select(word_count(F.col("t"))).collect()] == [3, 0, 0, 0]
     none = mix(df.select(F.lit(1).alias("doc_id"), F.lit(None).cast("string").alias("text"), F.lit("s").alias("source")))
     assert [r.taken for r in none.collect()] == [0] * 4
+
+
+def brute(rows, most_repeats=3):
+    """(doc, taken, first position) by sequential sums in hash order, positions by bisection of the integral."""
+    sources = sorted({r.source for r in rows}, key=lambda x: (x is None, x or ""))
+    schedules = [cycle_weights()(i) for i in range(len(sources))]
+    sizes = [sum(r["size"] for r in rows if r.source == s) for s in sources]
+    targets, capped = {}, {}
+    while len(capped) < len(sources):
+        free = [i for i in range(len(sources)) if i not in capped]
+        unit = Fraction(sum(sizes) - sum(capped.values())) / sum(integral(schedules[i])[-1] for i in free)
+        targets = capped | {i: unit * integral(schedules[i])[-1] for i in free}
+        over = [i for i in free if targets[i] > most_repeats * sizes[i]]
+        if not over:
+            break
+        capped |= {i: Fraction(most_repeats * sizes[i]) for i in over}
+    out = []
+    for i, s in enumerate(sources):
+        wanted, before = int(targets[i] + Fraction(1, 2)), 0
+        (t0, w0), (t1, w1) = schedules[i]
+        demand = lambda t: (w0 * t + (w1 - w0) * t * t / 2) / integral(schedules[i])[-1] * wanted  # noqa: B023, E731
+        for r in sorted((r for r in rows if r.source == s), key=lambda r: (r.h, r.doc_id)):
+            taken = sum(max(0, min(r["size"], wanted - copy * sizes[i] - before)) for copy in range(most_repeats))
+            low, high = 0.0, 1.0
+            for _ in range(60):
+                middle = (low + high) / 2
+                low, high = (middle, high) if demand(middle) < before + r["size"] / 2 else (low, middle)
+            out.append((r.doc_id, taken, round(low, 6) if taken else None))
+            before += r["size"]
+    return sorted(out)
+
+
+def test_mix_matches_brute_force(spark):
+    df = docs(spark).union(docs(spark).where("doc_id between 100 and 130"))  # repeated rows
+    long = spark.createDataFrame([(5000, "w " * 200_000, "e", "en"), (5001, "w", "e", "en"), (5002, None, "f", "en")], df.schema)
+    df = df.union(long)
+    hashed = df.select("doc_id", "source", word_count(F.col("text")).alias("size")).withColumn("h", F.xxhash64(F.lit(0), "doc_id", "size"))
+    rows = first_positions(mix(df)).select("doc_id", "taken", "first_position", F.spark_partition_id().alias("p")).collect()
+    assert sorted((r.doc_id, r.taken, r.first_position and round(r.first_position, 6)) for r in rows) == brute(hashed.collect())
+    places = [-1.0 if r.first_position is None else r.first_position for r in sorted(rows, key=lambda r: r.p)]
+    assert places == sorted(places) and len({r.p for r in rows}) > 1
