@@ -1,4 +1,4 @@
-"""Logistic regression on sparse binary rows, with feature selection and calibration, for bounded training sets."""
+"""Logistic regression on sparse rows, binary with feature selection or weighted, calibrated, for bounded training sets."""
 
 from __future__ import annotations
 
@@ -99,3 +99,42 @@ def train(rows: list[np.ndarray], labels: np.ndarray, least_df: int, most: int,
     chosen = select(rows, labels, least_df, most, both_signs=both_signs)
     w, b = fit(rows, labels, chosen, l2)
     return chosen, w * slope, b * slope + offset
+
+
+def fit_weighted(who: np.ndarray, at: np.ndarray, values: np.ndarray, labels: np.ndarray, width: int, l2: float, steps: int) -> tuple[np.ndarray, float]:
+    """Weights and bias for rows of weighted features (row who, feature at, value), by adaptive gradient steps."""
+    n = len(labels)
+    w, b = np.zeros(width), float(np.log((labels.sum() + 1) / (n - labels.sum() + 1)))
+    seen, seen_b = np.full(width, 1e-6), 1e-6
+    for _ in range(steps):
+        error = sigmoid(b + np.bincount(who, weights=w[at] * values, minlength=n)) - labels
+        g, gb = np.bincount(at, weights=values * error[who], minlength=width) + l2 * w, error.sum()
+        seen, seen_b = seen + g * g, seen_b + gb * gb
+        w, b = w - g / np.sqrt(seen), b - 0.2 * gb / np.sqrt(seen_b)
+    return w, b
+
+
+def train_weighted(rows: list[tuple[np.ndarray, np.ndarray]], labels: np.ndarray, width: int, l2: float = 0.5, steps: int = 60) -> tuple[np.ndarray, float]:
+    """(weights, bias) over all ``width`` hashed features, calibrated on two folds, each left out once."""
+    labels = labels.astype(float)
+    if not len(rows) or labels.min() == labels.max():
+        return np.zeros(width), float(8 * labels.mean() - 4) if len(rows) else 0.0
+    sizes = np.array([len(at) for at, _ in rows])
+    who, values = np.repeat(np.arange(len(rows)), sizes), np.concatenate([v for _, v in rows])
+    used, at = np.unique(np.concatenate([a for a, _ in rows]), return_inverse=True)
+
+    def learn(inside: np.ndarray) -> tuple[np.ndarray, float]:
+        number = np.cumsum(inside) - 1
+        mine = inside[who]
+        return fit_weighted(number[who[mine]], at[mine], values[mine], labels[inside], len(used), l2, steps)
+
+    fold, held = np.arange(len(rows)) % 2, np.zeros(len(rows))
+    for k in (0, 1):
+        w, b = learn(fold != k)
+        scores = b + np.bincount(who, weights=w[at] * values, minlength=len(rows))
+        held[fold == k] = scores[fold == k]
+    slope, offset = calibrate(held, labels)
+    w, b = learn(np.ones(len(rows), bool))
+    weights = np.zeros(width)
+    weights[used] = w * slope
+    return weights, b * slope + offset
