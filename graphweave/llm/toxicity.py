@@ -1,17 +1,25 @@
 """Toxicity of noisy text: a noisy channel is decoded before the restored words are scored.
 
-Obfuscated words (letters swapped for digits and signs, letters set apart by spaces or points, letters repeated)
-open a lattice of the characters they may stand for. A Viterbi search over it, under a character language
-model of order four with counts from the whole corpus and costs of the channel's steps, gives the likeliest
-word. A logistic regression on restored words and their beginnings, trained and calibrated on labelled
-documents, scores each whole text.
+Every token opens a lattice of the characters it may stand for: a sign or figure is a look-alike letter or
+noise, a repeated character is written once or as often as it stands there, a separator inside a token and a
+blank between fragments is a word boundary or noise. A Viterbi search over the lattice, under a character
+language model of order four with counts from the whole corpus and costs of the channel's steps, gives the
+likeliest words. A lattice of one path (letters without repeats) is its own reading and is not searched. Blanks
+are open where letters stand apart in a run, and between a word of at most three letters and its neighbour where
+the language model prefers the two as one. Tokens and runs of any length are decoded whole, in linear time.
+
+A logistic regression on restored words and their beginnings, trained and calibrated on labelled documents,
+scores each whole text. A token of figures alone is a number and not decoded; plain readings of a token count
+beside the decoded ones.
 
 Training takes at most ``most_labelled`` labelled documents, those of least id hash. Counts of the language
 model and scores cover all documents. Label, language, source and id are no inputs of a score.
 
-Defined results: null and empty texts score as texts without words; repeated rows score alike; labels that are
-null or lack a document are not learned from, and without labels of both kinds all scores are constant; extra
-columns pass through, a clashing one is replaced.
+Defined results: null and empty texts score as texts without words; very long texts are scored whole; repeated
+rows score alike, and a labelled id with several texts is learned from its least text alone; labels that are
+null or lack a document are not learned from, an id with several labels counts as the largest; without labels of
+both kinds all scores are constant; an empty table gives no rows; columns that are not kept are dropped, a kept
+one that clashes with the score is replaced.
 """
 
 from __future__ import annotations
@@ -38,6 +46,8 @@ LOOKALIKES = {
 
 _LETTERS = 27  # a to z and the word boundary 0
 _SWAP, _SKIP_SIGN, _SKIP_SECOND, _SKIP_MORE, _LOSE = 0.7, 1.2, 3.0, 0.3, 5.0
+#: Costs of dropping a separator or blank between fragments, and between longer parts; of a boundary among single letters.
+_DROP, _JOIN, _BREAK = 0.1, 2.0, 0.5
 _EDGES = "".join(map(chr, [*range(33, 48), *range(58, 65), *range(91, 97), *range(123, 127)])) + "«»“”‘’…–—¡¿"
 
 
@@ -96,83 +106,150 @@ def letter_costs(counts: np.ndarray, weight: float = 4.0) -> np.ndarray:
 
 
 class Restorer:
-    """Restores words of one text at a time; words are looked up in a bounded cache."""
+    """Restores words of one text at a time; tokens are looked up in a bounded cache."""
 
     def __init__(self, costs: np.ndarray, most: int = 300_000):
-        self.costs, self.most, self.cache = costs, most, {}
-
-    def decode(self, token: str) -> str:
-        """The likeliest word behind a token: Viterbi over the lattice, states are the last three letters."""
-        fold, costs = _folded(), self.costs
-        states = {(0, 0, 0): (0.0, "")}
+        self.costs, self.most, self.cache, self.gaps = costs.tolist(), most, {}, {}
+
+    @staticmethod
+    def steps(token: str) -> list[list[tuple[int, str, float]]]:
+        """For each character the (letter, what is written, cost) it may be; letter 0 is a boundary, -1 changes no context."""
+        fold, out = _folded(), []
+        sizes = [len(p) for p in _APART.split(token)]
+        part = 0
         before = twice = ""
         for ch in token:
-            steps: list[tuple[int, str, float]] = []  # letter, what is written, cost; letter -1: nothing is
-            if letter := int(fold[ord(ch)]):
-                steps.append((letter, ch, 0.0))
+            here: list[tuple[int, str, float]] = []
+            if _APART.match(ch) and ch not in LOOKALIKES:
+                if before and not _APART.match(before):
+                    part += 1
+                longest = max(sizes[max(0, part - 1) : part + 1], default=0)
+                drop, broken = (_DROP, _BREAK) if longest <= 1 else (_DROP, _DROP) if longest <= 2 and ch != " " else (_JOIN, 0.0)
+                here += [(-1, "", drop), (0, " ", broken)]
+            elif letter := int(fold[ord(ch)]):
+                here.append((letter, ch, 0.0))
+            elif ch.isalpha():
+                here.append((-1, ch, 0.0))
             else:
-                steps += [(ord(x) - 96, x, _SWAP) for x in LOOKALIKES.get(ch, "")]
-                steps.append((-1, "", _LOSE if ch.isdigit() else _SKIP_SIGN if ch in LOOKALIKES else 0.1))
-            if ch == before:
-                steps.append((-1, "", _SKIP_MORE if ch == twice else _SKIP_SECOND))
-            after: dict[tuple[int, int, int], tuple[float, str]] = {}
-            for (a, b, c), (cost, word) in states.items():
-                head = ((a * _LETTERS + b) * _LETTERS + c) * _LETTERS
+                here += [(ord(x) - 96, x, _SWAP) for x in LOOKALIKES.get(ch, "")]
+                here.append((-1, "", _LOSE if ch.isdigit() else _SKIP_SIGN if ch in LOOKALIKES else _DROP))
+            if ch == before and here[0][1]:
+                here.append((-1, "", _SKIP_MORE if ch == twice else _SKIP_SECOND))
+            out.append(here)
+            before, twice = ch, before
+        return out
+
+    def best(self, token: str) -> tuple[float, str]:
+        """Cost and reading of the cheapest path; states are the last three letters, as one number."""
+        costs = self.costs
+        states: dict[int, tuple[float, tuple | None]] = {0: (0.0, None)}
+        for steps in self.steps(token):
+            after: dict[int, tuple[float, tuple | None]] = {}
+            for head, (cost, path) in states.items():
                 for letter, written, step in steps:
-                    key = (b, c, letter) if letter >= 0 else (a, b, c)
-                    total = cost + step + (float(costs[head + letter]) if letter >= 0 else 0.0)
-                    if key not in after or (total, word + written) < after[key]:
-                        after[key] = (total, word + written)
-            states, before, twice = after, ch, before
-        ends = ((cost + float(costs[((a * _LETTERS + b) * _LETTERS + c) * _LETTERS]), word) for (a, b, c), (cost, word) in states.items())
-        return min(ends)[1]
+                    if letter > 0 or letter == 0 and head % _LETTERS:
+                        total, key = cost + step + costs[head * _LETTERS + letter], head % _LETTERS**2 * _LETTERS + letter
+                    else:
+                        total, key = cost + step, head
+                    known = after.get(key)
+                    if known is None or total < known[0]:
+                        after[key] = (total, (path, written) if written else path)
+            states = after
+        cost, path = min(((c + (costs[head * _LETTERS] if head % _LETTERS else 0.0), path) for head, (c, path) in states.items()), key=lambda x: x[0])
+        written = []
+        while path:
+            path, last = path
+            written.append(last)
+        return cost, "".join(reversed(written))
+
+    def decode(self, token: str) -> tuple[str, ...]:
+        """The likeliest words behind a token, or behind tokens with blanks between them."""
+        return tuple(self.best(token)[1].split())
 
     def word(self, token: str) -> tuple[str, ...]:
         """Restored words of a token without white space, in lower case."""
-        if token.isalpha() and not _REPEATED.search(token):
+        if token.isalpha() and not _TWICE.search(token):
             return (token,)
         core = token.strip(_EDGES)
-        if core.isalpha() and not _REPEATED.search(core):
-            lead = token[: len(token) - len(token.lstrip(_EDGES))]
-            if not lead or lead[-1] not in LOOKALIKES:
-                return (core,)
-        letters = sum(ch.isalpha() for ch in token)
-        if letters < 2 or 2 * letters < sum(ch.isdigit() for ch in token) or len(token) > 40:
-            return tuple(p for p in _APART.split(core) if p and len(p) <= 64)
-        parts = [p for p in _APART.split(token.strip("\"'.,;:?-_*~#%&/\\<>[]{}")) if p]
-        if len(parts) > 1 and max(map(len, parts)) > 1:
-            return tuple(w for p in parts for w in ((p,) if p.isalpha() and not _REPEATED.search(p) else (self.decode(p),)) if w)
-        word = self.decode("".join(parts))
-        return (word,) if word else ()
-
-    def words(self, text: str) -> set[str]:
-        """All restored words of a text; runs of at least three letters set apart are also read as one."""
-        tokens = text.lower().split()
+        inner = token.strip(_PLAIN_EDGES)
+        if core.isalpha() and not _TWICE.search(core):
+            return (core,) if core == inner else tuple(dict.fromkeys([core, *self.decode(inner)]))
+        parts = [p for p in _APART.split(core) if p]
+        if all(p.isdigit() for p in parts) and all(c.isdigit() or c not in LOOKALIKES for c in inner):
+            return tuple(parts)
+        plain = [p for p in parts if p.isalpha()]
+        if core == inner and len(plain) == len(parts) and min(map(len, parts), default=3) > 2 and not _TWICE.search(core):
+            return tuple(plain)
+        return tuple(dict.fromkeys([*plain, *self.decode(inner)]))
+
+    def one_word(self, left: str, right: str) -> bool:
+        """Does the language model prefer the two tokens as one word? That depends on three letters on either side."""
+        ends = left[-3:], right[:3], len(right) <= 3
+        known = self.gaps.get(ends)
+        if known is None:
+            if len(self.gaps) >= self.most:
+                self.gaps.clear()
+            known = self.gaps[ends] = self._prefers_one(*ends)
+        return known
+
+    def _prefers_one(self, left: str, right: str, ended: bool) -> bool:
+        fold = _folded()
+        a, b = ([int(fold[ord(c)]) for c in side] for side in (left, right))
+        if not (all(a) and all(b)):
+            return False
+        tail = [*b, 0] if ended else b
+
+        def cost(letters: list[int]) -> float:
+            head, total = ((0 if len(a) < 3 else a[-3]) * _LETTERS + (0 if len(a) < 2 else a[-2])) * _LETTERS + a[-1], 0.0
+            for letter in letters:
+                total += self.costs[head * _LETTERS + letter]
+                head = head % _LETTERS**2 * _LETTERS + letter
+            return total
+
+        return cost(tail) + _JOIN < cost([0, *tail])
+
+    def _fragments(self, tokens: list[str]) -> list[str]:
+        """Runs of tokens, joined by blanks, whose blanks are open."""
+        runs: list[str] = []
         if any(len(t) == 1 for t in tokens):
             run: list[str] = []
-            joined = []
             for t in [*tokens, ""]:
                 if len(t) == 1 and (t.isalpha() or t in LOOKALIKES):
                     run.append(t)
                 else:
                     if len(run) >= 3:
-                        joined.append("".join(run))
+                        runs.append(" ".join(run))
                     run = []
-            tokens += [self.decode(j) for j in joined if len(j) <= 64 and len(set(j)) > 2]
+        close = {(a, b) for a, b in set(zip(tokens, tokens[1:])) if (len(a) <= 3 or len(b) <= 3) and self.one_word(a, b)}
+        if close:
+            run = tokens[:1]
+            for pair in zip(tokens, [*tokens[1:], ""]):
+                if pair in close:
+                    run.append(pair[1])
+                else:
+                    if len(run) > 1:
+                        runs.append(" ".join(run))
+                    run = [pair[1]]
+        return runs
+
+    def words(self, text: str) -> set[str]:
+        """All restored words of a text."""
+        tokens = text.lower().split()
         out: set[str] = set()
         cache = self.cache
-        for token in set(tokens):
+        for token in set(tokens).union(self._fragments(tokens)):
             found = cache.get(token)
             if found is None:
                 if len(cache) >= self.most:
                     cache.clear()
-                found = cache[token] = self.word(token)
+                found = cache[token] = self.decode(token) if " " in token else self.word(token)
             out.update(found)
         return out
 
 
-_REPEATED = re.compile(r"(.)\1\1")
+_TWICE = re.compile(r"(.)\1")
 _APART = re.compile(r"[\s.\-_*,;:/\\'\"~#%&<>\[\]{}=?]+")
+_PLAIN_EDGES = "".join(c for c in _EDGES if c not in LOOKALIKES)
 
 
 def features(word: str) -> list[int]:
@@ -207,7 +284,8 @@ def train(docs: DataFrame, labels: DataFrame, costs: np.ndarray, id_col: str = "
     known = known.where(learnable) if learnable is not None else known
     known = known.groupBy(F.col(id_col).alias("__id")).agg(F.max(label_col).cast("double").alias("__label"))
     known = known.orderBy(F.xxhash64("__id"), "__id").limit(most_labelled)  # a documented bound of the training set
-    texts = docs.select(F.col(id_col).alias("__id"), F.col(text_col).alias("text")).join(F.broadcast(known), "__id")
+    texts = docs.select(F.col(id_col).alias("__id"), F.coalesce(F.col(text_col), F.lit("")).alias("text")).join(F.broadcast(known), "__id")
+    texts = texts.groupBy("__id", "__label").agg(F.min("text").alias("text"))
 
     def make():
         restorer = Restorer(costs)
