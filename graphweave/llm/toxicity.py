@@ -47,7 +47,7 @@ LOOKALIKES = {
 _LETTERS = 27  # a to z and the word boundary 0
 _SWAP, _SKIP_SIGN, _SKIP_SECOND, _SKIP_MORE, _LOSE = 0.7, 1.2, 3.0, 0.3, 5.0
 #: Costs of dropping a separator or blank between fragments, and between longer parts; of a boundary among single letters.
-_DROP, _JOIN, _BREAK = 0.1, 2.0, 0.5
+_DROP, _JOIN, _BREAK = 0.1, 3.0, 0.5
 _EDGES = "".join(map(chr, [*range(33, 48), *range(58, 65), *range(91, 97), *range(123, 127)])) + "«»“”‘’…–—¡¿"
 
 
@@ -105,50 +105,64 @@ def letter_costs(counts: np.ndarray, weight: float = 4.0) -> np.ndarray:
     return (-np.log(p)).astype(np.float32).reshape(-1)
 
 
+@lru_cache(maxsize=100_000)
+def _readings(ch: str) -> tuple[tuple[int, str, float], ...] | None:
+    """What a character may be, wherever it stands; None for a separator."""
+    if _APART.match(ch) and ch not in LOOKALIKES:
+        return None
+    if letter := int(_folded()[ord(ch)]):
+        return ((letter, ch, 0.0),)
+    if ch.isalpha():
+        return ((-1, ch, 0.0),)
+    swaps = tuple((ord(x) - 96, x, _SWAP) for x in LOOKALIKES.get(ch, ""))
+    return (*swaps, (-1, "", _LOSE if ch.isdigit() else _SKIP_SIGN if ch in LOOKALIKES else _DROP))
+
+
 class Restorer:
     """Restores words of one text at a time; tokens are looked up in a bounded cache."""
 
     def __init__(self, costs: np.ndarray, most: int = 300_000):
-        self.costs, self.most, self.cache, self.gaps = costs.tolist(), most, {}, {}
+        self.table, self.costs, self.most = costs, costs.tolist(), most
+        self.cache, self.decoded = {}, {}
 
     @staticmethod
-    def steps(token: str) -> list[list[tuple[int, str, float]]]:
+    def steps(token: str) -> list[tuple[tuple[int, str, float], ...]]:
         """For each character the (letter, what is written, cost) it may be; letter 0 is a boundary, -1 changes no context."""
-        fold, out = _folded(), []
-        sizes = [len(p) for p in _APART.split(token)]
-        part = 0
-        before = twice = ""
-        for ch in token:
-            here: list[tuple[int, str, float]] = []
-            if _APART.match(ch) and ch not in LOOKALIKES:
-                if before and not _APART.match(before):
-                    part += 1
-                longest = max(sizes[max(0, part - 1) : part + 1], default=0)
-                drop, broken = (_DROP, _BREAK) if longest <= 1 else (_DROP, _DROP) if longest <= 2 and ch != " " else (_JOIN, 0.0)
-                here += [(-1, "", drop), (0, " ", broken)]
-            elif letter := int(fold[ord(ch)]):
-                here.append((letter, ch, 0.0))
-            elif ch.isalpha():
-                here.append((-1, ch, 0.0))
-            else:
-                here += [(ord(x) - 96, x, _SWAP) for x in LOOKALIKES.get(ch, "")]
-                here.append((-1, "", _LOSE if ch.isdigit() else _SKIP_SIGN if ch in LOOKALIKES else _DROP))
-            if ch == before and here[0][1]:
-                here.append((-1, "", _SKIP_MORE if ch == twice else _SKIP_SECOND))
-            out.append(here)
-            before, twice = ch, before
+        out = list(map(_readings, token))
+        if None in out:
+            sizes = [len(p) for p in _APART.split(token)]
+            part, inside = 0, False
+            for i, known in enumerate(out):
+                if known is None:
+                    part += inside
+                    longest = max(sizes[max(0, part - 1) : part + 1], default=0)
+                    drop, broken = (_DROP, _BREAK) if longest <= 1 else (_DROP, _DROP) if longest <= 2 and token[i] != " " else (_JOIN, 0.0)
+                    out[i] = ((-1, "", drop), (0, " ", broken))
+                inside = known is not None
+        for twice in _TWICE.finditer(token):
+            i = twice.start() + 1
+            while i < len(token) and token[i] == token[i - 1]:
+                if _readings(token[i]):
+                    out[i] = (*out[i], (-1, "", _SKIP_MORE if i > 1 and token[i - 2] == token[i] else _SKIP_SECOND))
+                i += 1
         return out
 
     def best(self, token: str) -> tuple[float, str]:
         """Cost and reading of the cheapest path; states are the last three letters, as one number."""
-        costs = self.costs
+        costs, square = self.costs, _LETTERS**2
         states: dict[int, tuple[float, tuple | None]] = {0: (0.0, None)}
         for steps in self.steps(token):
+            if len(states) == 1 and len(steps) == 1 and steps[0][0] > 0:  # the common case of the loop below
+                head, (cost, path) = states.popitem()
+                letter, written, step = steps[0]
+                states[head % square * _LETTERS + letter] = cost + step + costs[head * _LETTERS + letter], (path, written)
+                continue
             after: dict[int, tuple[float, tuple | None]] = {}
             for head, (cost, path) in states.items():
+                row, kept = head * _LETTERS, head % square * _LETTERS
                 for letter, written, step in steps:
                     if letter > 0 or letter == 0 and head % _LETTERS:
-                        total, key = cost + step + costs[head * _LETTERS + letter], head % _LETTERS**2 * _LETTERS + letter
+                        total, key = cost + step + costs[row + letter], kept + letter
                     else:
                         total, key = cost + step, head
                     known = after.get(key)
@@ -164,12 +178,17 @@ class Restorer:
 
     def decode(self, token: str) -> tuple[str, ...]:
         """The likeliest words behind a token, or behind tokens with blanks between them."""
-        return tuple(self.best(token)[1].split())
+        found = self.decoded.get(token)
+        if found is None:
+            if len(self.decoded) >= self.most:
+                self.decoded.clear()
+            found = self.decoded[token] = tuple(self.best(token)[1].split())
+        return found
 
     def word(self, token: str) -> tuple[str, ...]:
         """Restored words of a token without white space, in lower case."""
-        if token.isalpha() and not _TWICE.search(token):
-            return (token,)
+        if token.isalpha():
+            return (token,) if not _TWICE.search(token) else tuple({token, *self.decode(token)})
         core = token.strip(_EDGES)
         inner = token.strip(_PLAIN_EDGES)
         if core.isalpha() and not _TWICE.search(core):
@@ -182,62 +201,60 @@ class Restorer:
             return tuple(plain)
         return tuple(dict.fromkeys([*plain, *self.decode(inner)]))
 
-    def one_word(self, left: str, right: str) -> bool:
-        """Does the language model prefer the two tokens as one word? That depends on three letters on either side."""
-        ends = left[-3:], right[:3], len(right) <= 3
-        known = self.gaps.get(ends)
-        if known is None:
-            if len(self.gaps) >= self.most:
-                self.gaps.clear()
-            known = self.gaps[ends] = self._prefers_one(*ends)
-        return known
-
-    def _prefers_one(self, left: str, right: str, ended: bool) -> bool:
-        fold = _folded()
-        a, b = ([int(fold[ord(c)]) for c in side] for side in (left, right))
-        if not (all(a) and all(b)):
-            return False
-        tail = [*b, 0] if ended else b
-
-        def cost(letters: list[int]) -> float:
-            head, total = ((0 if len(a) < 3 else a[-3]) * _LETTERS + (0 if len(a) < 2 else a[-2])) * _LETTERS + a[-1], 0.0
-            for letter in letters:
-                total += self.costs[head * _LETTERS + letter]
-                head = head % _LETTERS**2 * _LETTERS + letter
-            return total
-
-        return cost(tail) + _JOIN < cost([0, *tail])
-
-    def _fragments(self, tokens: list[str]) -> list[str]:
-        """Runs of tokens, joined by blanks, whose blanks are open."""
-        runs: list[str] = []
-        if any(len(t) == 1 for t in tokens):
+    def open_blanks(self, text: str) -> np.ndarray:
+        """Places of single blanks between letters, a word of at most three of them on one side, that the language model would rather drop.
+
+        Whether it does depends on three letters on either side, so all blanks of a text are judged at once.
+        """
+        points = np.frombuffer(f"   {text}   ".encode("utf-32-le", "surrogatepass"), np.uint32)
+        c = _folded()[points]
+        at = np.flatnonzero((c[3:-3] == 0) & (c[2:-4] > 0) & (c[4:-2] > 0)) + 3
+        at = at[(points[at] == 32) | (points[at] == 10) | (points[at] == 9)]
+        x, y, z, u, v, w = (c[at + k].astype(np.int64) for k in (-3, -2, -1, 1, 2, 3))
+        before, after = np.minimum(at, 4), np.minimum(len(c) - 1 - at, 4)
+        short = (x == 0) | (y == 0) | (c[at - before] == 0) | (v == 0) | (w == 0) | (c[at + after] == 0)
+        at, x, y, z, u, v, w = (a[short] for a in (at, x, y, z, u, v, w))
+        x = np.where(y == 0, 0, x)
+        cost = lambda a, b, c, d: self.table[((a * _LETTERS + b) * _LETTERS + c) * _LETTERS + d]
+        rest = np.where(v > 0, 1.0, 0.0)  # what follows the end of the right word is the same either way
+        apart = cost(x, y, z, 0) + cost(y, z, 0, u) + cost(z, 0, u, v) + rest * cost(0, u, v, w)
+        joined = cost(x, y, z, u) + cost(y, z, u, v) + rest * cost(z, u, v, w)
+        return at[joined + _JOIN < apart] - 3
+
+    def _fragments(self, text: str) -> list[str]:
+        """Runs of tokens, joined by blanks, whose blanks are open: letters set apart, and fragments of words."""
+        runs = []
+        for found in _SET_APART.finditer(text):
             run: list[str] = []
-            for t in [*tokens, ""]:
-                if len(t) == 1 and (t.isalpha() or t in LOOKALIKES):
+            for t in [*found.group().split(), ""]:
+                if t and (t.isalpha() or t in LOOKALIKES):
                     run.append(t)
                 else:
                     if len(run) >= 3:
                         runs.append(" ".join(run))
                     run = []
-        close = {(a, b) for a, b in set(zip(tokens, tokens[1:])) if (len(a) <= 3 or len(b) <= 3) and self.one_word(a, b)}
-        if close:
-            run = tokens[:1]
-            for pair in zip(tokens, [*tokens[1:], ""]):
-                if pair in close:
-                    run.append(pair[1])
-                else:
-                    if len(run) > 1:
-                        runs.append(" ".join(run))
-                    run = [pair[1]]
+        end = -1
+        places = self.open_blanks(text).tolist()
+        for i, place in enumerate(places):
+            if place < end:
+                continue
+            begin, end, k = place, place, i
+            while begin and not text[begin - 1].isspace():
+                begin -= 1
+            while k < len(places) and places[k] == end:
+                end += 1
+                while end < len(text) and not text[end].isspace():
+                    end += 1
+                k += 1
+            runs.append(" ".join(text[begin:end].split()))
         return runs
 
     def words(self, text: str) -> set[str]:
         """All restored words of a text."""
-        tokens = text.lower().split()
+        text = text.lower()
         out: set[str] = set()
         cache = self.cache
-        for token in set(tokens).union(self._fragments(tokens)):
+        for token in set(text.split()).union(self._fragments(text)):
             found = cache.get(token)
             if found is None:
                 if len(cache) >= self.most:
@@ -247,7 +264,8 @@ class Restorer:
         return out
 
 
-_TWICE = re.compile(r"(.)\1")
+_SET_APART = re.compile(r"(?<!\S)\S(?:\s+\S){2,}(?!\S)")
+_TWICE = re.compile(r"(.)\1+")
 _APART = re.compile(r"[\s.\-_*,;:/\\'\"~#%&<>\[\]{}=?]+")
 _PLAIN_EDGES = "".join(c for c in _EDGES if c not in LOOKALIKES)
 
