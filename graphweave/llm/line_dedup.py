@@ -24,15 +24,22 @@ from pyspark.sql.window import Window as W
 
 from graphweave.llm.common import materialize, settled, stored
 
-#: Longs of the broadcast filter below, 64 bits each: its size is fixed, more keys only let more rows through.
-_FILTER_WORDS = 1 << 18
+#: Longs of the broadcast filter below at most, of 64 bits each: a proven bound of what is broadcast.
+_MOST_WORDS = 1 << 18
 #: Words of the longest line whose neighbourhood is made inside its row, where the cost is quadratic.
 _IN_ROW = 64
 
 
 def _maybe_in(rows: DataFrame, hashed: str, keys: DataFrame) -> DataFrame:
-    """The rows whose hash may be among keys (one column): a bit table of fixed size, as a broadcast semi join."""
-    word = lambda c: F.pmod(F.shiftright(c, 6), F.lit(_FILTER_WORDS)).cast("int")
+    """The rows whose hash may be among keys (one column), which some join decides later; a filter of 16 bits a key.
+
+    Keys that would fill more than half of the largest bit table get none: it would let most rows through.
+    """
+    n = keys.count()
+    if n > _MOST_WORDS * 32:
+        return rows
+    words = min(_MOST_WORDS, max(1 << 10, 1 << (n // 4).bit_length()))
+    word = lambda c: F.pmod(F.shiftright(c, 6), F.lit(words)).cast("int")
     bit = lambda c: F.call_function("shiftleft", F.lit(1).cast("long"), c.bitwiseAND(F.lit(63)).cast("int"))
     key = F.col(keys.columns[0])
     bits = materialize(keys.groupBy(word(key).alias("__word")).agg(F.bit_or(bit(key)).alias("__bits")))
@@ -161,11 +168,13 @@ def dropped_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
 def deduplicate_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", near_words: int = 6, drop_empty: bool = True) -> DataFrame:
     """docs without the lines that ``dropped_lines`` names; documents left without a word go, if drop_empty."""
     gone = dropped_lines(docs, id_col, text_col, near_words).toDF("__d", "__t", "__dropped")
-    text = F.coalesce(F.col(text_col), F.lit(""))
-    rows = docs.join(gone, F.col(id_col).eqNullSafe(F.col("__d")) & (F.xxhash64(text) == F.col("__t")), "left")
-    gone_here = F.transform(F.split(text, "\n"), lambda x, i: F.when(~F.array_contains("__dropped", i), x))
-    kept = F.array_join(F.filter(gone_here, lambda x: x.isNotNull()), "\n")
-    rows = rows.withColumn("__kept", F.when(F.col("__dropped").isNull(), F.col(text_col)).otherwise(kept))
+    # Lines take the place of the text, cut before the join, so that taking one by its number costs no new cut.
+    text = F.col(f"`{text_col}`")
+    rows = docs.withColumn("__hash", F.xxhash64(F.coalesce(text, F.lit("")))).withColumn(text_col, F.split(text, "\n"))
+    rows = rows.join(gone, F.col(f"`{id_col}`").eqNullSafe(F.col("__d")) & (F.col("__hash") == F.col("__t")), "left")
+    numbers = F.array_except(F.sequence(F.lit(0), F.size(text) - 1), "__dropped")
+    kept = F.array_join(F.transform(numbers, lambda i: F.get(text, i)), "\n")
+    rows = rows.withColumn("__kept", F.when(F.col("__dropped").isNull() | text.isNull(), F.array_join(text, "\n")).otherwise(kept))
     if drop_empty:
         rows = rows.where(F.col("__dropped").isNull() | F.col("__kept").rlike(r"[^\x20\x09-\x0D]"))
     return rows.select(*(F.col("__kept").alias(c) if c == text_col else F.col(f"`{c}`") for c in docs.columns))
