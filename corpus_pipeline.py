@@ -2,6 +2,11 @@
 
 Every stage takes all that its predecessor kept, written as Parquet and read again. Columns of documents pass
 through unchanged but for the text, and n_chars with it, where lines go.
+
+Defined results of every stage: a null text is an empty one (it stays null in the column); a null id, language,
+source or count is a value like any other; repeated rows are documents of their own until near-dedup, which keeps
+one of each group; ties go to the smaller id, then the smaller text hash, then the smaller row; texts of any
+length are worked on whole; further columns pass through, under any name; an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -10,10 +15,10 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from graphweave.llm.byte_bpe import encode_documents
+from graphweave.llm.byte_bpe import decode_documents, encode_documents
 from graphweave.llm.common import fresh, settled, stored, table
 from graphweave.llm.line_dedup import deduplicate_lines
-from graphweave.llm.mixing import mix, positions
+from graphweave.llm.mixing import mix, positions, word_count
 from graphweave.llm.queries import RANKS, TOXIC_FROM
 from graphweave.llm.simhash import near_copies
 from graphweave.llm.toxicity import score_documents
@@ -41,25 +46,29 @@ def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     node = fresh(docs, "__node")
     rows = docs.withColumn(node, F.xxhash64(F.coalesce("text", F.lit(""))))
     found = settled(near_copies(rows, node), "node")
-    grouped = rows.join(found, F.col(node) == F.col("node"), "left").select("doc_id", node, F.coalesce("root", node).alias("root"))
+    grouped = rows.select("doc_id", F.col(node).alias("text")).join(found, F.col("text") == F.col("node"), "left")
+    grouped = grouped.select("doc_id", F.col("text").alias(node), F.coalesce("root", "text").alias("root"))
     keeper = F.min(F.struct(F.col("doc_id").isNull().alias("null"), F.col("doc_id").alias("id"), F.col(node).alias("text")))
     keeper = grouped.groupBy("root").agg(keeper.alias("keeper")).select(F.col("keeper.id").alias("__id"), F.col("keeper.text").alias("__kept"))
     kept = rows.join(keeper, F.col("doc_id").eqNullSafe(F.col("__id")) & (F.col(node) == F.col("__kept")), "left_semi")
     # Rows of one id and text differ in other columns only: the least of them stays.
-    least = kept.groupBy("doc_id", node).agg(F.min(F.struct(*docs.columns)).alias("row"))
+    least = kept.groupBy("doc_id", node).agg(F.min(F.struct(*(F.col(f"`{c}`") for c in docs.columns))).alias("row"))
     return least.select("row.*")
 
 
 def source_mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Copies of whole documents by their sources' schedules, in the order of training."""
-    return positions(mix(docs)).select(*docs.columns)
+    rows = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("row"), "doc_id", "source", word_count(F.col("text")).alias("size"))
+    return positions(mix(rows, size_col="size")).select("row.*")
 
 
 def token_ids(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Token ids of every copy."""
-    encoded = encode_documents(docs, public_tokenizers.path(RANKS), ("doc_id",), with_offsets=False)
+    """Token ids of every copy, and a digest of the bytes that they decode to."""
+    path = public_tokenizers.path(RANKS)
+    encoded = encode_documents(docs, path, ("doc_id",), with_offsets=False)
+    decoded = decode_documents(encoded, path, ("doc_id", "ids"))
     digest = F.sha2(F.concat_ws(",", F.col("ids").cast("array<string>")), 256)
-    return encoded.select("doc_id", F.size("ids").cast("long").alias("n_tokens"), digest.alias("ids_sha256"), "ids")
+    return decoded.select("doc_id", F.size("ids").cast("long").alias("n_tokens"), digest.alias("ids_sha256"), F.sha2("decoded", 256).alias("decoded_sha256"), "ids")
 
 
 STAGES = [
