@@ -176,7 +176,7 @@ query("cut_prepare", f"WITH {E1}, {PAIRS} SELECT src, dst, (src * 7919 + dst * 1
 query("cut_random_edge", f"{cut_sql(8)} SELECT src, dst, part FROM cut")(lambda spark, d: hash_cut(spark, d, 8))
 query("cut_source", f"WITH {E1}, {PAIRS} SELECT src, dst, CAST(src * 7919 % 8 AS INTEGER) AS part FROM pairs")(lambda spark, d: partition.source_hash(partition.prepare(w1(spark, d).edges), 8))
 query("cut_grid2d", f"WITH {E1}, {PAIRS} SELECT src, dst, CAST((src * 7919 % 3) * 3 + dst * 104729 % 3 AS INTEGER) AS part FROM pairs")(lambda spark, d: partition.grid2d(partition.prepare(w1(spark, d).edges), 3))
-query("cut_degree", f"WITH {E1}, {PAIRS}, g AS (SELECT vid, count(*) AS n FROM (SELECT unnest([src, dst]) AS vid FROM pairs) GROUP BY 1) SELECT src, dst, CAST((CASE WHEN a.n < b.n THEN src WHEN a.n > b.n THEN dst ELSE src END) * 7919 % 8 AS INTEGER) AS part FROM pairs JOIN g a ON a.vid = src JOIN g b ON b.vid = dst")(
+query("cut_degree", f"WITH {E1.replace('e1 AS (', 'e1 AS MATERIALIZED (')}, {PAIRS.replace('pairs AS (', 'pairs AS MATERIALIZED (')}, g AS MATERIALIZED (SELECT vid, count(*) AS n FROM (SELECT unnest([src, dst]) AS vid FROM pairs) GROUP BY 1) SELECT src, dst, CAST((CASE WHEN a.n < b.n THEN src WHEN a.n > b.n THEN dst ELSE src END) * 7919 % 8 AS INTEGER) AS part FROM pairs JOIN g a ON a.vid = src JOIN g b ON b.vid = dst")(
     lambda spark, d: partition.degree_hash(partition.prepare(w1(spark, d).edges), 8)
 )
 query("cut_edge", f"WITH {E1}, {PAIRS} SELECT src, dst, CAST(src * 7919 % 8 AS INTEGER) AS src_part, CAST(dst * 7919 % 8 AS INTEGER) AS dst_part, src * 7919 % 8 <> dst * 7919 % 8 AS cut FROM pairs")(
@@ -244,23 +244,25 @@ class Parted:
     def __init__(self, spark: SparkSession, d: str, p: int = 4, bins: int = 1, width: int = 2):
         self.g, self.width = w1(spark, d, width), width
         pairs = checkpointed(hash_cut(spark, d, p))
-        self.cut = checkpointed(partition.both_ways(pairs))
+        self.cut = remote.dealt(partition.both_ways(pairs), p)
         cloned = layout.clones(pairs)
         tree = layout.trees(cloned)
-        self.roles = checkpointed(layout.with_roles(cloned, tree, layout.bins(tree, bins) if bins > 1 else None))
+        self.roles = remote.dealt(layout.with_roles(cloned, tree, layout.bins(tree, bins) if bins > 1 else None), p)
+        self.features = remote.dealt(self.roles.select("vid", "part").join(self.g.vertices, "vid"), p)
 
-    def full(self, epoch: int) -> DataFrame:
-        rows = self.roles.select("vid", "part").join(self.g.vertices, "vid")
+    def partials(self, epoch: int, kernel: str = "columns") -> DataFrame:
         feat = F.transform("feat", lambda x: x * (epoch + 1) + (F.col("vid") + epoch) % 3)
-        partials = remote.local_aggregate(self.cut, rows.select("vid", "part", feat.alias("feat")), self.width)
-        return checkpointed(remote.complete(partials, self.roles, self.width))
+        return remote.local_aggregate(self.cut, self.features.select("vid", "part", feat.alias("feat")), self.width, kernel=kernel)
+
+    def full(self, epoch: int) -> DataFrame:
+        return checkpointed(remote.complete(self.partials(epoch), self.roles, self.width))
 
 
-def p_sql(p: int = 4, bins: int = 1) -> str:
-    """p(vid, part, is_root, is_split, bin, dim, e, val) for epochs 0 to 5: partials of every clone."""
+def p_sql(p: int = 4, bins: int = 1, epochs: int = 6) -> str:
+    """p(vid, part, is_root, is_split, bin, dim, e, val) for all epochs: partials of every clone."""
     return (
         f"{cut_sql(p)}, {ROOTS}, {f1(2)}, {BINS.format(bins)}, two AS (SELECT src, dst, part FROM cut UNION ALL SELECT dst, src, part FROM cut),"
-        " ep AS (SELECT CAST(unnest(range(6)) AS INTEGER) AS e),"
+        " ep AS (SELECT CAST(unnest(range(" + str(epochs) + ")) AS INTEGER) AS e),"
         " agg AS (SELECT two.dst AS vid, part, dim, e, sum(x * (e + 1) + (f1.vid + e) % 3) AS val FROM two JOIN f1 ON f1.vid = two.src, ep GROUP BY ALL),"
         f" p AS (SELECT c.vid, c.part, c.part = root_part AS is_root, root_part, c.copies > 1 AS is_split, COALESCE(bin, 0) AS bin, d.dim, ep.e, COALESCE(val, 0) AS val FROM clones c JOIN roots USING (vid) LEFT JOIN bins USING (vid) CROSS JOIN {dims(2)} d CROSS JOIN ep LEFT JOIN agg ON agg.vid = c.vid AND agg.part = c.part AND agg.dim = d.dim AND agg.e = ep.e)"
     )
@@ -302,8 +304,15 @@ def delayed_sql(r: int, b: int, epochs: int, idle: str = "local") -> str:
     """Closed form: roots add leaves of epoch e - r, leaves take the root total of e - r, made of leaves of e - 2r."""
     root = f"p.val + CASE WHEN p.e >= {r} THEN COALESCE((SELECT sum(q.val) FROM p q WHERE q.vid = p.vid AND q.dim = p.dim AND q.e = p.e - {r} AND NOT q.is_root), 0) ELSE 0 END"
     leaf = f"CASE WHEN p.e >= {2 * r} THEN (SELECT sum(q.val) FROM p q WHERE q.vid = p.vid AND q.dim = p.dim AND q.e = CASE WHEN q.is_root THEN p.e - {r} ELSE p.e - {2 * r} END) ELSE p.val END"
-    value = f"CASE WHEN NOT p.is_split OR p.e % {b} <> p.bin THEN p.val WHEN p.is_root THEN {root} ELSE {leaf} END"
-    return f"{p_sql(4, b)} SELECT e AS epoch, vid, part, dim, CAST({value} AS BIGINT) AS val FROM p WHERE e < {epochs}"
+    idle_value = "p.val"
+    if idle == "cached":  # the last active epoch of the bin, and the remote part that it brought
+        at = f"(p.e - (p.e - p.bin + {b}) % {b})"
+        leaves = f"COALESCE((SELECT sum(q.val) FROM p q WHERE q.vid = p.vid AND q.dim = p.dim AND NOT q.is_root AND q.e = {at} - {r}), 0)"
+        total = f"(SELECT sum(q.val) FROM p q WHERE q.vid = p.vid AND q.dim = p.dim AND q.e = CASE WHEN q.is_root THEN {at} - {r} ELSE {at} - {2 * r} END)"
+        own = f"(SELECT sum(q.val) FROM p q WHERE q.vid = p.vid AND q.part = p.part AND q.dim = p.dim AND q.e = {at} - {2 * r})"
+        idle_value = f"p.val + CASE WHEN p.is_root AND {at} >= {r} THEN {leaves} WHEN NOT p.is_root AND {at} >= {2 * r} THEN {total} - {own} ELSE 0 END"
+    value = f"CASE WHEN NOT p.is_split THEN p.val WHEN p.e % {b} <> p.bin THEN {idle_value} WHEN p.is_root THEN {root} ELSE {leaf} END"
+    return f"{p_sql(4, b, epochs)} SELECT e AS epoch, vid, part, dim, CAST({value} AS BIGINT) AS val FROM p WHERE e < {epochs}"
 
 
 def delayed_run(spark: SparkSession, d: str, r: int, b: int, epochs: int, idle: str = "local", overlap: bool = False) -> DataFrame:
@@ -316,20 +325,21 @@ def delayed_run(spark: SparkSession, d: str, r: int, b: int, epochs: int, idle:
     return out
 
 
-for _r, _b, _e in ((1, 1, 4), (2, 1, 5), (2, 2, 6)):
+for _r, _b, _e in ((1, 1, 4), (2, 1, 5), (2, 2, 6), (5, 1, 11), (5, 5, 12)):
     query(f"sync_delayed_r{_r}_b{_b}", delayed_sql(_r, _b, _e))(lambda spark, d, r=_r, b=_b, e=_e: delayed_run(spark, d, r, b, e))
 query("sync_delayed_overlapped", delayed_sql(1, 1, 3))(lambda spark, d: delayed_run(spark, d, 1, 1, 3, overlap=True))
-query("sync_delayed_cached")(lambda spark, d: delayed_run(spark, d, 2, 2, 5, "cached"))
+query("sync_delayed_cached", delayed_sql(2, 2, 7, "cached"))(lambda spark, d: delayed_run(spark, d, 2, 2, 7, "cached"))
 _EX = "SELECT part AS from_part, root_part AS to_part FROM p WHERE e = 0 AND dim = 0 AND is_split AND NOT is_root"
 query("exchange_matrix", f"{p_sql()}, x AS ({_EX} UNION ALL SELECT to_part, from_part FROM ({_EX})) SELECT from_part, to_part, count(*) AS vectors, count(*) * 8 AS bytes FROM x GROUP BY ALL")(
     lambda spark, d: remote.exchange_matrix(Parted(spark, d).full(0), 2)
 )
-for _m, _c, _b in (("local_only", "false", 1), ("sync_full", "true", 1), ("delayed", "true", 2)):
-    query(f"comm_volume_{_m}", f"{p_sql(4, _b)} SELECT CAST({'bin' if _m == 'delayed' else 0} AS INTEGER) AS bin, 2 * count(*) AS vectors, 2 * count(*) * 8 AS bytes FROM p WHERE e = 0 AND dim = 0 AND is_split AND NOT is_root AND {_c} GROUP BY 1")(
+query("comm_volume_local_only", "SELECT CAST(0 AS INTEGER) AS bin, 0::BIGINT AS vectors, 0::BIGINT AS bytes")(lambda spark, d: measures.comm_volume(Parted(spark, d).roles, 2, "local_only"))
+for _m, _b in (("sync_full", 1), ("delayed", 2)):
+    query(f"comm_volume_{_m}", f"{p_sql(4, _b)} SELECT CAST({'bin' if _m == 'delayed' else 0} AS INTEGER) AS bin, 2 * count(*) AS vectors, 2 * count(*) * 8 AS bytes FROM p WHERE e = 0 AND dim = 0 AND is_split AND NOT is_root GROUP BY 1")(
         lambda spark, d, m=_m, b=_b: measures.comm_volume(Parted(spark, d, 4, b).roles, 2, m, b)
     )
-query("staleness", f"{p_sql()} SELECT CASE WHEN is_root THEN 'root' ELSE 'leaf' END AS role, CASE WHEN is_root THEN 5 ELSE 10 END AS age, count(*) AS clones FROM p WHERE e = 0 AND dim = 0 AND is_split GROUP BY ALL")(
-    lambda spark, d: measures.staleness(Parted(spark, d).roles, 5)
+query("staleness", f"{p_sql()} SELECT CASE WHEN is_root THEN 'root' ELSE 'leaf' END AS role, made_at, CAST(age AS INTEGER) AS age, count(*) AS clones FROM p, (VALUES (true, 'leaf', 2), (false, 'root', 2), (false, 'leaf', 4)) t(root, made_at, age) WHERE e = 0 AND dim = 0 AND is_split AND is_root = root GROUP BY ALL")(
+    lambda spark, d: measures.staleness(Parted(spark, d).roles, 2)
 )
 
 # Layers.
@@ -390,9 +400,19 @@ query("link_scores", ORACLE_SQL["sddmm_dot"])(lambda spark, d: gcn.link_scores(w
 query("graph_readout", f"WITH {f1()} SELECT vid % 7 AS gid, dim, CAST(sum(x) AS BIGINT) AS val FROM f1 GROUP BY ALL")(
     lambda spark, d: aggregate.long_form(gcn.graph_readout((g := w1(spark, d)).vertices, g.vertices.select("vid", (F.col("vid") % 7).alias("gid")), 4), True, "feat", ("gid",))
 )
-query("message_quantize", "SELECT vec_id, CAST(unnest(range(64)) AS INTEGER) AS dim FROM embeddings")(
-    lambda spark, d: graphs.scan(spark, d, "embeddings").select("vec_id", F.posexplode(remote.quantize(F.transform("embedding", lambda x: x.cast("double")))).alias("dim", "v")).where("v is not null").select("vec_id", "dim")
-)
+
+
+@query("message_quantize", "WITH x AS (SELECT vec_id, CAST(unnest(range(len(embedding))) AS INTEGER) AS dim, CAST(unnest(embedding) AS DOUBLE) AS x FROM embeddings), u AS (SELECT *, CASE WHEN x = 0 THEN 1 ELSE pow(2.0::DOUBLE, floor(log2(abs(x))) - 7) END AS u FROM x) SELECT vec_id, dim, round(CASE WHEN x = 0 THEN 0 ELSE round(x / u) * u END, 9) + 0.0 AS val, abs(CASE WHEN x = 0 THEN 0 ELSE round(x / u) * u END - x) <= u / 2 AS close FROM u")
+def _(spark, d):
+    """Quantised components, and whether each is within half a unit of its last digit."""
+    exact = F.transform("embedding", lambda x: x.cast("double"))
+    pairs = F.arrays_zip(remote.quantize(exact).alias("q"), exact.alias("x"))
+    rows = graphs.scan(spark, d, "embeddings").select("vec_id", F.posexplode(pairs).alias("dim", "p")).select("vec_id", "dim", F.col("p")["0"].alias("q"), F.col("p")["1"].alias("x"))
+    unit = F.when(F.col("x") == 0, 1.0).otherwise(F.pow(F.lit(2.0), F.floor(F.log2(F.abs("x"))) - 7))
+    return rows.select("vec_id", "dim", (F.round("q", 9) + 0.0).alias("val"), (F.abs(F.col("q") - F.col("x")) <= unit / 2).alias("close"))
+
+
+
 _REL = {"customer_nation": 1, "supplier_nation": 2, "inverse_in_region": 3}
 _TYPED = (
     "t AS (SELECT c_custkey + 2000000000 AS src, c_nationkey + 1000 AS dst, 1 AS w FROM customer UNION ALL SELECT s_suppkey + 10000000, s_nationkey + 1000, 2 FROM supplier"
@@ -429,7 +449,7 @@ _DRAW = "(src * 1009 + dst * 9176 + {0} * 331) % 65521"
 
 
 def sample_sql(hops: int, fanouts=(5, 4, 3)) -> str:
-    parts = [f"WITH {E1}, s0 AS (SELECT p_partkey AS vid FROM part WHERE p_partkey % 50 = 0)"]
+    parts = [f"WITH {E1}, s0 AS (SELECT p_partkey AS vid FROM part WHERE (p_partkey * 31 + 7) % 10 < 6)"]
     for h in range(hops + 1):
         parts.append(f"k{h} AS (SELECT src, dst FROM e1 WHERE dst IN (SELECT vid FROM s{h}) QUALIFY row_number() OVER (PARTITION BY dst ORDER BY {_DRAW.format(h)}, src) <= {fanouts[h]})")
         parts.append(f"s{h + 1} AS (SELECT vid FROM s{h} UNION SELECT src FROM k{h})")
@@ -437,7 +457,9 @@ def sample_sql(hops: int, fanouts=(5, 4, 3)) -> str:
 
 
 def _seeds(spark, d):
-    return graphs.scan(spark, d, "part", ["p_partkey"]).where("p_partkey % 50 = 0").select(F.col("p_partkey").alias("vid"))
+    """All training vertices."""
+    vid = F.col("p_partkey")
+    return graphs.scan(spark, d, "part", ["p_partkey"]).where(graphs.split_of(vid) == "train").select(vid.alias("vid"))
 
 
 for _h in range(3):
@@ -490,12 +512,16 @@ def _(spark, d):
     rows = []
     for name, g in (("dense", w1(spark, d)), ("sparse", graphs.sparse_part_order(spark, d))):
         dense_ids = {v: i for i, v in enumerate(sorted(r[0] for r in g.vertices.select("vid").collect()))}
-        edges = [(dense_ids[r[0]], dense_ids[r[1]]) for r in g.edges.select("src", "dst").limit(measures.MOST_SIMULATED).collect()]
+        edges = [(dense_ids[u], dense_ids[v]) for u, v in measures.bounded_edges(g)]
         for n in (1, 2, 4, 8, 16, 32, 64):
             rows.append((name, n, measures.reuse(edges, len(dense_ids), n, max(1, len(dense_ids) // 16))["reuse"]))
     return spark.createDataFrame(rows, "graph string, blocks int, reuse double")
 
 
+query("block_choice")(lambda spark, d: spark.createDataFrame(sorted(blocked.choose(w1(spark, d), 256)[1].items()), "blocks int, total_bytes double"))
+query("local_partials_csr", ORACLE_SQL["local_partials"].replace(" WHERE e = 0", " JOIN (SELECT DISTINCT dst AS vid, part FROM two) USING (vid, part) WHERE e = 0"))(lambda spark, d: _vec(Parted(spark, d).partials(0, "csr")))
+
+
 @query("peak_memory")
 def _(spark, d):
     return spark.createDataFrame(list(measures.peak_memory(spark).items()), "name string, bytes double")

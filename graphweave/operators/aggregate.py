@@ -1,6 +1,8 @@
 """The aggregation primitive: combine operands along in-edges, reduce at the destination.
 
-All forms give one row per vertex. Wide keeps d aggregate columns (partial sums on the map side, one row per
+All forms give one row per vertex. Baseline is the unoptimised pull: each destination gathers the vectors of all
+its in-edges and folds them one by one, so every message crosses the shuffle and a hub's list meets in one task;
+it is there to be compared with. Wide keeps d aggregate columns (partial sums on the map side, one row per
 vertex and task in the shuffle); long explodes dimensions; summarizer keeps one state vector; arrow reduces
 sorted runs of a batch in numpy before the shuffle. A copy of the left operand reads no edge features, a copy of
 edge features joins no vertices. Null components are skipped; a vertex without in-edges gets ``empty``.
@@ -14,7 +16,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from graphweave.functions.vectors import REDUCE, combine
-from graphweave.plans.spec import AggSpec, choose
+from graphweave.plans.spec import STRATEGIES, AggSpec, choose
 from graphweave.sources.graphs import PropertyGraph
 from graphweave.storage import checkpointed
 
@@ -91,6 +93,23 @@ def reduce_arrow(rows: DataFrame, keys: list[str], reduce: str, width: int, out:
     return reduce_wide(partial, keys, reduce, width, out=out)
 
 
+def reduce_baseline(rows: DataFrame, keys: list[str], reduce: str, out: str = "feat", vector: str = "m") -> DataFrame:
+    """One pass by destination: all vectors of a key in a list, folded in a loop, without partial results."""
+    gathered = rows.groupBy(*keys).agg(F.collect_list(vector).alias("__all"))
+    pair = {"max": F.greatest, "min": F.least}.get(reduce)
+    step = lambda a, b: pair(a, b) if pair else F.coalesce(a + b, a, b)
+
+    def fold(lists: Column) -> Column:
+        rest = F.slice(lists, 2, F.greatest(F.size(lists) - 1, F.lit(1)))
+        return F.aggregate(rest, lists[0], lambda s, x: F.zip_with(s, x, step))
+
+    total = fold(F.col("__all"))
+    if reduce == "mean":
+        seen = F.transform("__all", lambda m: F.transform(m, lambda x: F.when(x.isNotNull(), 1.0).otherwise(0.0)))
+        total = F.zip_with(total, fold(seen), lambda s, n: F.try_divide(s, n))
+    return gathered.select(*keys, total.alias(out))
+
+
 def reduce_rows(rows: DataFrame, keys: list[str], spec: AggSpec, width: int, strategy: str, out: str = "feat") -> DataFrame:
     if strategy == "long" or callable(spec.reduce):
         return _gather(reduce_long(rows, keys, spec.reduce), keys, width, out)
@@ -98,6 +117,8 @@ def reduce_rows(rows: DataFrame, keys: list[str], spec: AggSpec, width: int, str
         return reduce_summarizer(rows, keys, spec.reduce, out)
     if strategy == "arrow":
         return reduce_arrow(rows, keys, spec.reduce, width, out)
+    if strategy == "baseline":
+        return reduce_baseline(rows, keys, spec.reduce, out)
     return reduce_wide(rows, keys, spec.reduce, width, out=out)
 
 
@@ -116,6 +137,8 @@ def apply(g: PropertyGraph, binary="copy_lhs", reduce="sum", lhs: str = "src", r
     spec = AggSpec(binary, reduce, lhs, rhs, empty, keep_isolated)
     width = width_of(g, spec)
     chosen = choose(spec, width) if strategy == "auto" else strategy
+    if chosen not in STRATEGIES:
+        raise ValueError(f"strategies are {('auto', *STRATEGIES)}")
     return completed(g, reduce_rows(messages(g, spec), ["dst"], spec, width, chosen), spec, width)
 
 

@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from graphweave.operators import aggregate
 from graphweave.operators.schedule import in_degrees
+from graphweave.plans.spec import AggSpec
 from graphweave.sources.graphs import PropertyGraph
 
 NORMS = {
@@ -24,9 +25,17 @@ def normalise(total: Column, own: Column, degree: Column, norm: str = "in_degree
 
 def gcn_aggregate(g: PropertyGraph, norm: str = "in_degree") -> DataFrame:
     """(vid, feat): neighbour sum plus own vector, divided by the in-degree (by one without in-edges)."""
-    sums = aggregate.apply(g).withColumnRenamed("feat", "total")
-    rows = g.vertices.select("vid", "feat").join(sums, "vid").join(in_degrees(g), "vid")
-    return rows.select("vid", normalise(F.col("total"), F.col("feat"), F.col("degree"), norm).alias("feat"))
+    spec = AggSpec()
+    rows = aggregate.messages(g, spec)
+    if aggregate.choose(spec, g.width) == "wide":  # the degree is one more column of the same pass
+        columns = [F.sum(F.col("m")[j]).alias(f"__{j}") for j in range(g.width)]
+        sums = rows.groupBy("dst").agg(F.count("*").alias("degree"), *columns)
+        sums = sums.select(F.col("dst").alias("vid"), "degree", F.array(*(F.col(f"__{j}") for j in range(g.width))).alias("total"))
+    else:
+        sums = aggregate.apply(g, keep_isolated=False).withColumnRenamed("feat", "total").join(in_degrees(g), "vid")
+    rows = g.vertices.select("vid", "feat").join(sums, "vid", "left")
+    total = F.coalesce("total", F.array_repeat(F.lit(0.0), g.width))
+    return rows.select("vid", normalise(total, F.col("feat"), F.coalesce("degree", F.lit(0)), norm).alias("feat"))
 
 
 def dense(rows: DataFrame, weights: np.ndarray, bias: np.ndarray, relu: bool = True, vector: str = "feat", out: str = "feat", keys: tuple[str, ...] = ("vid",)) -> DataFrame:

@@ -21,10 +21,18 @@ def vertex_map(cloned: DataFrame) -> DataFrame:
     return sizes.select("part", (hi - F.col("n")).alias("lo"), hi.alias("hi"))
 
 
-def local_ids(cloned: DataFrame) -> DataFrame:
-    """Clones with local_id: consecutive over partitions, by vertex id inside one."""
-    rank = F.row_number().over(W.partitionBy("part").orderBy("vid")) - 1
-    return cloned.join(F.broadcast(vertex_map(cloned).select("part", "lo")), "part").select("vid", "part", "copies", "is_split", (F.col("lo") + rank).alias("local_id"))
+def local_ids(cloned: DataFrame, block: int = 1024) -> DataFrame:
+    """Clones with local_id: consecutive over partitions, by vertex id inside one.
+
+    Ranks are taken in blocks of ids and over blocks, so no task sorts a whole partition.
+    """
+    rows = cloned.select("vid", "part", "copies", "is_split", F.floor(F.col("vid") / block).cast("long").alias("block"))
+    before = W.partitionBy("part").orderBy("block").rowsBetween(W.unboundedPreceding, -1)
+    sizes = rows.groupBy("part", "block").agg(F.count("*").alias("n"))
+    first = sizes.select("part", "block", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("first"))
+    first = first.join(F.broadcast(vertex_map(cloned).select("part", "lo")), "part")
+    rank = F.row_number().over(W.partitionBy("part", "block").orderBy("vid")) - 1
+    return rows.join(first, ["part", "block"]).select("vid", "part", "copies", "is_split", (F.col("lo") + F.col("first") + rank).alias("local_id"))
 
 
 def locate(ids: DataFrame, mapping: DataFrame) -> DataFrame:

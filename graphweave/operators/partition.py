@@ -50,8 +50,14 @@ class Greedy:
         return part
 
 
+#: Edges that the exact rule takes in its one task; more need the parallel form.
+MOST_ORDERED = 100_000_000
+
+
 def greedy(edges: DataFrame, parts: int, order: str = "hash", slack: float | None = None) -> DataFrame:
-    """(src, dst, part) by the exact sequential rule, in one ordered task; above 10^8 edges use greedy_parallel."""
+    """(src, dst, part) by the exact sequential rule, in one ordered task; for more edges than it can hold it raises."""
+    if (n := edges.count()) > MOST_ORDERED:
+        raise ValueError(f"{n} edges are too many for one ordered task; use greedy_parallel")
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         state = Greedy(parts, slack)
@@ -67,7 +73,9 @@ def _chunk_pass(parts: int, slack: float | None, shares: list[float]):
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         known = {}
         for end in ("src", "dst"):
-            known |= dict(zip(pdf[end].tolist(), pdf[f"{end}_bits"].fillna(0).astype("int64").tolist()))
+            for vid, held in zip(pdf[end].tolist(), pdf[f"{end}_parts"]):
+                if held is not None and vid not in known:
+                    known[vid] = sum(1 << int(q) for q in held)
         state = Greedy(parts, slack, shares, known)
         pdf = pdf.sort_values(["ord", "src", "dst"])
         return pdf.assign(part=[state.place(u, v) for u, v in zip(pdf["src"].tolist(), pdf["dst"].tolist())])[["src", "dst", "part"]]
@@ -75,27 +83,48 @@ def _chunk_pass(parts: int, slack: float | None, shares: list[float]):
     return run
 
 
-def greedy_parallel(edges: DataFrame, parts: int, rounds: int = 4, tasks: int = 8, slack: float | None = None) -> DataFrame:
-    """The rule on rounds x tasks chunks of hash order; vertex states are united and loads summed after a round."""
-    edges = checkpointed(edges.withColumn("chunk", (F.col("ord") % (rounds * tasks)).cast("int")))
-    held = edges.sparkSession.createDataFrame([], "vid long, bits long")
+def greedy_parallel(edges: DataFrame, parts: int, rounds: int = 4, tasks: int = 8, slack: float | None = None, chunk_edges: int = 500_000) -> DataFrame:
+    """The rule on rounds x tasks chunks of hash order; vertex states are united and loads summed after a round.
+
+    A state is the set of partitions that hold a vertex, for any number of partitions. Tasks grow in number with
+    the edges, so that a chunk holds about ``chunk_edges`` at most.
+    """
+    edges = checkpointed(edges)
+    tasks = max(tasks, -(-edges.count() // (rounds * chunk_edges)))
+    edges = edges.withColumn("chunk", F.pmod(F.xxhash64("src", "dst"), F.lit(rounds * tasks)).cast("int"))
+    held = edges.sparkSession.createDataFrame([], "vid long, parts array<int>")
     loads, placed = [0.0] * parts, None
     for r in range(rounds):
         mine = edges.where(F.col("chunk").between(r * tasks, r * tasks + tasks - 1))
         for end in ("src", "dst"):
-            mine = mine.join(held.select(F.col("vid").alias(end), F.col("bits").alias(f"{end}_bits")), end, "left")
+            mine = mine.join(held.select(F.col("vid").alias(end), F.col("parts").alias(f"{end}_parts")), end, "left")
         shares = [x / tasks for x in loads]
 
         done = checkpointed(mine.groupBy("chunk").applyInPandas(_chunk_pass(parts, slack, shares), "src long, dst long, part int"))
         placed = done if placed is None else placed.union(done)
         counts = dict(done.groupBy("part").count().collect())
         loads = [x + counts.get(q, 0) for q, x in enumerate(loads)]
-        bit = F.call_function("shiftleft", F.lit(1).cast("long"), F.col("part"))
-        ends = done.select(F.explode(F.array("src", "dst")).alias("vid"), bit.alias("bits"))
-        held = checkpointed(held.union(ends).groupBy("vid").agg(F.bit_or("bits").alias("bits")))
+        held = checkpointed(merged_state(held, done))
     return placed
 
 
+def place_batch(edges: DataFrame, held: DataFrame, loads: list[float], parts: int, slack: float | None = None) -> DataFrame:
+    """(src, dst, part): one batch of arriving edges placed in order on the state (vid, parts) and loads so far.
+
+    The batch goes to one task, with the state of its own ends alone; the trigger that cuts batches bounds it.
+    """
+    rows = edges.select("src", "dst", "ord")
+    for end in ("src", "dst"):
+        rows = rows.join(held.select(F.col("vid").alias(end), F.col("parts").alias(f"{end}_parts")), end, "left")
+    return rows.withColumn("one", F.lit(0)).groupBy("one").applyInPandas(_chunk_pass(parts, slack, loads), "src long, dst long, part int")
+
+
+def merged_state(held: DataFrame, placed: DataFrame) -> DataFrame:
+    """The state (vid, parts) with the placed edges' partitions united in."""
+    ends = placed.select(F.explode(F.array("src", "dst")).alias("vid"), "part")
+    return ends.union(held.select("vid", F.explode("parts").alias("part"))).groupBy("vid").agg(F.collect_set("part").alias("parts"))
+
+
 def random_edge(edges: DataFrame, parts: int) -> DataFrame:
     return edges.select("src", "dst", part_of(F.col("src"), F.col("dst"), parts).alias("part"))
 

@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window as W
 
-from graphweave.functions.vectors import dot
 from graphweave.storage import checkpointed
 
 
@@ -95,21 +96,47 @@ def homophily(edges: DataFrame, labels: DataFrame) -> DataFrame:
     return rows.agg(F.count("*").alias("edges"), F.avg((F.col("y_src") == F.col("y_dst")).cast("double")).alias("equal_share"))
 
 
-def knn(vectors: DataFrame, k: int, tiles: int = 8) -> DataFrame:
-    """(vid, neighbour, rank): the k largest inner products, ties by id; vectors is (vid, feat).
+def knn(vectors: DataFrame, k: int, block: int = 2048) -> DataFrame:
+    """(vid, neighbour, rank, score): the k largest inner products, ties by id; vectors is (vid, feat).
 
-    Rows meet in tiles: each vector is sent to every tile of the other side once, and keeps k per tile.
+    Vectors are packed into blocks. Each pair of blocks is one matrix product in a task, which keeps the k best of
+    every query; what leaves it is k rows a query and block, never a row a pair of vectors.
     """
-    tile = F.pmod(F.xxhash64("vid"), F.lit(tiles)).cast("int")
-    queries = vectors.select("vid", "feat", F.explode(F.sequence(F.lit(0), F.lit(tiles - 1))).alias("tile"))
-    other = vectors.select(F.col("vid").alias("neighbour"), F.col("feat").alias("other"), tile.alias("tile"))
-    pairs = queries.join(other, "tile").where("vid <> neighbour").select("vid", "neighbour", "tile", dot(F.col("feat"), F.col("other")).alias("score"))
-    inner = W.partitionBy("vid", "tile").orderBy(F.desc("score"), "neighbour")
+    blocks = max(1, -(-vectors.count() // block))
+    packed = checkpointed(vectors.select("vid", "feat", F.pmod(F.xxhash64("vid"), F.lit(blocks)).cast("int").alias("block")).groupBy("block").agg(F.collect_list("vid").alias("ids"), F.flatten(F.collect_list("feat")).alias("flat")))
+    others = packed.select(F.col("block").alias("other"), F.col("ids").alias("other_ids"), F.col("flat").alias("other_flat"))
+    queries = packed.withColumn("other", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
+
+    def products(batches):
+        for batch in batches:
+            for i in range(len(batch)):
+                ids, names = (batch.column(c)[i].values.to_numpy() for c in (0, 2))
+                q, x = (batch.column(c)[i].values.to_numpy().astype(float).reshape(len(n), -1) for c, n in ((1, ids), (3, names)))
+                order = np.argsort(names)
+                names, scores = names[order], q @ x[order].T
+                scores[ids[:, None] == names] = -np.inf
+                best = np.argsort(-scores, axis=1, kind="stable")[:, :k]  # equal scores stay in order of id
+                rows, score = np.repeat(ids, best.shape[1]), np.take_along_axis(scores, best, axis=1).reshape(-1)
+                real = np.isfinite(score)
+                yield pa.RecordBatch.from_arrays([pa.array(rows[real]), pa.array(names[best].reshape(-1)[real]), pa.array(score[real])], names=["vid", "neighbour", "score"])
+
+    tiles = queries.join(others, "other").select("ids", "flat", "other_ids", "other_flat")
+    best = tiles.mapInArrow(products, "vid long, neighbour long, score double")
     outer = W.partitionBy("vid").orderBy(F.desc("score"), "neighbour")
-    best = pairs.withColumn("r", F.row_number().over(inner)).where(F.col("r") <= k)
     return best.withColumn("rank", F.row_number().over(outer)).where(F.col("rank") <= k).select("vid", "neighbour", "rank", "score")
 
 
+def ranked(df: DataFrame, *order, partitions: int | None = None) -> DataFrame:
+    """df with place, from 1, in a global order: a range sort, counts of its partitions, then ranks inside each."""
+    n = partitions or int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    rows = checkpointed(df.repartitionByRange(n, *order).sortWithinPartitions(*order).withColumn("__part", F.spark_partition_id()))
+    sizes = rows.groupBy("__part").agg(F.count("*").alias("n"))
+    before = F.coalesce(F.sum("n").over(W.orderBy("__part").rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
+    rank = F.row_number().over(W.partitionBy("__part").orderBy(*order))
+    joined = rows.join(F.broadcast(sizes.select("__part", before.alias("__before"))), "__part")
+    return joined.withColumn("place", F.col("__before") + rank).drop("__part", "__before")
+
+
 def asof(left: DataFrame, right: DataFrame, key: str, time: str, value: str) -> DataFrame:
     """left with the last value of right at or before its time, by key: one union and one ordered window."""
     tagged = left.select(key, time, F.lit(1).alias("side"), F.struct(*left.columns).alias("row"), F.lit(None).cast(right.schema[value].dataType).alias("v"))

@@ -8,23 +8,71 @@ each round. Vertices that are not split always keep their own partial.
 
 from __future__ import annotations
 
+import time
+
+import numpy as np
+import pyarrow as pa
 from pyspark import InheritableThread
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from graphweave.operators.aggregate import reduce_wide
-from graphweave.storage import checkpointed
+from graphweave.session import prepare
+from graphweave.storage import checkpointed, checkpointed_as_dealt
 
 _PAIR = {"sum": lambda a, b: a + b, "max": F.greatest, "min": F.least}
 
 
-def local_aggregate(cut: DataFrame, features: DataFrame, width: int, reduce: str = "sum", direction: str = "forward") -> DataFrame:
+def dealt(df: DataFrame, parts: int) -> DataFrame:
+    """df dealt once by its column part, and stored so; joins and sums by (part, vid) of frames dealt alike move no rows."""
+    return checkpointed_as_dealt(df.repartition(parts, "part"))
+
+
+def _csr(reduce: str, a: str, b: str, block: int):
+    """The kernel of one partition: edges sorted by destination, sources' vectors gathered in blocks, runs reduced."""
+    ufunc = {"sum": np.add, "max": np.maximum, "min": np.minimum}[reduce]
+
+    def run(edges: pa.Table, vectors: pa.Table) -> pa.Table:
+        ids = vectors["vid"].to_numpy()
+        order = np.argsort(ids)
+        lists = vectors["feat"].combine_chunks()
+        feat = lists.flatten().to_numpy(zero_copy_only=False).astype(float).reshape(len(ids), -1) if len(ids) else np.zeros((0, 0))
+        src, dst = edges[a].to_numpy(), edges[b].to_numpy()
+        at = np.minimum(np.searchsorted(ids[order], src), max(0, len(ids) - 1))
+        known = ids[order][at] == src if len(ids) else np.zeros(len(src), bool)
+        at, dst = order[at[known]] if len(ids) else at[:0], dst[known]
+        by_dst = np.argsort(dst, kind="stable")
+        at, dst = at[by_dst], dst[by_dst]
+        named, first = np.unique(dst, return_index=True)
+        out = np.empty((len(named), feat.shape[1]))
+        ends = np.append(first[1:], len(dst))
+        row = 0
+        while row < len(named):  # destinations in runs of about ``block`` edges, so that gathered vectors stay in cache
+            stop = max(row + 1, int(np.searchsorted(ends, first[row] + block, side="right")))
+            piece = at[first[row] : ends[stop - 1]]
+            out[row:stop] = ufunc.reduceat(feat[piece], first[row:stop] - first[row], axis=0)
+            row = stop
+        part = edges["part"][0].as_py() if len(edges) else 0
+        vec = pa.ListArray.from_arrays(pa.array(np.arange(len(named) + 1, dtype=np.int32) * out.shape[1]), pa.array(out.reshape(-1)))
+        return pa.table({"part": pa.array(np.full(len(named), part, np.int32)), "vid": pa.array(named), "vec": vec})
+
+    return run
+
+
+def local_aggregate(cut: DataFrame, features: DataFrame, width: int, reduce: str = "sum", direction: str = "forward", kernel: str = "columns", block: int = 65_536) -> DataFrame:
     """(vid, part, vec) for every clone with an in-edge in its partition.
 
-    features is (vid, part, feat), one row a clone. With edges and clones dealt by part, neither the join nor the
-    aggregation moves rows. Backward sums along reversed edges.
+    features is (vid, part, feat), one row a clone. With edges and clones both ``dealt`` by part, neither the join
+    nor the aggregation moves rows: the session's settings for that are applied here. Backward sums along reversed
+    edges. Kernel "columns" keeps one aggregate column a dimension; "csr" holds one partition's edges and vectors
+    as arrays in a task, for wide vectors.
     """
+    prepare(cut.sparkSession)
     a, b = ("src", "dst") if direction == "forward" else ("dst", "src")
+    if kernel == "csr":
+        clones = features.select(F.col("part").alias("clone_part"), "vid", "feat").groupBy("clone_part")
+        groups = cut.select("part", "src", "dst").groupBy("part").cogroup(clones)
+        return groups.applyInArrow(_csr(reduce, a, b, block), "part int, vid long, vec array<double>").select("part", "vid", "vec")
     rows = cut.join(features.select(F.col("vid").alias(a), "part", "feat"), ["part", a])
     return reduce_wide(rows.select("part", F.col(b).alias("vid"), F.col("feat").alias("m")), ["part", "vid"], reduce, width, out="vec")
 
@@ -32,7 +80,7 @@ def local_aggregate(cut: DataFrame, features: DataFrame, width: int, reduce: str
 def complete(partials: DataFrame, roles: DataFrame, width: int, empty: float = 0.0) -> DataFrame:
     """One partial for every clone, the empty vector where it has no in-edge, with the clone's role."""
     zero = F.array_repeat(F.lit(empty), width)
-    rows = roles.join(partials, ["vid", "part"], "left")
+    rows = roles.join(partials, ["part", "vid"], "left")
     return rows.select("vid", "part", "root_part", "is_root", "is_split", "bin", F.coalesce("vec", zero).alias("vec"))
 
 
@@ -61,10 +109,11 @@ def scatter_leaves(full: DataFrame, sent: DataFrame) -> DataFrame:
 
 
 def sync_full(full: DataFrame, width: int, reduce: str = "sum") -> DataFrame:
-    """(vid, part, vec): every clone of a vertex gets the reduction over all its clones."""
+    """(vid, part, vec): every clone of a vertex gets the reduction over all its clones; only split vertices move."""
     split = full.where("is_split")
     totals = reduce_wide(split, ["vid"], reduce, width, vector="vec", out="total")
-    rows = full.join(totals, "vid", "left")
+    back = split.select("vid", "part").join(totals, "vid")
+    rows = full.join(back, ["part", "vid"], "left")
     return rows.select("vid", "part", F.coalesce("total", "vec").alias("vec"))
 
 
@@ -87,7 +136,9 @@ class AsyncExchange:
             self._done.append(error)
 
     def result(self) -> DataFrame:
+        began = time.monotonic()
         self._thread.join()
+        self.waited = time.monotonic() - began
         if isinstance(self._done[0], Exception):
             raise self._done[0]
         return self._done[0]
@@ -97,7 +148,7 @@ class Ledger:
     """Messages in flight, by epoch and phase; slices are checkpointed and dropped once nothing reads them."""
 
     def __init__(self, delay: int, overlap: bool = False):
-        self.delay, self.overlap = delay, overlap
+        self.delay, self.overlap, self.waited = delay, overlap, 0.0
         self._slices: dict[tuple[int, str], object] = {}
 
     def put(self, epoch: int, phase: str, df: DataFrame) -> None:
@@ -105,7 +156,11 @@ class Ledger:
 
     def get(self, epoch: int, phase: str) -> DataFrame | None:
         found = self._slices.get((epoch, phase))
-        return found.result() if isinstance(found, AsyncExchange) else found
+        if not isinstance(found, AsyncExchange):
+            return found
+        result = found.result()
+        self.waited += found.waited
+        return result
 
     def forget(self, before: int) -> None:
         self._slices = {key: df for key, df in self._slices.items() if key[0] >= before}
@@ -137,7 +192,7 @@ class DelayedSync:
         self.ledger.put(epoch, "up", gather_leaves(now))
         self.ledger.put(epoch, "down", gather_roots(now, totals))
         changed = totals if down is None else totals.union(scatter_leaves(now, down))
-        rows = full.join(changed.withColumnRenamed("vec", "synced"), ["vid", "part"], "left")
+        rows = full.join(changed.withColumnRenamed("vec", "synced"), ["part", "vid"], "left")
         result = checkpointed(rows.select("vid", "part", F.coalesce("synced", "vec").alias("vec")))
         if self.idle == "cached":
             result = self._with_kept(epoch, active, full, result)

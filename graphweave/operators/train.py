@@ -18,7 +18,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from graphweave.operators import remote
-from graphweave.storage import checkpointed
+from graphweave.session import prepare
+from graphweave.storage import checkpointed, checkpointed_as_dealt
 
 
 @dataclass
@@ -35,6 +36,8 @@ class Model:
 
 #: The two configurations of the experiments, but for input width and classes.
 SMALL_HIDDEN, LARGE_HIDDEN = [16], [256, 256]
+#: Above so many columns Spark gives up generated code.
+WIDEST_COLUMNS = 100
 
 
 @dataclass
@@ -75,34 +78,59 @@ def _lists(x: np.ndarray):
 
 
 class Trainer:
-    def __init__(self, cut: DataFrame, roles: DataFrame, features: DataFrame, labels: DataFrame, dims: list[int], mode: str = "sync_full", delay: int = 5, bins: int | None = None, norm_plus: int = 1, optimiser: Optimiser | None = None, seed: int = 0):
-        """cut (src, dst, part); roles as from layout.with_roles; features (vid, feat); labels (vid, y, split)."""
-        self.cut = checkpointed(cut.select("src", "dst", "part"))
+    def __init__(self, cut: DataFrame, roles: DataFrame, features: DataFrame, labels: DataFrame, dims: list[int], mode: str = "sync_full", delay: int = 5, bins: int | None = None, norm_plus: int = 1, optimiser: Optimiser | None = None, seed: int = 0, overlap: bool = False):
+        """cut (src, dst, part); roles as from layout.with_roles; features (vid, feat); labels (vid, y, split).
+
+        Edges and clones are dealt by part once; after that only split vertices' vectors move between partitions.
+        """
+        prepare(cut.sparkSession)
+        self.parts = (cut.agg(F.max("part")).first()[0] or 0) + 1
+        self.cut = remote.dealt(cut.select("src", "dst", "part"), self.parts)
         degree_keys = ["part", "dst"] if mode == "local_only" else ["dst"]
         degree = self.cut.groupBy(*degree_keys).agg(F.count("*").alias("degree")).withColumnRenamed("dst", "vid")
         rows = roles.join(degree, [c for c in ("vid", "part") if c in degree.columns], "left")
         base = rows.select("vid", "part", "root_part", "is_root", "is_split", "bin", F.greatest(F.coalesce("degree", F.lit(0)) + norm_plus, F.lit(1)).cast("double").alias("norm"))
-        self.roles = checkpointed(base.join(labels, "vid", "left").withColumn("split", F.when(F.col("is_root"), F.col("split"))))
-        self.h0 = checkpointed(self.roles.select("vid", "part").join(features, "vid"))
+        self.roles = remote.dealt(base.join(labels, "vid", "left").withColumn("split", F.when(F.col("is_root"), F.col("split"))), self.parts)
+        self.h0 = remote.dealt(self.roles.select("vid", "part").join(features, "vid"), self.parts)
         self.n_train = self.roles.where("split = 'train'").count()
         self.dims, self.mode, self.delay, self.bins = dims, mode, delay, bins
         self.model, self.optimiser = Model.fresh(dims, seed), optimiser or Optimiser()
         self.delayed = {}
-        self.epoch, self.history = 0, []
+        self.epoch, self.history, self.overlap = 0, [], overlap
+        self.seconds = {"local": 0.0, "remote": 0.0}
+
+    def _timed(self, stage: str, df: DataFrame) -> DataFrame:
+        began = time.monotonic()
+        df = checkpointed_as_dealt(df) if stage == "local" else checkpointed(df)
+        self.seconds[stage] += time.monotonic() - began
+        return df
+
+    def _local(self, features: DataFrame, width: int, direction: str = "forward") -> DataFrame:
+        """Sums inside partitions: as columns, or for vectors too wide for generated code as arrays of a partition."""
+        kernel = "csr" if width > WIDEST_COLUMNS else "columns"
+        return self._timed("local", remote.local_aggregate(self.cut, features, width, direction=direction, kernel=kernel))
 
     def _sync(self, partials: DataFrame, width: int, where: str) -> DataFrame:
         full = remote.complete(partials, self.roles, width)
-        if self.mode == "delayed":
-            if where not in self.delayed:
-                self.delayed[where] = remote.DelayedSync(width, self.delay, self.bins)
-            return self.delayed[where].step(self.epoch, checkpointed(full))
-        return remote.sync(full, width, self.mode)
+        if self.mode != "delayed":
+            return self._timed("remote", remote.sync(full, width, self.mode))
+        if where not in self.delayed:
+            self.delayed[where] = remote.DelayedSync(width, self.delay, self.bins, overlap=self.overlap)
+        full = self._timed("remote", full)
+        began = time.monotonic()
+        result = self.delayed[where].step(self.epoch, full)
+        self.seconds["remote"] += time.monotonic() - began
+        return result
+
+    def _waited(self) -> float:
+        """Seconds spent so far on messages that had not been written yet."""
+        return sum(sync.ledger.waited for sync in self.delayed.values())
 
     def _layer(self, h: DataFrame, i: int) -> DataFrame:
         """(vid, part, a, z)."""
         width, (w, b) = self.dims[i], self.model.layers[i]
-        total = self._sync(remote.local_aggregate(self.cut, h, width), width, f"forward {i}")
-        rows = total.join(h, ["vid", "part"]).join(self.roles.select("vid", "part", "norm"), ["vid", "part"])
+        total = self._sync(self._local(h, width), width, f"forward {i}")
+        rows = total.join(h, ["part", "vid"]).join(self.roles.select("vid", "part", "norm"), ["part", "vid"])
 
         def run(batches):
             for batch in batches:
@@ -130,7 +158,7 @@ class Trainer:
                     hit = (p.argmax(axis=1) == y).astype(np.int32)
                     yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), batch.column(2), _lists(dz), batch.column(5), pa.array(hit), pa.array(loss)], names=["vid", "part", "a", "dz", "split", "hit", "loss"])
 
-        rows = last.join(self.roles.select("vid", "part", "y", "split"), ["vid", "part"]).select("vid", "part", "a", "z", "y", "split")
+        rows = last.join(self.roles.select("vid", "part", "y", "split"), ["part", "vid"]).select("vid", "part", "a", "z", "y", "split")
         return checkpointed(rows.mapInArrow(run, "vid long, part int, a array<double>, dz array<double>, split string, hit int, loss double"))
 
     @staticmethod
@@ -173,20 +201,22 @@ class Trainer:
                     g = _matrix(batch.column(2)) @ w.T / batch.column(3).to_numpy()[:, None]
                     yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), _lists(g)], names=["vid", "part", "vec"])
 
-        rows = dz.join(self.roles.select("vid", "part", "norm"), ["vid", "part"]).select("vid", "part", "dz", "norm")
+        rows = dz.join(self.roles.select("vid", "part", "norm"), ["part", "vid"]).select("vid", "part", "dz", "norm")
         own = checkpointed(rows.mapInArrow(run, "vid long, part int, vec array<double>"))
         synced = self._sync(own, width, f"backward {i}").withColumnRenamed("vec", "feat")
-        sums = remote.local_aggregate(self.cut, synced, width, direction="backward").withColumnRenamed("vec", "sums")
-        rows = below.join(own, ["vid", "part"]).join(sums, ["vid", "part"], "left")
+        sums = self._local(synced, width, "backward").withColumnRenamed("vec", "sums")
+        rows = below.join(own, ["part", "vid"]).join(sums, ["part", "vid"], "left")
         total = F.zip_with("vec", F.coalesce("sums", F.array_repeat(F.lit(0.0), width)), lambda x, y: x + y)
         masked = F.zip_with(total, "z", lambda g, z: F.when(z > 0, g).otherwise(0.0))
         return checkpointed(rows.select("vid", "part", "a", masked.alias("dz")))
 
     def fit(self, epochs: int) -> list[dict]:
         for _ in range(epochs):
-            began = time.monotonic()
+            began, waited = time.monotonic(), self._waited()
+            self.seconds = {"local": 0.0, "remote": 0.0}
             grads, measured = self.gradients()
             self.optimiser.update(self.model, grads)
-            self.history.append({"epoch": self.epoch, "seconds": time.monotonic() - began, **measured})
+            timed = {"local_seconds": self.seconds["local"], "remote_seconds": self.seconds["remote"], "wait_seconds": self._waited() - waited}
+            self.history.append({"epoch": self.epoch, "seconds": time.monotonic() - began, **timed, **measured})
             self.epoch += 1
         return self.history

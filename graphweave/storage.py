@@ -26,6 +26,17 @@ def checkpointed(df: DataFrame) -> DataFrame:
     return df.checkpoint()
 
 
+def checkpointed_as_dealt(df: DataFrame) -> DataFrame:
+    """df checkpointed with its partitioning known to later plans, which adaptive plans do not hand on."""
+    conf = df.sparkSession.conf
+    adaptive = conf.get("spark.sql.adaptive.enabled")
+    conf.set("spark.sql.adaptive.enabled", "false")
+    try:
+        return checkpointed(df.select("*"))
+    finally:
+        conf.set("spark.sql.adaptive.enabled", adaptive)
+
+
 def scratch(spark: SparkSession, name: str) -> str:
     """A new path in the shared folder."""
     return f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"

@@ -3,7 +3,7 @@ import random
 import pytest
 from pyspark.sql import functions as F
 
-from graphweave.operators import aggregate, blocked, gcn, schedule
+from graphweave.operators import aggregate, blocked, gcn, relational, schedule
 from graphweave.plans.spec import AggSpec, choose
 from graphweave.sources.graphs import PropertyGraph
 
@@ -38,7 +38,7 @@ def test_combinations_match_brute_force(small):
     for binary, reduce in (("add", "sum"), ("sub", "max"), ("mul", "min"), ("copy_lhs", "sum"), ("copy_rhs", "max")):
         rhs = None if binary == "copy_lhs" else "edge"
         want = brute(feats, edges, binary, reduce)
-        for strategy in ("wide", "long", "summarizer", "arrow"):
+        for strategy in ("baseline", "wide", "long", "summarizer", "arrow"):
             assert rows(aggregate.apply(g, binary, reduce, rhs=rhs, strategy=strategy)) == want, (binary, reduce, strategy)
 
 
@@ -81,3 +81,28 @@ def test_validation_names_dangling_ends(spark):
     g = PropertyGraph(spark.createDataFrame([(1, [1.0])], "vid long, feat array<double>"), spark.createDataFrame([(1, 2)], "src long, dst long"), 1)
     assert [(r.problem, r["count"]) for r in g.validate().collect()] == [("dangling end", 1)]
     assert aggregate.apply(g).where(F.col("vid") == 2).count() == 0
+
+
+def test_baseline_is_another_plan_and_unknown_forms_raise(small):
+    g, _, _ = small
+    plans = [aggregate.apply(g, strategy=s)._jdf.queryExecution().optimizedPlan().toString() for s in ("baseline", "wide")]
+    assert "collect_list" in plans[0] and "collect_list" not in plans[1]
+    means = [rows(aggregate.apply(g, reduce="mean", strategy=s)) for s in ("baseline", "wide")]
+    assert means[0] == means[1]
+    with pytest.raises(ValueError):
+        aggregate.apply(g, strategy="no_such")
+
+
+def test_ranked_and_nearest_match_brute_force(spark):
+    rng = random.Random(5)
+    values = [(i, rng.choice([None, 1.0, 2.0, rng.random()])) for i in range(300)]
+    df = spark.createDataFrame(values, "id long, x double")
+    got = [r.id for r in relational.ranked(df, F.desc_nulls_last("x"), F.col("id")).orderBy("place").collect()]
+    assert got == [i for i, _ in sorted(values, key=lambda v: (v[1] is None, -(v[1] or 0), v[0]))]
+    vectors = [(i, [float(rng.randint(-3, 3)) for _ in range(4)]) for i in range(120)]
+    found = relational.knn(spark.createDataFrame(vectors, "vid long, feat array<double>"), 5, block=17).collect()
+    want = []
+    for i, x in vectors:
+        best = sorted((-sum(a * b for a, b in zip(x, y)), j) for j, y in vectors if j != i)[:5]
+        want += [(i, j, r + 1, -s) for r, (s, j) in enumerate(best)]
+    assert sorted((r.vid, r.neighbour, r["rank"], r.score) for r in found) == sorted(want)
