@@ -407,7 +407,7 @@ def _(spark, d):
     """Quantised components, and whether each is within half a unit of its last digit."""
     exact = F.transform("embedding", lambda x: x.cast("double"))
     pairs = F.arrays_zip(remote.quantize(exact).alias("q"), exact.alias("x"))
-    rows = graphs.scan(spark, d, "embeddings").select("vec_id", F.posexplode(pairs).alias("dim", "p")).select("vec_id", "dim", F.col("p")["0"].alias("q"), F.col("p")["1"].alias("x"))
+    rows = graphs.scan(spark, d, "embeddings").select("vec_id", F.posexplode(pairs).alias("dim", "p")).select("vec_id", "dim", "p.q", "p.x")
     unit = F.when(F.col("x") == 0, 1.0).otherwise(F.pow(F.lit(2.0), F.floor(F.log2(F.abs("x"))) - 7))
     return rows.select("vec_id", "dim", (F.round("q", 9) + 0.0).alias("val"), (F.abs(F.col("q") - F.col("x")) <= unit / 2).alias("close"))
 
