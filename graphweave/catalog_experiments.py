@@ -9,15 +9,18 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from graphweave.catalog import query, w1
-from graphweave.experiments import ArrayTrainer
+from graphweave.experiments import MOST_EDGES, ArrayTrainer
 from graphweave.operators import aggregate, blocked, layout, measures, partition, sampling
-from graphweave.operators.train import Optimiser
+from graphweave.operators.train import Optimiser, Trainer
 from graphweave.sources import graphs
+from graphweave.storage import checkpointed
 
 
 def _arrays(spark: SparkSession, d: str):
-    """The document graph with random features and languages as classes, as arrays; bounded by the array trainer."""
+    """The document graph with random features and languages as classes, as arrays; its size is checked first."""
     g = graphs.document_similarity(spark, d)
+    if (n := g.edges.count()) > MOST_EDGES:
+        raise ValueError(f"{n} edges are too many for one machine; use the distributed trainer")
     labels = {r.vid: (r.y, r.split) for r in graphs.language_labels(spark, d).collect()}
     vertices = sorted((r.vid, r.feat) for r in g.vertices.collect())
     number = {v: i for i, (v, _) in enumerate(vertices)}
@@ -66,13 +69,14 @@ def _(spark: SparkSession, d: str) -> DataFrame:
 
 @query("exp_replication_sweep")
 def _(spark: SparkSession, d: str) -> DataFrame:
-    """Replication and balance of the greedy and the random cut, by graph and partitions."""
+    """Replication and balance of the greedy and the random cut, by graph and partitions, on three shapes of graph."""
     out = None
-    for name, edges in (("co_purchase", w1(spark, d).edges), ("customer_supplier", graphs.customer_supplier(spark, d).edges)):
-        pairs = partition.prepare(edges).cache()
-        for parts in (2, 4, 8, 16):
+    shapes = (("co_purchase", w1(spark, d)), ("customer_supplier", graphs.customer_supplier(spark, d)), ("documents", graphs.document_similarity(spark, d)))
+    for name, g in shapes:
+        pairs = checkpointed(partition.prepare(g.edges))
+        for parts in (2, 4, 8, 16, 32, 64, 128):
             for method, cut in (("greedy", partition.greedy), ("random", partition.random_edge)):
-                placed = cut(pairs, parts).cache()
+                placed = checkpointed(cut(pairs, parts))
                 cloned = layout.clones(placed)
                 row = measures.replication_factor(cloned).crossJoin(measures.edge_balance(placed, parts)).crossJoin(measures.split_share(cloned))
                 row = row.select(F.lit(name).alias("graph"), F.lit(parts).alias("parts"), F.lit(method).alias("method"), "*")
@@ -80,6 +84,39 @@ def _(spark: SparkSession, d: str) -> DataFrame:
     return out
 
 
+@query("exp_times_by_mode")
+def _(spark: SparkSession, d: str) -> DataFrame:
+    """Mean seconds of an epoch, and in it of local sums, of synchronisation and of waiting, by mode and partitions."""
+    g, rows = w1(spark, d), []
+    features = g.vertices.select("vid", F.transform("feat", lambda x: x / 50).alias("feat"))
+    labels = g.vertices.select("vid", (F.col("vid") % 3).cast("int").alias("y"), graphs.split_of(F.col("vid")).alias("split"))
+    pairs = checkpointed(partition.prepare(g.edges))
+    for parts in (1, 4):
+        cut = checkpointed(partition.random_edge(pairs, parts))
+        cloned = layout.clones(cut)
+        roles = layout.with_roles(cloned, layout.trees(cloned))
+        for mode in ("local_only", "sync_full", "delayed"):
+            trainer = Trainer(partition.both_ways(cut), roles, features, labels, [4, 16, 3], mode, delay=1, overlap=mode == "delayed")
+            history = trainer.fit(3 if mode == "delayed" else 2)
+            steady = history[2:] if mode == "delayed" else history[1:]
+            spent = measures.local_and_remote(steady)
+            rows.append((parts, mode, measures.epoch_time(history, mode, 1), spent["local"], spent["remote"], spent["wait"], measures.ap_share(steady)))
+    return spark.createDataFrame(rows, "parts int, mode string, epoch_seconds double, local_seconds double, remote_seconds double, wait_seconds double, aggregation_share double")
+
+
+@query("exp_blocks_time_and_io")
+def _(spark: SparkSession, d: str) -> DataFrame:
+    """Seconds and modelled traffic of one aggregation by number of blocks, on the dense and the sparse graph."""
+    rows = []
+    for name, g in (("dense", w1(spark, d)), ("sparse", graphs.sparse_part_order(spark, d))):
+        g = graphs.PropertyGraph(checkpointed(g.vertices), checkpointed(g.edges), g.width)
+        top = g.vertices.agg(F.max("vid")).first()[0] + 1
+        for n in (1, 2, 4, 8, 16, 32, 64):
+            io = measures.io_infinite_cache(g, blocked.block_size_for(top, n)).first()
+            rows.append((name, n, _seconds(blocked.apply(g, n)), float(io.read_bytes), float(io.written_bytes)))
+    return spark.createDataFrame(rows, "graph string, blocks int, seconds double, read_bytes double, written_bytes double")
+
+
 @query("exp_exchange_by_mode")
 def _(spark: SparkSession, d: str) -> DataFrame:
     """Vectors that a layer exchanges in an epoch, by mode and partitions, for width 4."""
@@ -95,34 +132,59 @@ def _(spark: SparkSession, d: str) -> DataFrame:
     return out
 
 
+def _seconds(df: DataFrame) -> float:
+    began = time.monotonic()
+    df.write.format("noop").mode("overwrite").save()
+    return time.monotonic() - began
+
+
 @query("exp_ablation")
 def _(spark: SparkSession, d: str) -> DataFrame:
-    """Seconds of one aggregation by optimisation step, on the dense and the sparse graph."""
-    rows = []
-    for name, g in (("dense", w1(spark, d)), ("sparse", graphs.sparse_part_order(spark, d))):
-        g = graphs.PropertyGraph(g.vertices.cache(), g.edges.cache(), g.width)
-        g.edges.count(), g.vertices.count()
+    """Seconds and modelled traffic of one aggregation as optimisations are added one on the other, by graph.
+
+    The baseline moves every message; partial sums over salted tasks move one vector a task and destination, which
+    evens out hubs; blocks of sources bound what a task holds of the features; the kernel reduces runs of arrays.
+    """
+    rows, blocks = [], 4
+    shapes = (("dense", w1(spark, d)), ("sparse", graphs.sparse_part_order(spark, d)), ("skewed", graphs.document_similarity(spark, d, 4)))
+    for name, g in shapes:
+        g = graphs.PropertyGraph(checkpointed(g.vertices), checkpointed(g.edges), g.width)
+        m, top, vector = g.edges.count(), (g.vertices.agg(F.max("vid")).first()[0] or 0) + 1, g.width * 8
+        whole, cut = (measures.io_infinite_cache(g, blocked.block_size_for(top, n)).first() for n in (1, blocks))
+        gathered = float(m * (16 + vector))
         steps = (
-            ("baseline", lambda: aggregate.apply(g, strategy="baseline")),
-            ("salted tasks", lambda: aggregate.salted(g, 4)),
-            ("blocked", lambda: blocked.apply(g, 4)),
-            ("arrow kernel", lambda: aggregate.apply(g, strategy="arrow")),
+            ("baseline", lambda g=g: aggregate.apply(g, strategy="baseline"), gathered + m * vector, float(m * vector + whole.written_bytes)),
+            ("+ dynamic tasks", lambda g=g: aggregate.salted(g, 4), gathered, float(whole.written_bytes)),
+            ("+ blocks", lambda g=g: blocked.apply(g, blocks), float(cut.read_bytes), float(cut.written_bytes)),
+            ("+ array kernel", lambda g=g: blocked.apply(g, blocks, kernel="arrow"), float(cut.read_bytes), float(cut.written_bytes)),
         )
-        for step, run in steps:
-            began = time.monotonic()
-            run().write.format("noop").mode("overwrite").save()
-            rows.append((name, step, time.monotonic() - began))
-    return spark.createDataFrame(rows, "graph string, step string, seconds double")
+        rows += [(name, step, _seconds(run()), read, written) for step, run, read, written in steps]
+    return spark.createDataFrame(rows, "graph string, step string, seconds double, read_bytes double, written_bytes double")
 
 
 @query("exp_work_against_sampling")
 def _(spark: SparkSession, d: str) -> DataFrame:
-    """Operations of one sampled batch and of the full neighbourhood on the part-part graph, by hop."""
+    """Operations of the sampled neighbourhoods of all training vertices and of the full neighbourhood on the part-part graph, by hop."""
     g = w1(spark, d)
-    seeds = g.vertices.where("vid % 10 = 0").select("vid")
+    seeds = g.vertices.where(graphs.split_of(F.col("vid")) == "train").select("vid")  # all training vertices
     frontiers, _ = sampling.neighbours(g.edges, seeds, (15, 10, 5))
     n, m = g.vertices.count(), g.edges.count()
     rows = []
     for hop, (front, fanout, width) in enumerate(zip(frontiers, (15, 10, 5), (256, 256, 100))):
         rows.append((hop, float(front.count() * fanout * width), float(n * (m / max(1, n)) * width)))
     return spark.createDataFrame(rows, "hop int, sampled_ops double, full_ops double")
+
+
+@query("exp_sampling_training")
+def _(spark: SparkSession, d: str) -> DataFrame:
+    """Epoch seconds and loss of the trainer that samples mini-batches and of full-batch training, on the part-part graph."""
+    g = w1(spark, d)
+    features = g.vertices.select("vid", F.transform("feat", lambda x: x / 50).alias("feat"))
+    labels = g.vertices.select("vid", (F.col("vid") % 3).cast("int").alias("y"), graphs.split_of(F.col("vid")).alias("split"))
+    graph = graphs.PropertyGraph(features, checkpointed(g.edges), 4)
+    rows = [("sampled", h["epoch"], h["seconds"], h["loss"]) for h in sampling.fit(graph, labels, [4, 16, 3], 1000, (15, 10), 2)]
+    cut = checkpointed(partition.random_edge(partition.prepare(graph.edges), 2))
+    cloned = layout.clones(cut)
+    trainer = Trainer(partition.both_ways(cut), layout.with_roles(cloned, layout.trees(cloned)), features, labels, [4, 16, 3], "delayed", delay=1)
+    rows += [("full batch, delayed", h["epoch"], h["seconds"], float(h["loss"])) for h in trainer.fit(2)]
+    return spark.createDataFrame(rows, "trainer string, epoch int, seconds double, loss double")

@@ -11,7 +11,7 @@ import math
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from graphweave.operators.aggregate import completed, messages, reduce_wide, width_of
+from graphweave.operators.aggregate import completed, messages, reduce_arrow, reduce_wide, width_of
 from graphweave.plans.spec import AggSpec
 from graphweave.sources.graphs import PropertyGraph
 
@@ -20,8 +20,11 @@ def block_size_for(n: int, num_blocks: int) -> int:
     return max(1, -(-n // num_blocks))
 
 
-def apply(g: PropertyGraph, num_blocks: int | None = None, block_size: int | None = None, side: str = "src", **options) -> DataFrame:
-    """The aggregation with ids of one side cut into blocks of equal id ranges; one fold at the end."""
+def apply(g: PropertyGraph, num_blocks: int | None = None, block_size: int | None = None, side: str = "src", kernel: str = "wide", **options) -> DataFrame:
+    """The aggregation with ids of one side cut into blocks of equal id ranges; one fold at the end.
+
+    Kernel "arrow" reduces a block's rows as sorted runs of arrays before the fold, "wide" in columns.
+    """
     spec = AggSpec(**options)
     width = width_of(g, spec)
     if block_size is None:
@@ -35,7 +38,8 @@ def apply(g: PropertyGraph, num_blocks: int | None = None, block_size: int | Non
         folded = reduce_wide(reduce_wide(rows, ["block", "dst"], "sum", 2 * width, out="m"), ["dst"], "sum", 2 * width, out="m")
         halves = F.zip_with(F.slice("m", 1, width), F.slice("m", width + 1, width), lambda s, n: F.try_divide(s, n))
         return completed(g, folded.select("dst", halves.alias("feat")), spec, width)
-    partial = reduce_wide(rows, ["block", "dst"], spec.reduce, width, out="m")
+    inner = reduce_arrow if kernel == "arrow" else reduce_wide
+    partial = inner(rows, ["block", "dst"], spec.reduce, width, out="m")
     return completed(g, reduce_wide(partial, ["dst"], spec.reduce, width), spec, width)
 
 

@@ -60,3 +60,47 @@ def sampled_aggregate(g: PropertyGraph, seeds: DataFrame, fanout: int, seed: int
 def batch_work(frontiers: list[int], fanouts: tuple[int, ...], widths: tuple[int, ...]) -> float:
     """Operations of one batch: vertices times fan-out times width, over hops."""
     return float(sum(n * f * w for n, f, w in zip(frontiers, fanouts, widths)))
+
+
+def fit(g: PropertyGraph, labels: DataFrame, dims: list[int], size: int, fanouts: tuple[int, ...], epochs: int, lr: float = 0.01, seed: int = 0) -> list[dict]:
+    """Mini-batch training: each step samples a batch's neighbourhood and takes one gradient step on it.
+
+    A batch's subgraph is trained on in the driver: size and fan-outs bound it, whatever the size of the graph.
+    labels is (vid, y, split).
+    """
+    import time
+
+    import numpy as np
+
+    from graphweave.experiments import ArrayTrainer
+    from graphweave.operators.train import Model, Optimiser
+    from graphweave.storage import checkpointed
+
+    batched = checkpointed(minibatches(labels.where("split = 'train'").select("vid"), size, 1))
+    last = batched.agg(F.max("batch")).first()[0]
+    model, optimiser, history = Model.fresh(dims, seed), Optimiser(lr=lr), []
+    for epoch in range(epochs):
+        began, losses = time.monotonic(), []
+        for batch in range(0 if last is None else last + 1):
+            seeds = batched.where(F.col("batch") == batch).select("vid")
+            frontiers, samples = neighbours(g.edges, seeds, fanouts, seed + 1000 * epoch + batch)
+            used = checkpointed(frontiers[-1])
+            vectors = g.vertices.join(used, "vid").select("vid", "feat").orderBy("vid").toArrow()
+            ids = vectors["vid"].to_numpy()
+            x = vectors["feat"].combine_chunks().flatten().to_numpy(zero_copy_only=False).astype(float).reshape(len(ids), -1)
+            edges = samples[0]
+            for more in samples[1:]:
+                edges = edges.union(more)
+            edges = edges.distinct().toArrow()
+            known = labels.join(seeds, "vid").select("vid", "y").toArrow()
+            at = np.searchsorted(ids, known["vid"].to_numpy())
+            y, split = np.zeros(len(ids), np.int64), np.full(len(ids), "", dtype=object)
+            y[at], split[at] = known["y"].to_numpy(), "train"
+            src, dst = (np.searchsorted(ids, edges[end].to_numpy()) for end in ("src", "dst"))
+            step = ArrayTrainer(src, dst, np.zeros(len(src), np.int64), x, y, split, dims, "sync_full", optimiser=optimiser)
+            step.model = model
+            grads, measured = step.gradients()
+            optimiser.update(model, grads)
+            losses.append(measured["loss"])
+        history.append({"epoch": epoch, "seconds": time.monotonic() - began, "loss": float(np.mean(losses)) if losses else 0.0})
+    return history
