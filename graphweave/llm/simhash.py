@@ -27,6 +27,9 @@ from graphweave.llm.common import map_texts, materialize, settled
 from graphweave.llm.components import components
 
 _SEED = 42
+#: Frequent shingles that prefixes leave to the end: how many are told apart at most, and from how many texts on.
+#: They only order the shingles of a text; the result is the same for any numbers here.
+MOST_FREQUENT, FREQUENT_FROM = 1 << 18, 16
 _BLOCKS = ((0, 1), (2, 3), (4, 5), (6, 7))
 
 
@@ -126,33 +129,58 @@ def _verified(docs: DataFrame, pairs: DataFrame, node_col: str, text_col: str, s
     return materialize(pairs.where(9 * F.size(F.array_intersect("of_a", "of_b")) >= 4 * (F.size("of_a") + F.size("of_b"))).select("a", "b"))
 
 
+def frequent_shingles(docs: DataFrame, text_col: str, shingle: int) -> np.ndarray:
+    """Sorted hashes of the most frequent shingles, MOST_FREQUENT at most (two megabytes), counted over all texts.
+
+    Only the lower half of the hashes is counted, as prefixes seldom reach further.
+    """
+
+    def make():
+        def kernel(texts: list[str]) -> list:
+            sets = (np.unique(shingle_hashes(t, shingle).view(np.int64)) for t in texts)
+            return [[s[: np.searchsorted(s, 0)] for s in sets]]
+
+        return kernel
+
+    posted = map_texts(docs, make, [("keys", T.ArrayType(T.LongType()))], (), text_col).select(F.explode("keys").alias("key"))
+    counts = posted.groupBy("key").agg(F.count("*").alias("n")).where(F.col("n") >= FREQUENT_FROM)
+    return np.array(sorted(r.key for r in counts.orderBy(F.desc("n"), "key").limit(MOST_FREQUENT).collect()), np.int64)
+
+
 def near_copies(docs: DataFrame, node_col: str, text_col: str = "text", shingle: int = 5, list_bound: int = 8) -> DataFrame:
     """(node, root) of texts that chains of shingle similarity 0.8 or more connect; node_col is a hash of the text.
 
     No bit bound of a 64-bit fingerprint is both sure to hold at similarity 0.8 and selective, so fingerprints and
     first entries of posting lists only join most groups early. The search that decides is complete: of n
-    shingles in hash order, two such texts share one of the first n // 5 + 1 at least, and the shared count has a
-    guaranteed minimum (count filtering). It makes pairs of texts that are not yet connected, so groups of copies
-    do not cost the square of their size; texts that share much without being similar may. All links are verified.
+    shingles in one order for all texts, two such texts share one of the first n // 5 + 1 at least, and the shared
+    count has a guaranteed minimum (count filtering). Frequent shingles come last in the order, so a passage that
+    many texts share makes no pairs of them. Pairs are made of texts that are not yet connected, so groups of
+    copies do not cost the square of their size; texts that share much without being similar may. All links are
+    verified.
     """
+    frequent = docs.sparkSession.sparkContext.broadcast(frequent_shingles(docs, text_col, shingle))
 
     def make():
+        late = np.append(frequent.value, np.iinfo(np.int64).max)
+
         def kernel(texts: list[str]) -> list:
-            out: list[list] = [[], [], [], [], []]
+            out: list[list] = [[], [], [], [], [], []]
             for text in texts:
                 hashes = shingle_hashes(text, shingle)
                 found = np.unique(hashes.view(np.int64))
-                first = found[: len(found) // 5 + 1]
-                for column, value in zip(out, (majority(hashes), len(found), len(first), int(first[-1]), first)):
+                is_late = late[np.searchsorted(late, found)] == found
+                n_early, n_first = len(found) - int(is_late.sum()), len(found) // 5 + 1
+                first = np.concatenate([found[~is_late], found[is_late]])[:n_first]
+                for column, value in zip(out, (majority(hashes), len(found), n_first, int(n_first > n_early), int(first[-1]), first)):
                     column.append(value)
             return out
 
         return kernel
 
-    fields = [*((c, T.LongType()) for c in ("f", "n", "p", "last")), ("keys", T.ArrayType(T.LongType()))]
+    fields = [*((c, T.LongType()) for c in ("f", "n", "p", "late", "last")), ("keys", T.ArrayType(T.LongType()))]
     prints = map_texts(docs, make, fields, (node_col,), text_col).withColumnRenamed(node_col, "node")
     prints = materialize(prints.dropDuplicates(["node"]))
-    posted = prints.select("node", "n", "p", "last", F.explode("keys").alias("key"))
+    posted = prints.select("node", "n", "p", F.struct("late", "last").alias("last"), F.explode("keys").alias("key"))
     lists = posted.groupBy("key").agg(F.count("*").alias("size"), F.min(F.struct("node", "n")).alias("head"))
     posted = materialize(posted.join(settled(lists.where("size > 1"), "key"), "key"))
     alike = lambda n, m: (5 * n >= 4 * m) & (5 * m >= 4 * n)

@@ -1,8 +1,10 @@
 import random
 import re
 
+import pytest
 import xxhash
 
+from graphweave.llm import simhash
 from graphweave.llm.simhash import fingerprint, fingerprints, links, near_copies, near_duplicates
 
 
@@ -66,7 +68,10 @@ def test_edge_cases(spark):
     assert links(docs.limit(0).selectExpr("doc_id as f")).count() == 0
 
 
-def test_near_copies_are_all_pairs_of_similarity_four_fifths(spark):
+@pytest.mark.parametrize(("least", "most"), [(16, 1 << 18), (2, 1 << 18), (2, 50)])
+def test_near_copies_are_all_pairs_of_similarity_four_fifths(spark, monkeypatch, least, most):
+    monkeypatch.setattr(simhash, "FREQUENT_FROM", least)
+    monkeypatch.setattr(simhash, "MOST_FREQUENT", most)
     rng = random.Random(5)
     texts = ["", " ", "one", "one two", "One  two"]
     for base in range(12):
