@@ -126,7 +126,7 @@ def _within_one_edit(a: Column, b: Column) -> Column:
 
 def dropped_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", near_words: int = 6) -> DataFrame:
     """(d, t, dropped): for documents that lose lines, by id and text hash, the sorted numbers of those lines."""
-    lines = lines_of(docs, id_col, text_col).where(F.trim(F.translate("line", "\t\r", "  ")) != "")
+    lines = lines_of(docs, id_col, text_col).where(F.ltrim("line", F.lit(" \t\r")) != "")
     place = F.struct("d", "t", "no")
     worded = lines.select("h", "g", place.alias("place"), _words(F.col("line")).alias("words"))
     halves = F.when(F.size("words") >= near_words, _halves(F.col("words")))
