@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import contextlib
 import gc
 import tempfile
 import uuid
@@ -82,6 +83,16 @@ def _runs(lengths: Sequence[int], most: int) -> Iterator[tuple[int, int]]:
         yield start, len(lengths)
 
 
+def trimmed() -> None:
+    """Give memory that a task has freed back to the system: its Python worker stays idle beside the next steps of the executor."""
+    import ctypes
+
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(AttributeError, OSError):  # only some systems can
+        ctypes.CDLL(None).malloc_trim(0)
+
+
 def map_texts(
     df: DataFrame,
     make_kernel: Callable[[], Callable[[list[str]], list]],
@@ -115,6 +126,8 @@ def map_texts(
                 kept = [batch.column(i).slice(a, b - a).cast(arrow.field(i).type) for i in range(len(keep))]
                 made = [pa.array(x, type=f.type) for x, f in zip(made, list(arrow)[len(keep) :], strict=True)]
                 yield pa.RecordBatch.from_arrays([*kept, *made], schema=arrow)
+        del kernel
+        trimmed()
 
     import pyarrow.compute  # noqa: F401
 
