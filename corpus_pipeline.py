@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from graphweave.llm.byte_bpe import decode_documents, encode_documents
-from graphweave.llm.common import fresh, settled, stored, table
+from graphweave.llm.common import fresh, released, settled, stored, table
 from graphweave.llm.line_dedup import deduplicate_lines
 from graphweave.llm.mixing import mix, positions, word_count
 from graphweave.llm.queries import RANKS, TOXIC_FROM
@@ -50,10 +50,12 @@ def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     grouped = grouped.select("doc_id", F.col("text").alias(node), F.coalesce("root", "text").alias("root"))
     keeper = F.min(F.struct(F.col("doc_id").isNull().alias("null"), F.col("doc_id").alias("id"), F.col(node).alias("text")))
     keeper = grouped.groupBy("root").agg(keeper.alias("keeper")).select(F.col("keeper.id").alias("__id"), F.col("keeper.text").alias("__kept"))
-    kept = rows.join(keeper, F.col("doc_id").eqNullSafe(F.col("__id")) & (F.col(node) == F.col("__kept")), "left_semi")
-    # Rows of one id and text differ in other columns only: the least of them stays.
-    least = kept.groupBy("doc_id", node).agg(F.min(F.struct(*(F.col(f"`{c}`") for c in docs.columns))).alias("row"))
-    return least.select("row.*")
+    # Rows of one id and text differ in other columns only: the least of them stays. One exchange of texts serves both steps.
+    key = lambda c: (F.coalesce(c, F.lit(0).cast(docs.schema["doc_id"].dataType)).alias("__id"), c.isNull().alias("__null"))
+    least = rows.groupBy(*key(F.col("doc_id")), node).agg(F.min(F.struct(*(F.col(f"`{c}`") for c in docs.columns))).alias("row"))
+    keeper = settled(keeper.select(*key(F.col("__id")), F.col("__kept").alias(node)))
+    released(spark)
+    return least.join(keeper, ["__id", "__null", node], "left_semi").select("row.*")
 
 
 def source_mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -16,6 +16,8 @@ from pyspark.sql.pandas.types import to_arrow_schema
 
 #: Characters that one kernel call gets at most, unless one text alone is longer.
 CHARS_PER_CALL = 2_000_000
+#: Longs of the broadcast filter of ``maybe_in`` at most, of 64 bits each: a proven bound of what is broadcast.
+MOST_FILTER_WORDS = 1 << 18
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -63,8 +65,31 @@ def settled(df: DataFrame, *keys: str) -> DataFrame:
     The keys are rebuilt by an expression, so Spark deals both sides out anew for the join; adaptive execution
     splits large partitions only in that case, not where an aggregation's own exchange feeds the join.
     """
+    return rekeyed(materialize(df), *keys)
+
+
+def rekeyed(df: DataFrame, *keys: str) -> DataFrame:
+    """The same for a df that is materialised or stored already."""
     rebuilt = {k: F.when(F.col(k).isNotNull(), F.col(k)) for k in keys}
-    return materialize(df).select(*(rebuilt[c].alias(c) if c in rebuilt else c for c in df.columns))
+    return df.select(*(rebuilt[c].alias(c) if c in rebuilt else c for c in df.columns))
+
+
+def maybe_in(rows: DataFrame, hashed: str, keys: DataFrame) -> DataFrame:
+    """The rows whose hash may be among keys (one column), which some join decides later; a filter of 16 bits a key.
+
+    Keys that would fill more than half of the largest bit table get none: it would let most rows through.
+    """
+    n = keys.count()
+    if n > MOST_FILTER_WORDS * 32:
+        return rows
+    words = min(MOST_FILTER_WORDS, max(1 << 10, 1 << (n // 4).bit_length()))
+    word = lambda c: F.pmod(F.shiftright(c, 6), F.lit(words)).cast("int")
+    bit = lambda c: F.call_function("shiftleft", F.lit(1).cast("long"), c.bitwiseAND(F.lit(63)).cast("int"))
+    key = F.col(keys.columns[0])
+    bits = materialize(keys.groupBy(word(key).alias("__word")).agg(F.bit_or(bit(key)).alias("__bits")))
+    at = F.col(hashed)
+    hit = F.col("__bits").bitwiseAND(bit(at)) != 0
+    return rows.join(F.broadcast(bits), (word(at) == F.col("__word")) & hit, "left_semi")
 
 
 def slots(spark: SparkSession) -> int:

@@ -22,32 +22,12 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window as W
 
-from graphweave.llm.common import materialize, settled, stored
+from graphweave.llm.common import materialize, maybe_in, settled, stored
 
-#: Longs of the broadcast filter below at most, of 64 bits each: a proven bound of what is broadcast.
-_MOST_WORDS = 1 << 18
 #: Words of the longest line whose neighbourhood is made inside its row, where the cost is quadratic.
 _IN_ROW = 64
 
 
-def _maybe_in(rows: DataFrame, hashed: str, keys: DataFrame) -> DataFrame:
-    """The rows whose hash may be among keys (one column), which some join decides later; a filter of 16 bits a key.
-
-    Keys that would fill more than half of the largest bit table get none: it would let most rows through.
-    """
-    n = keys.count()
-    if n > _MOST_WORDS * 32:
-        return rows
-    words = min(_MOST_WORDS, max(1 << 10, 1 << (n // 4).bit_length()))
-    word = lambda c: F.pmod(F.shiftright(c, 6), F.lit(words)).cast("int")
-    bit = lambda c: F.call_function("shiftleft", F.lit(1).cast("long"), c.bitwiseAND(F.lit(63)).cast("int"))
-    key = F.col(keys.columns[0])
-    bits = materialize(keys.groupBy(word(key).alias("__word")).agg(F.bit_or(bit(key)).alias("__bits")))
-    at = F.col(hashed)
-    hit = F.col("__bits").bitwiseAND(bit(at)) != 0
-    return rows.join(F.broadcast(bits), (word(at) == F.col("__word")) & hit, "left_semi")
-
-
 def lines_of(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(d, t, no, line): the lines of each document, t a hash of its text."""
     text = F.coalesce(F.col(text_col), F.lit(""))
@@ -136,9 +116,9 @@ def dropped_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
     halves = distinct.select("h", F.explode("halves").alias("half"))
     shared = halves.groupBy("half").agg(F.min("h").alias("a"), F.max("h").alias("b")).where("a <> b")
     shared = settled(shared.select("half"), "half")
-    flagged = materialize(_maybe_in(halves, "half", shared).join(shared, "half").select("h").distinct())
+    flagged = materialize(maybe_in(halves, "half", shared).join(shared, "half").select("h").distinct())
     # Their deletion neighbourhoods.
-    found = _maybe_in(lines, "h", flagged).join(settled(flagged, "h"), "h")
+    found = maybe_in(lines, "h", flagged).join(settled(flagged, "h"), "h")
     found = found.groupBy("h", "g").agg(F.min(place).alias("first"), F.any_value("line").alias("line"))
     found = stored(found.select("h", "g", "first", _words(F.col("line")).alias("words")))
     variants = stored(_neighbourhoods(found))
@@ -160,7 +140,7 @@ def dropped_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
     near = near.withColumn("near", F.lit(True))
     gone = distinct.join(near, ["h", "g"], "left").where("n > 1 or near")
     gone = settled(gone.select("h", "g", "first", F.coalesce("near", F.lit(False)).alias("near")), "h", "g")
-    rows = _maybe_in(lines.select("d", "t", "no", "h", "g"), "h", gone.select("h")).join(gone, ["h", "g"])
+    rows = maybe_in(lines.select("d", "t", "no", "h", "g"), "h", gone.select("h")).join(gone, ["h", "g"])
     rows = rows.where(F.col("near") | (F.col("first") != place)).select("d", "t", "no").distinct()
     return rows.groupBy("d", "t").agg(F.sort_array(F.collect_list("no")).alias("dropped"))
 

@@ -23,7 +23,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from graphweave.llm.common import map_texts, materialize, settled
+from graphweave.llm.common import map_texts, materialize, maybe_in, rekeyed, released, settled, stored
 from graphweave.llm.components import components
 
 _SEED = 42
@@ -120,12 +120,15 @@ def _shingle_sets(docs: DataFrame, node_col: str, text_col: str, shingle: int) -
 
 def _verified(docs: DataFrame, pairs: DataFrame, node_col: str, text_col: str, shingle: int) -> DataFrame:
     """The pairs (a, b) whose exact shingle sets have a similarity of 0.8 or more."""
-    pairs = materialize(pairs)
-    needed = pairs.select(F.col("a").alias(node_col)).union(pairs.select("b")).distinct()
-    sets = _shingle_sets(docs.select(node_col, text_col).join(needed, node_col, "left_semi"), node_col, text_col, shingle)
-    sets = settled(sets.dropDuplicates([node_col]), node_col)
+    pairs = stored(pairs)
+    needed = materialize(pairs.select(F.col("a").alias(node_col)).union(pairs.select("b")).distinct())
+    released(docs.sparkSession)
+    # One row of each text, before its shingles are made.
+    texts = maybe_in(docs.select(node_col, text_col), node_col, needed).dropDuplicates([node_col]).join(needed, node_col, "left_semi")
+    sets = materialize(_shingle_sets(texts, node_col, text_col, shingle))
+    released(docs.sparkSession)
     for end in ("a", "b"):
-        pairs = pairs.join(sets.select(F.col(node_col).alias(end), F.col("shingles").alias(f"of_{end}")), end)
+        pairs = pairs.join(rekeyed(sets.select(F.col(node_col).alias(end), F.col("shingles").alias(f"of_{end}")), end), end)
     return materialize(pairs.where(9 * F.size(F.array_intersect("of_a", "of_b")) >= 4 * (F.size("of_a") + F.size("of_b"))).select("a", "b"))
 
 
@@ -158,7 +161,9 @@ def near_copies(docs: DataFrame, node_col: str, text_col: str = "text", shingle:
     copies do not cost the square of their size; texts that share much without being similar may. All links are
     verified.
     """
-    frequent = docs.sparkSession.sparkContext.broadcast(frequent_shingles(docs, text_col, shingle))
+    spark = docs.sparkSession
+    frequent = spark.sparkContext.broadcast(frequent_shingles(docs, text_col, shingle))
+    released(spark)
 
     def make():
         late = np.append(frequent.value, np.iinfo(np.int64).max)
@@ -179,10 +184,15 @@ def near_copies(docs: DataFrame, node_col: str, text_col: str = "text", shingle:
 
     fields = [*((c, T.LongType()) for c in ("f", "n", "p", "late", "last")), ("keys", T.ArrayType(T.LongType()))]
     prints = map_texts(docs, make, fields, (node_col,), text_col).withColumnRenamed(node_col, "node")
-    prints = materialize(prints.dropDuplicates(["node"]))
-    posted = prints.select("node", "n", "p", F.struct("late", "last").alias("last"), F.explode("keys").alias("key"))
-    lists = posted.groupBy("key").agg(F.count("*").alias("size"), F.min(F.struct("node", "n")).alias("head"))
-    posted = materialize(posted.join(settled(lists.where("size > 1"), "key"), "key"))
+    prints = stored(prints.dropDuplicates(["node"]))
+    released(spark)
+    posted = prints.select("node", "n", F.explode("keys").alias("key"))
+    shared = settled(posted.groupBy("key").agg(F.count("*").alias("size")).where("size > 1").select("key"), "key")
+    released(spark)
+    posted = stored(posted.join(shared, "key"))
+    del shared
+    released(spark)
+    heads = settled(posted.groupBy("key").agg(F.min(F.struct("node", "n")).alias("head")), "key")
     alike = lambda n, m: (5 * n >= 4 * m) & (5 * m >= 4 * n)
     # Early links: fingerprints within two bits, and the head of every posting list.
     groups = materialize(prints.groupBy("f").agg(F.min("node").alias("head")))
@@ -190,20 +200,28 @@ def near_copies(docs: DataFrame, node_col: str, text_col: str = "text", shingle:
     for end in ("a", "b"):
         close = close.join(groups.select(F.col("f").alias(end), F.col("head").alias(f"head_{end}")), end)
     early = close.select(F.col("head_a").alias("a"), F.col("head_b").alias("b"))
-    early = early.union(prints.join(settled(groups, "f"), "f").select("head", "node"))
-    early = early.union(posted.where(alike(F.col("n"), F.col("head.n"))).select("head.node", "node")).where("a <> b")
+    early = early.union(prints.select("node", "f").join(rekeyed(groups, "f"), "f").select("head", "node"))
+    early = early.union(posted.join(heads, "key").where(alike(F.col("n"), F.col("head.n"))).select("head.node", "node")).where("a <> b")
     early = early.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
     early = _verified(docs, early, node_col, text_col, shingle)
+    del groups, close, heads
+    released(spark)
     # The complete search, over pairs that early links leave apart.
-    root = settled(components(early), "node")
-    posted = posted.drop("head", "size").join(root, "node", "left").withColumn("root", F.coalesce("root", "node"))
+    root = components(early)
+    sized = prints.select("node", "p", F.struct("late", "last").alias("last")).join(rekeyed(root, "node"), "node", "left")
+    sized = settled(sized.withColumn("root", F.coalesce("root", "node")), "node")
+    posted = stored(posted.join(sized, "node"))
     mixed = settled(posted.groupBy("key").agg(F.min("root").alias("x"), F.max("root").alias("y")).where("x <> y").select("key"), "key")
-    posted = materialize(posted.join(mixed, "key"))
-    x, y = posted.alias("x"), settled(posted, "key").alias("y")
+    released(spark)
+    posted = stored(posted.join(mixed, "key"))
+    released(spark)
+    x, y = posted.alias("x"), rekeyed(posted, "key").alias("y")
     apart = (F.col("x.node") < F.col("y.node")) & (F.col("x.root") != F.col("y.root")) & alike(F.col("x.n"), F.col("y.n"))
     pairs = x.join(y, (F.col("x.key") == F.col("y.key")) & apart)
     # Beyond the shared keys, only the shingles after the prefix that ends first can be shared.
     rest = F.when(F.col("x.last") <= F.col("y.last"), F.col("x.n") - F.col("x.p")).otherwise(F.col("y.n") - F.col("y.p"))
     pairs = pairs.groupBy(F.col("x.node").alias("a"), F.col("y.node").alias("b"), rest.alias("rest"), (F.col("x.n") + F.col("y.n")).alias("both"))
     pairs = pairs.count().where(9 * (F.col("count") + F.col("rest")) >= 4 * F.col("both")).select("a", "b")
-    return components(early.union(_verified(docs, pairs, node_col, text_col, shingle)))
+    found = components(early.union(_verified(docs, pairs, node_col, text_col, shingle)))
+    released(spark)
+    return found
