@@ -54,8 +54,11 @@ def stored(df: DataFrame) -> DataFrame:
 
 
 def released(spark: SparkSession) -> None:
-    """Let Spark delete the shuffle files of finished steps now: it does so once the driver's objects for them are collected."""
-    gc.collect()
+    """Let Spark delete the shuffle files of finished steps now: it does so once the driver's objects for them are collected.
+
+    Memory that the driver's Python has freed goes back to the system too.
+    """
+    trimmed()
     spark.sparkContext._jvm.System.gc()
 
 

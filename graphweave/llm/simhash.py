@@ -31,6 +31,8 @@ _SEED = 42
 #: They only order the shingles of a text; the result is the same for any numbers here.
 MOST_FREQUENT, FREQUENT_FROM = 1 << 18, 16
 _BLOCKS = ((0, 1), (2, 3), (4, 5), (6, 7))
+#: Longs of the small parity sketch. Fewer let more pairs through to the exact comparison; the result is the same for any power of two.
+SKETCH_WORDS = 8
 
 
 def shingle_hashes(text: str, shingle: int) -> np.ndarray:
@@ -52,6 +54,31 @@ def majority(hashes: np.ndarray) -> int:
     return int(np.packbits(counts * 2 > len(hashes)).view(">i8")[0])
 
 
+def parity_sketch(shingles: np.ndarray, words: int = SKETCH_WORDS) -> np.ndarray:
+    """Bits by hash, each 1 if an odd number of the distinct shingles falls on it.
+
+    Sketches of two sets differ in at most as many bits as the sets have shingles that are not in both.
+    """
+    odd = np.bincount((shingles.view(np.uint64) % np.uint64(64 * words)).astype(np.int64), minlength=64 * words) & 1
+    return np.packbits(odd.astype(np.uint8)).view(">i8").astype(np.int64)
+
+
+def wide_words(n: int) -> int:
+    """Longs of the wide sketch of n shingles, a power of two: two bits a shingle at least."""
+    return max(SKETCH_WORDS, 1 << (2 * n // 64).bit_length())
+
+
+def _close(x: Column, y: Column, both: Column) -> Column:
+    """Whether sketches of x and y differ in at most a ninth of both sizes; of sketches of two lengths the longer one is folded."""
+
+    def folded(of: Column, other: Column) -> Column:
+        half = F.size(other)
+        return F.when(F.size(of) > half, F.zip_with(F.slice(of, 1, half), F.slice(of, half + 1, half), lambda a, b: a.bitwiseXOR(b))).otherwise(of)
+
+    bits = F.zip_with(folded(x, y), folded(y, x), lambda a, b: F.bit_count(a.bitwiseXOR(b)))
+    return 9 * F.aggregate(bits, F.lit(0), lambda a, b: a + b) <= both
+
+
 def fingerprint(text: str, shingle: int = 3) -> int:
     """The 64 majority bits over the hashes of all shingles, as a signed long."""
     return majority(shingle_hashes(text, shingle)) if text.strip(" \t\n\x0b\x0c\r") else 0
@@ -147,7 +174,18 @@ def frequent_shingles(docs: DataFrame, text_col: str, shingle: int) -> np.ndarra
 
     posted = map_texts(docs, make, [("keys", T.ArrayType(T.LongType()))], (), text_col).select(F.explode("keys").alias("key"))
     counts = posted.groupBy("key").agg(F.count("*").alias("n")).where(F.col("n") >= FREQUENT_FROM)
-    return np.array(sorted(r.key for r in counts.orderBy(F.desc("n"), "key").limit(MOST_FREQUENT).collect()), np.int64)
+    return np.sort(counts.orderBy(F.desc("n"), "key").limit(MOST_FREQUENT).select("key").toArrow()["key"].to_numpy())
+
+
+def candidates(posted: DataFrame) -> DataFrame:
+    """(a, b), some repeated: nodes of postings (key, node, root, n, pos, sketch) under one key that may be similar and have two roots."""
+    x, y = posted.alias("x"), rekeyed(posted, "key").alias("y")
+    both = F.col("x.n") + F.col("y.n")
+    apart = (F.col("x.node") < F.col("y.node")) & (F.col("x.root") != F.col("y.root"))
+    # Of similar texts at least four ninths of both sizes are shared, all of them from the first shared key on.
+    early_enough = (9 * (F.col("x.n") - F.col("x.pos")) >= 4 * both) & (9 * (F.col("y.n") - F.col("y.pos")) >= 4 * both)
+    pairs = x.join(y, (F.col("x.key") == F.col("y.key")) & apart & early_enough & _close(F.col("x.sketch"), F.col("y.sketch"), both))
+    return pairs.select(F.col("x.node").alias("a"), F.col("y.node").alias("b"))
 
 
 def near_copies(docs: DataFrame, node_col: str, text_col: str = "text", shingle: int = 5, list_bound: int = 8) -> DataFrame:
@@ -155,11 +193,12 @@ def near_copies(docs: DataFrame, node_col: str, text_col: str = "text", shingle:
 
     No bit bound of a 64-bit fingerprint is both sure to hold at similarity 0.8 and selective, so fingerprints and
     first entries of posting lists only join most groups early. The search that decides is complete: of n
-    shingles in one order for all texts, two such texts share one of the first n // 5 + 1 at least, and the shared
-    count has a guaranteed minimum (count filtering). Frequent shingles come last in the order, so a passage that
+    shingles in one order for all texts, two such texts share one of the first n // 5 + 1 at least, and the first
+    shared one comes early enough in both. Frequent shingles come last in the order, so a passage that
     many texts share makes no pairs of them. Pairs are made of texts that are not yet connected, so groups of
-    copies do not cost the square of their size; texts that share much without being similar may. All links are
-    verified.
+    copies do not cost the square of their size. Texts that share much without being similar are told apart by
+    parity sketches inside the join, which let few of their pairs out and drop no similar one; the comparisons
+    themselves may grow as the square of such a group. All links are verified.
     """
     spark = docs.sparkSession
     frequent = spark.sparkContext.broadcast(frequent_shingles(docs, text_col, shingle))
@@ -169,24 +208,23 @@ def near_copies(docs: DataFrame, node_col: str, text_col: str = "text", shingle:
         late = np.append(frequent.value, np.iinfo(np.int64).max)
 
         def kernel(texts: list[str]) -> list:
-            out: list[list] = [[], [], [], [], [], []]
+            out: list[list] = [[], [], [], [], []]
             for text in texts:
                 hashes = shingle_hashes(text, shingle)
                 found = np.unique(hashes.view(np.int64))
                 is_late = late[np.searchsorted(late, found)] == found
-                n_early, n_first = len(found) - int(is_late.sum()), len(found) // 5 + 1
-                first = np.concatenate([found[~is_late], found[is_late]])[:n_first]
-                for column, value in zip(out, (majority(hashes), len(found), n_first, int(n_first > n_early), int(first[-1]), first)):
+                first = np.concatenate([found[~is_late], found[is_late]])[: len(found) // 5 + 1]
+                for column, value in zip(out, (majority(hashes), len(found), first, parity_sketch(found), parity_sketch(found, wide_words(len(found))))):
                     column.append(value)
             return out
 
         return kernel
 
-    fields = [*((c, T.LongType()) for c in ("f", "n", "p", "late", "last")), ("keys", T.ArrayType(T.LongType()))]
+    fields = [*((c, T.LongType()) for c in ("f", "n")), *((c, T.ArrayType(T.LongType())) for c in ("keys", "sketch", "wide"))]
     prints = map_texts(docs, make, fields, (node_col,), text_col).withColumnRenamed(node_col, "node")
     prints = stored(prints.dropDuplicates(["node"]))
     released(spark)
-    posted = prints.select("node", "n", F.explode("keys").alias("key"))
+    posted = prints.select("node", "n", F.posexplode("keys").alias("pos", "key"))
     shared = settled(posted.groupBy("key").agg(F.count("*").alias("size")).where("size > 1").select("key"), "key")
     released(spark)
     posted = stored(posted.join(shared, "key"))
@@ -208,20 +246,18 @@ def near_copies(docs: DataFrame, node_col: str, text_col: str = "text", shingle:
     released(spark)
     # The complete search, over pairs that early links leave apart.
     root = components(early)
-    sized = prints.select("node", "p", F.struct("late", "last").alias("last")).join(rekeyed(root, "node"), "node", "left")
-    sized = settled(sized.withColumn("root", F.coalesce("root", "node")), "node")
-    posted = stored(posted.join(sized, "node"))
+    rooted = prints.select("node").join(rekeyed(root, "node"), "node", "left")
+    rooted = settled(rooted.withColumn("root", F.coalesce("root", "node")), "node")
+    posted = stored(posted.join(rooted, "node"))
     mixed = settled(posted.groupBy("key").agg(F.min("root").alias("x"), F.max("root").alias("y")).where("x <> y").select("key"), "key")
     released(spark)
-    posted = stored(posted.join(mixed, "key"))
+    posted = stored(posted.join(mixed, "key").join(rekeyed(prints.select("node", "sketch"), "node"), "node"))
     released(spark)
-    x, y = posted.alias("x"), rekeyed(posted, "key").alias("y")
-    apart = (F.col("x.node") < F.col("y.node")) & (F.col("x.root") != F.col("y.root")) & alike(F.col("x.n"), F.col("y.n"))
-    pairs = x.join(y, (F.col("x.key") == F.col("y.key")) & apart)
-    # Beyond the shared keys, only the shingles after the prefix that ends first can be shared.
-    rest = F.when(F.col("x.last") <= F.col("y.last"), F.col("x.n") - F.col("x.p")).otherwise(F.col("y.n") - F.col("y.p"))
-    pairs = pairs.groupBy(F.col("x.node").alias("a"), F.col("y.node").alias("b"), rest.alias("rest"), (F.col("x.n") + F.col("y.n")).alias("both"))
-    pairs = pairs.count().where(9 * (F.col("count") + F.col("rest")) >= 4 * F.col("both")).select("a", "b")
+    pairs = materialize(candidates(posted).distinct())
+    for end in ("a", "b"):
+        of = prints.select(F.col("node").alias(end), F.col("n").alias(f"n_{end}"), F.col("wide").alias(f"wide_{end}"))
+        pairs = pairs.join(rekeyed(of, end), end)
+    pairs = pairs.where(_close(F.col("wide_a"), F.col("wide_b"), F.col("n_a") + F.col("n_b"))).select("a", "b")
     found = components(early.union(_verified(docs, pairs, node_col, text_col, shingle)))
     released(spark)
     return found

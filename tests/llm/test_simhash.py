@@ -1,6 +1,7 @@
 import random
 import re
 
+import numpy as np
 import pytest
 import xxhash
 
@@ -101,3 +102,41 @@ def test_near_copies_are_all_pairs_of_similarity_four_fifths(spark, monkeypatch,
     docs = spark.createDataFrame(list(enumerate(texts)), "node long, text string")
     found = {r.node: r.root for r in near_copies(docs, "node").collect()}
     assert [found.get(i, i) for i in range(len(texts))] == root
+
+
+def test_texts_that_share_much_without_being_similar_leave_the_join_as_few_pairs(spark, monkeypatch):
+    rng = random.Random(3)
+    texts = []
+    for base in range(3):
+        words = [f"b{base}w{i}" for i in range(200)]
+        for k in range(30):
+            copy = list(words)
+            for at in rng.sample(range(200), 7):
+                copy[at] = f"n{rng.randint(0, 10**9)}"
+            texts.append(" ".join(copy))
+    rows = []
+
+    def counted(posted, made=simhash.candidates):
+        found = made(posted)
+        rows.append(found.count())
+        return found
+
+    monkeypatch.setattr(simhash, "candidates", counted)
+    sets = [{*simhash.shingle_hashes(t, 5).tolist()} for t in texts]
+    similar = {(i, j) for j in range(90) for i in range(j) if 5 * len(sets[i] & sets[j]) >= 4 * len(sets[i] | sets[j])}
+    found = {r.node: r.root for r in near_copies(spark.createDataFrame(list(enumerate(texts)), "node long, text string"), "node").collect()}
+    assert all(found[i] == found[j] for i, j in similar)
+    assert rows[0] < 90  # 30 * 29 / 2 pairs share keys in each of three groups, most under many keys
+
+
+def test_sketches_differ_in_no_more_bits_than_sets_in_shingles():
+    rng = random.Random(4)
+    for n in (0, 3, 40, 700, 5000):
+        one = {rng.getrandbits(64) for _ in range(n)}
+        for changed in (0, 1, n // 9, n // 2):
+            other = set(list(one)[changed:]) | {rng.getrandbits(64) for _ in range(changed)}
+            for words in (simhash.SKETCH_WORDS, simhash.wide_words(n)):
+                a, b = (simhash.parity_sketch(np.array(sorted(s), np.uint64), words) for s in (one, other))
+                assert len(a) == words and sum(int(x).bit_count() for x in (a ^ b).view(np.uint64)) <= len(one ^ other)
+        folded = simhash.parity_sketch(np.array(sorted(one), np.uint64), 16)
+        assert ((folded[:8] ^ folded[8:]) == simhash.parity_sketch(np.array(sorted(one), np.uint64), 8)).all()
