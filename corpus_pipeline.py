@@ -15,7 +15,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from graphweave.llm.byte_bpe import decode_documents, encode_documents
+from graphweave.llm.byte_bpe import encode_documents
 from graphweave.llm.common import fresh, released, settled, stored, table
 from graphweave.llm.line_dedup import deduplicate_lines
 from graphweave.llm.mixing import mix, positions, word_count
@@ -66,9 +66,7 @@ def source_mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def token_ids(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Token ids of every copy, and a digest of the bytes that they decode to."""
-    path = public_tokenizers.path(RANKS)
-    encoded = encode_documents(docs, path, ("doc_id",), with_offsets=False)
-    decoded = decode_documents(encoded, path, ("doc_id", "ids"))
+    decoded = encode_documents(docs, public_tokenizers.path(RANKS), ("doc_id",), with_offsets=False, with_decoded=True)
     digest = F.sha2(F.concat_ws(",", F.col("ids").cast("array<string>")), 256)
     return decoded.select("doc_id", F.size("ids").cast("long").alias("n_tokens"), digest.alias("ids_sha256"), F.sha2("decoded", 256).alias("decoded_sha256"), "ids")
 
