@@ -2,8 +2,9 @@
 
 from pathlib import Path
 
-from graphweave import catalog
-from graphweave.operators import remote
+from graphweave import catalog, catalog_experiments
+from graphweave.operators import blocked, measures, remote
+from graphweave.sources.graphs import PropertyGraph
 from graphweave.storage import shared_folder
 
 FOLDER = "/root/testdata/sf0.001"
@@ -20,3 +21,29 @@ def test_delayed_sync_of_given_partials_writes_no_slices(spark):
     assert set(folder.iterdir()) == before
     for e, full in enumerate(fulls):
         assert sorted(map(str, made[e].collect())) == sorted(map(str, written.step(e, full).collect()))
+
+
+def test_io_of_several_block_sizes_takes_one_pass(spark):
+    edges = spark.createDataFrame([(0, 1), (0, 1), (5, 1), (6, 2), (199, 2), (199, 7), (63, 9), (3, None)], "src long, dst long")
+    g = PropertyGraph(spark.range(200).selectExpr("id as vid", "array(1D, 2D) as feat"), edges, 2)
+    sizes = [1, 3, 50, 200, 1000]
+    got = {r.block_size: tuple(r)[1:] for r in measures.io_by_blocks(g, sizes).collect()}
+    assert got == {size: tuple(measures.io_infinite_cache(g, size).first()) for size in sizes}
+
+
+def test_blocks_time_and_io_deals_its_edges_once(spark, monkeypatch):
+    plans = []
+    monkeypatch.setattr(catalog_experiments, "_seconds", lambda df: plans.append(df._jdf.queryExecution().executedPlan().toString()) or 0.0)
+    threshold = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")  # as large tables are joined
+    try:
+        rows = {(r.graph, r.blocks): r for r in catalog.QUERIES["exp_blocks_time_and_io"](spark, FOLDER).collect()}
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", threshold)
+    assert len(rows) == len(plans) == 14
+    assert not any("Exchange hashpartitioning(src" in p or "Sort [src" in p for p in plans)
+    g = catalog.w1(spark, FOLDER)
+    top = g.vertices.agg({"vid": "max"}).first()[0] + 1
+    for n in (1, 16, 64):
+        want = measures.io_infinite_cache(g, blocked.block_size_for(top, n)).first()
+        assert (rows["dense", n].read_bytes, rows["dense", n].written_bytes) == (want.read_bytes, want.written_bytes)
