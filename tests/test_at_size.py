@@ -3,7 +3,7 @@
 from pathlib import Path
 
 from graphweave import catalog, catalog_experiments
-from graphweave.operators import blocked, measures, remote
+from graphweave.operators import blocked, measures, partition, remote
 from graphweave.sources.graphs import PropertyGraph
 from graphweave.storage import shared_folder
 
@@ -47,3 +47,12 @@ def test_blocks_time_and_io_deals_its_edges_once(spark, monkeypatch):
     for n in (1, 16, 64):
         want = measures.io_infinite_cache(g, blocked.block_size_for(top, n)).first()
         assert (rows["dense", n].read_bytes, rows["dense", n].written_bytes) == (want.read_bytes, want.written_bytes)
+
+
+def test_arriving_edges_are_sorted_by_a_leading_number_after_their_state(spark):
+    edges = spark.createDataFrame([(1, 2, 5), (2, 3, None), (1, 3, 5), (4, 5, -7), (1, 4, 2)], "src long, dst long, ord int")
+    held = spark.createDataFrame([(1, [2]), (5, [0, 3]), (9, [1])], "vid long, parts array<int>")
+    placed = partition.place_batch(edges, held, [0.0, 0.0, 7.0, 0.0], 4)
+    state = partition.Greedy(4, loads=[0.0, 0.0, 7.0, 0.0], held={1: 4, 5: 9})
+    assert [tuple(r) for r in placed.collect()] == [(u, v, state.place(u, v)) for u, v in ((2, 3), (4, 5), (1, 4), (1, 2), (1, 3))]
+    assert "isnotnull(dst" not in placed._jdf.queryExecution().executedPlan().toString().split("Sort [")[1].split("]")[0]
